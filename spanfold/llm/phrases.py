@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from spanfold.llm.common import ship
+from spanfold.llm.common import ship, written
 
 U = np.uint64
 _BASE = 0x9E3779B97F4A7C15
@@ -79,7 +79,7 @@ def sliding_min(x: np.ndarray, w: int) -> np.ndarray:
 
 
 def parse(codes: np.ndarray, ends: np.ndarray, width: int, k: int):
-    """Phrases of documents laid end to end: (leader hash, phrase hash, first window, windows).
+    """Phrases of documents laid end to end: (leader hash, phrase hash, first window, leader, windows).
 
     `ends` are the ascending document ends within `codes`; windows never cross them.
     """
@@ -106,11 +106,14 @@ def parse(codes: np.ndarray, ends: np.ndarray, width: int, k: int):
     if not len(first):
         return None
     whole = mix(stretch_hash(sums, first, count + width - 1) + count.astype(np.uint64) * U(_BASE))
-    return grams[lead[first]], whole, first, count
+    return grams[lead[first]], whole, first, lead[first], count
 
 
 def parse_documents(docs, width: int, k: int):
-    """docs: iterable of (doc id, codes). Yields (leader, phrase, doc, start << 8 | windows) arrays."""
+    """docs: iterable of (doc id, codes). Yields (leader, phrase, doc, place) arrays.
+
+    A place packs first window << 16 | leader's distance from it << 8 | windows; width is below 256.
+    """
     part, ids, offs, total = [], [], [], 0
 
     def flush():
@@ -119,10 +122,10 @@ def parse_documents(docs, width: int, k: int):
         got = parse(codes, ends, width, k)
         if got is None:
             return None
-        lead, whole, first, count = got
+        lead, whole, first, leader, count = got
         which = np.searchsorted(ends, first, side="right")
         starts = first - np.concatenate(([0], ends[:-1]))[which] + np.array(offs, dtype=np.int64)[which]
-        return lead.view(np.int64), whole.view(np.int64), np.array(ids, dtype=np.int64)[which], (starts << 8) | count
+        return lead.view(np.int64), whole.view(np.int64), np.array(ids, dtype=np.int64)[which], (starts << 16) | ((leader - first) << 8) | count
 
     for doc, codes in docs:
         for at in range(0, max(1, len(codes) - width + 1), _SPAN - width):
@@ -206,15 +209,27 @@ def repeated_phrases(parsed: DataFrame) -> DataFrame:
 
 
 def merge_marks(marks, n: int, width: int) -> np.ndarray:
-    """Covered symbols of a document of n symbols from packed (first window, windows) marks."""
+    """Covered symbols of a document of n symbols from packed places."""
     edge = np.zeros(n + 2, dtype=np.int64)
     marks = np.asarray(marks, dtype=np.int64)
-    start, count = marks >> 8, marks & 255
+    start, count = marks >> 16, marks & 255
     np.add.at(edge, np.minimum(start, n), 1)
     np.add.at(edge, np.minimum(start + count + width - 1, n), -1)
     return np.cumsum(edge)[:n] > 0
 
 
+def count_windows(open_windows: DataFrame) -> DataFrame:
+    """Windows (h1, h2, d, w) that an earlier document has too, as (d, p) marks.
+
+    The aggregate combines before its shuffle and the join reads two written tables, so a window
+    that fills the corpus is split among tasks.
+    """
+    open_windows = written(open_windows, "windows")
+    counted = open_windows.groupBy("h1", "h2").agg(F.min("d").alias("first_doc"), F.max("d").alias("last_doc")).where("first_doc < last_doc")
+    counted = written(counted.drop("last_doc"), "window-counts")
+    return open_windows.join(counted, ["h1", "h2"]).where("d > first_doc").select("d", F.expr("shiftleft(w, 16) | 1L").alias("p"))
+
+
 def marks_by_document(marks: DataFrame) -> DataFrame:
     return marks.groupBy("d").agg(F.collect_list("p").alias("ps"))
 

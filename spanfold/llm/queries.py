@@ -17,6 +17,45 @@ def op9_window_dedup(spark, sf_dir):
     return remove_repeated_windows(load(spark, sf_dir, "documents"))
 
 
+def op2_suffix_dedup(spark, sf_dir):
+    from spanfold.llm.suffix_dedup import remove_repeated_bytes
+
+    return remove_repeated_bytes(load(spark, sf_dir, "documents"))
+
+
+def op4_langid(spark, sf_dir):
+    from spanfold.llm.langid import identify
+
+    return identify(load(spark, sf_dir, "documents"))
+
+
+def op5_license_scan(spark, sf_dir):
+    from spanfold.llm.license_scan import scan_licenses
+
+    return scan_licenses(load(spark, sf_dir, "documents"))
+
+
+def op6_warc(spark, sf_dir):
+    from spanfold.llm.warc import read_archives, write_archives
+
+    target, manifest = write_archives(load(spark, sf_dir, "pages"))
+    return read_archives(target, manifest).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
+def op8_toxicity(spark, sf_dir):
+    from spanfold.llm.toxicity import classify
+
+    return classify(load(spark, sf_dir, "documents"), load(spark, sf_dir, "labels"))
+
+
+def op10_ann(spark, sf_dir):
+    from pyspark.sql import functions as F
+
+    from spanfold.llm.ann import nearest
+
+    return nearest(load(spark, sf_dir, "embeddings"), F.col("vec_id") % 20 == 0)
+
+
 def queries() -> dict:
     return {name: f for name, f in globals().items() if name.startswith("op")}
 

@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from spanfold.llm.common import ship, written
 from spanfold.llm.phrases import (
-    PHRASES, combine, marks_by_document, merge_marks, parse_documents, repeated_phrases, window_hashes,
+    combine, count_windows, marks_by_document, merge_marks, parse_documents, repeated_phrases, window_hashes,
 )
 
 LEAD_WORDS = 10
@@ -69,7 +69,7 @@ def remove_repeated_windows(docs: DataFrame, width: int = 50, with_text: bool =
                 codes = word_codes((body.as_py() or b"").split(), cache)
                 one, two = window_hashes(codes, width), window_hashes(codes, width, _SECOND)
                 p = np.asarray(ps.values, dtype=np.int64)
-                spots = np.unique(np.concatenate([np.arange(x >> 8, (x >> 8) + (x & 255)) for x in p]))
+                spots = np.unique(np.concatenate([np.arange(x >> 16, (x >> 16) + (x & 255)) for x in p]))
                 spots = spots[spots < len(one)]
                 found.append((one[spots].view(np.int64), two[spots].view(np.int64), np.full(len(spots), doc.as_py()), spots))
             if found:
@@ -98,11 +98,7 @@ def remove_repeated_windows(docs: DataFrame, width: int = 50, with_text: bool =
     parsed = texts.mapInArrow(phrases, "a long, s long, d long, p long, done boolean")
     marks = written(repeated_phrases(parsed), "word-phrases")
     clashes = marks_by_document(marks.where("open"))
-    open_windows = written(
-        texts.join(clashes, texts.doc_id == clashes.d).select("doc_id", "body", "ps").mapInArrow(windows, "h1 long, h2 long, d long, w long"), "word-windows"
-    )
-    counted = written(open_windows.groupBy("h1", "h2").agg(F.min("d").alias("first_doc"), F.max("d").alias("last_doc")).where("first_doc < last_doc").drop("last_doc"), "word-counts")
-    later = open_windows.join(counted, ["h1", "h2"]).where("d > first_doc").select("d", F.expr("shiftleft(w, 8) | 1L").alias("p"))
+    later = count_windows(texts.join(clashes, texts.doc_id == clashes.d).select("doc_id", "body", "ps").mapInArrow(windows, "h1 long, h2 long, d long, w long"))
     ranges = marks_by_document(marks.where("not open").select("d", "p").unionByName(later))
     out = texts.join(ranges, texts.doc_id == ranges.d, "left").select("doc_id", "body", "ps")
     out = out.mapInArrow(finish, "doc_id long, n_words long, n_removed long, kept_sha256 string, n_spans long, kept_text string")
