@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -79,7 +80,7 @@ def sliding_min(x: np.ndarray, w: int) -> np.ndarray:
 
 
 def parse(codes: np.ndarray, ends: np.ndarray, width: int, k: int):
-    """Phrases of documents laid end to end: (leader hash, phrase hash, first window, leader, windows).
+    """Phrases of documents laid end to end: (leader hash, phrase hash, first window, windows).
 
     `ends` are the ascending document ends within `codes`; windows never cross them.
     """
@@ -106,13 +107,13 @@ def parse(codes: np.ndarray, ends: np.ndarray, width: int, k: int):
     if not len(first):
         return None
     whole = mix(stretch_hash(sums, first, count + width - 1) + count.astype(np.uint64) * U(_BASE))
-    return grams[lead[first]], whole, first, lead[first], count
+    return grams[lead[first]], whole, first, count
 
 
 def parse_documents(docs, width: int, k: int):
     """docs: iterable of (doc id, codes). Yields (leader, phrase, doc, place) arrays.
 
-    A place packs first window << 16 | leader's distance from it << 8 | windows; width is below 256.
+    A place packs first window << 24 | windows.
     """
     part, ids, offs, total = [], [], [], 0
 
@@ -122,10 +123,10 @@ def parse_documents(docs, width: int, k: int):
         got = parse(codes, ends, width, k)
         if got is None:
             return None
-        lead, whole, first, leader, count = got
+        lead, whole, first, count = got
         which = np.searchsorted(ends, first, side="right")
         starts = first - np.concatenate(([0], ends[:-1]))[which] + np.array(offs, dtype=np.int64)[which]
-        return lead.view(np.int64), whole.view(np.int64), np.array(ids, dtype=np.int64)[which], (starts << 16) | ((leader - first) << 8) | count
+        return lead.view(np.int64), whole.view(np.int64), np.array(ids, dtype=np.int64)[which], (starts << 24) | count
 
     for doc, codes in docs:
         for at in range(0, max(1, len(codes) - width + 1), _SPAN - width):
@@ -144,30 +145,50 @@ def parse_documents(docs, width: int, k: int):
         yield out
 
 
-PHRASES = pa.schema([("a", pa.int64()), ("s", pa.int64()), ("d", pa.int64()), ("p", pa.int64()), ("done", pa.bool_())])
-MARKS = pa.schema([("open", pa.bool_()), ("a", pa.int64()), ("d", pa.int64()), ("p", pa.int64())])
+#: Rows of the shuffle, in the order that packs best: the document and the high bytes of the place
+#: repeat from row to row (places are byte-swapped, their lowest bit tells decided stretches).
+PHRASES = pa.schema([("d", pa.int64()), ("p", pa.int64()), ("a", pa.int64()), ("s", pa.int64())])
+MARKS = pa.schema([("open", pa.bool_()), ("d", pa.int64()), ("p", pa.int64())])
+SHAPE = "d long, p long, a long, s long"
 
 
 def combine(arrays) -> pa.RecordBatch:
     """Combine before the shuffle: of equal phrases in a batch, those of later documents are decided
-    at once; they travel under a scattered key, so a phrase that fills the corpus makes no hot key."""
+    at once and joined into stretches; these travel under a scattered key, so a phrase that fills
+    the corpus makes no hot key."""
     a, s, d, p = (np.concatenate(x) for x in zip(*arrays))
     order = np.argsort(s)
-    a, s, d, p = a[order], s[order], d[order], p[order]
+    ordered, owner = s[order], d[order]
     head = np.empty(len(s), dtype=bool)
     head[0] = True
-    np.not_equal(s[1:], s[:-1], out=head[1:])
-    least = np.minimum.reduceat(d, np.flatnonzero(head))
-    done = d > least[np.cumsum(head) - 1]
-    a = np.where(done, mix((d ^ (p << 20)).view(np.uint64)).view(np.int64), a)
-    return pa.record_batch([a, s, d, p, done], schema=PHRASES)
+    np.not_equal(ordered[1:], ordered[:-1], out=head[1:])
+    least = np.minimum.reduceat(owner, np.flatnonzero(head))
+    done = np.empty(len(s), dtype=bool)
+    done[order] = owner > least[np.cumsum(head) - 1]
+    p_done, d_done = p[done], d[done]
+    a, s, d, p = a[~done], s[~done], d[~done], p[~done]
+    if len(p_done):
+        start, count = p_done >> 24, p_done & 0xFFFFFF
+        new = np.ones(len(start), dtype=bool)
+        new[1:] = (d_done[1:] != d_done[:-1]) | (start[1:] != start[:-1] + count[:-1])
+        at = np.flatnonzero(new)
+        total = np.add.reduceat(count, at)
+        d_done, start = d_done[at], start[at]
+        key = mix((d_done ^ (start << 32)).view(np.uint64)).view(np.int64)
+        a, s, d = np.concatenate((a, key)), np.concatenate((s, key)), np.concatenate((d, d_done))
+        p = np.concatenate((p << 1, (((start << 24) | total) << 1) | 1))
+    else:
+        p = p << 1
+    return pa.record_batch([d, p.byteswap(), a, s], schema=PHRASES)
 
 
 def resolve(batches):
     """Batches sorted by (a, s, d): marks for decided phrases, open entries for conflicting ones."""
 
-    def settle(a, s, d, p, done):
-        ready = pa.record_batch([np.zeros(done.sum(), bool), a[done], d[done], p[done]], schema=MARKS)
+    def settle(d, p, a, s):
+        p = p.byteswap()
+        done, p = (p & 1) == 1, p >> 1
+        ready = pa.record_batch([np.zeros(done.sum(), bool), d[done], p[done]], schema=MARKS)
         a, s, d, p = a[~done], s[~done], d[~done], p[~done]
         if not len(a):
             return [ready]
@@ -184,18 +205,18 @@ def resolve(batches):
         clash = ~later & mixed[np.cumsum(new_a) - 1]
         return [
             ready,
-            pa.record_batch([np.zeros(later.sum(), bool), a[later], d[later], p[later]], schema=MARKS),
-            pa.record_batch([np.ones(clash.sum(), bool), a[clash], d[clash], p[clash]], schema=MARKS),
+            pa.record_batch([np.zeros(later.sum(), bool), d[later], p[later]], schema=MARKS),
+            pa.record_batch([np.ones(clash.sum(), bool), d[clash], p[clash]], schema=MARKS),
         ]
 
     held = None
     for batch in batches:
-        cols = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(5)]
+        cols = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(4)]
         if not len(cols[0]):
             continue
         if held is not None:
             cols = [np.concatenate(x) for x in zip(held, cols)]
-        cut = int(np.searchsorted(cols[0], cols[0][-1]))  # the last leader may go on
+        cut = int(np.searchsorted(cols[2], cols[2][-1]))  # the last leader may go on
         if cut:
             yield from settle(*(c[:cut] for c in cols))
         held = [c[cut:].copy() for c in cols]
@@ -204,15 +225,15 @@ def resolve(batches):
 
 
 def repeated_phrases(parsed: DataFrame) -> DataFrame:
-    """(a, s, d, p, done) rows to (open, a, d, p): stretches to remove, and entries still open."""
-    return parsed.repartition("a").sortWithinPartitions("a", "s", "d").mapInArrow(resolve, "open boolean, a long, d long, p long")
+    """(d, p, a, s) rows to (open, d, p): stretches to remove, and entries still open."""
+    return parsed.repartition("a").sortWithinPartitions("a", "s", "d").mapInArrow(resolve, "open boolean, d long, p long")
 
 
 def merge_marks(marks, n: int, width: int) -> np.ndarray:
     """Covered symbols of a document of n symbols from packed places."""
     edge = np.zeros(n + 2, dtype=np.int64)
     marks = np.asarray(marks, dtype=np.int64)
-    start, count = marks >> 16, marks & 255
+    start, count = marks >> 24, marks & 0xFFFFFF
     np.add.at(edge, np.minimum(start, n), 1)
     np.add.at(edge, np.minimum(start + count + width - 1, n), -1)
     return np.cumsum(edge)[:n] > 0
@@ -227,7 +248,25 @@ def count_windows(open_windows: DataFrame) -> DataFrame:
     open_windows = written(open_windows, "windows")
     counted = open_windows.groupBy("h1", "h2").agg(F.min("d").alias("first_doc"), F.max("d").alias("last_doc")).where("first_doc < last_doc")
     counted = written(counted.drop("last_doc"), "window-counts")
-    return open_windows.join(counted, ["h1", "h2"]).where("d > first_doc").select("d", F.expr("shiftleft(w, 16) | 1L").alias("p"))
+    return open_windows.join(counted, ["h1", "h2"]).where("d > first_doc").select("d", F.expr("shiftleft(w, 24) | 1L").alias("p"))
+
+
+def packed(docs: DataFrame) -> DataFrame:
+    """doc_id and the compressed body (and the columns after them): what is shuffled where
+    documents meet their marks."""
+
+    def run(batches):
+        press = zstandard.ZstdCompressor(level=3)
+        for batch in batches:
+            body = [press.compress(b.as_buffer()) if b.is_valid else None for b in batch.column(1)]
+            cols = batch.columns
+            yield pa.record_batch([cols[0], pa.array(body, pa.binary()), *cols[2:]], names=batch.schema.names)
+
+    return docs.mapInArrow(run, docs.schema)
+
+
+def unpacked(body) -> bytes:
+    return zstandard.decompress(body.as_buffer()) if body.is_valid else b""
 
 
 def marks_by_document(marks: DataFrame) -> DataFrame:

@@ -8,17 +8,16 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 from spanfold.llm.common import ship, written
 from spanfold.llm.phrases import (
-    combine, count_windows, marks_by_document, merge_marks, mix, parse_documents, prefix_hashes, repeated_phrases, stretch_hash, window_hashes,
+    SHAPE, combine, marks_by_document, merge_marks, mix, packed, parse_documents, prefix_hashes, repeated_phrases, stretch_hash, unpacked, window_hashes,
 )
 from spanfold.llm.rlbwt import RunLengthIndex
 
 LEAD_BYTES = 20
 BLOCK = 1 << 20  # symbols in one index
-HOT = 20_000  # pieces under one key beyond which their windows are counted instead
-_SECOND = 0xD1342543DE82EF95
 
 
 def byte_codes(body: bytes) -> np.ndarray:
@@ -33,27 +32,28 @@ def index_pieces(docs: np.ndarray, starts: np.ndarray, pieces: list[bytes], widt
     hit = hit[index.least_owner(rows[hit]) < docs[index.piece[hit]]]
     piece = index.piece[hit]
     first = np.concatenate(([0], index.ends[:-1] + 1))[piece]
-    return docs[piece], ((starts[piece] + hit - first) << 16) | 1
+    return docs[piece], ((starts[piece] + hit - first) << 24) | 1
 
 
-def remove_repeated_bytes(docs: DataFrame, width: int = 50, with_text: bool = False) -> DataFrame:
+def remove_repeated_bytes(docs: DataFrame, width: int = 50, with_text: bool = False, carry: tuple[str, ...] = ()) -> DataFrame:
     """One row per input row: doc_id, n_bytes, n_removed, n_spans, kept_sha256 (and kept_text).
 
     A byte goes if a `width`-byte string covers it that also starts in a row of smaller doc_id;
     strings are judged on the input. Only doc_id and text are read. Null text is empty; texts
     shorter than a string are kept whole. Rows with a null doc_id are kept whole and cost others
     nothing; rows that share a doc_id pool their marks, clipped to each row's length. kept_text is
-    the kept bytes; a character that lost some of its bytes goes with them.
+    the kept bytes; a character that lost some of its bytes goes with them. Columns named in `carry`
+    come along unchanged.
 
     Plan: a content-defined parse makes a dictionary of phrases (equal phrases are one entry, the
     prefix-free way of building the transform of a repetitive corpus). Entries that share a leader
     but differ give their texts to blocks, each of which gets a run-length index; every entry's
     text is streamed through the index for its matching statistics, and matches of full width
-    whose smallest owner is an earlier document are marked. A key shared by more than HOT pieces
-    has the rolling hashes of its windows counted in Spark instead, since one block could not hold
-    it; both ways are exact.
+    whose smallest owner is an earlier document are marked. A block ends between keys, but where one
+    key alone exceeds it: then its windows are dealt to blocks by a hash of the window, equal ones
+    together, so a block stays small and the result exact.
     """
-    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("body"))
+    texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("body"), *([F.struct(*carry).alias("rest")] if carry else []))
     side = (width - LEAD_BYTES) // 2
 
     def phrases(batches):
@@ -76,12 +76,17 @@ def remove_repeated_bytes(docs: DataFrame, width: int = 50, with_text: bool = Fa
         for batch in batches:
             out = []
             for doc, body, ps in zip(*(batch.column(i) for i in range(3))):
-                doc, body = doc.as_py(), body.as_py() or b""
+                doc, body = doc.as_py(), unpacked(body)
                 p = np.unique(np.asarray(ps.values, dtype=np.int64))
-                p = p[(p >> 16) + (p & 255) + width - 1 <= len(body)]
-                q, off, count = p >> 16, p >> 8 & 255, p & 255
-                lead = q + off
+                q, count = p >> 24, p & 0xFFFFFF
+                inside = q + count + width - 1 <= len(body)
+                q, count = q[inside], count[inside]
                 sums = prefix_hashes(byte_codes(body))
+                # the leader is the smallest k-gram of those that all the entry's windows share
+                span = np.arange(width - LEAD_BYTES + 1)
+                at = np.minimum((q + count - 1)[:, None] + span, (q + width - LEAD_BYTES)[:, None])
+                grams = mix(stretch_hash(sums, at, LEAD_BYTES)) >> np.uint64(21)
+                lead = at[np.arange(len(at)), grams.argmin(axis=1)] if len(at) else q
                 cut = np.clip(lead - side + 1, q, q + count)
                 for lo, hi, key_at in ((q, cut, lead - side), (cut, q + count, lead)):
                     ok = np.flatnonzero(hi > lo)
@@ -99,42 +104,47 @@ def remove_repeated_bytes(docs: DataFrame, width: int = 50, with_text: bool = Fa
                 doc, p = index_pieces(d[where], q[where], [piece[i] for i in where], width)
                 yield pa.record_batch([doc, p], names=["d", "p"])
 
-        held, room = None, 0
+        def deal(k, d, q, piece):
+            """A key that no block holds: single windows, in groups by their hash."""
+            parts = 2 + int(sum(len(x) * 4 for x in piece)) // BLOCK * 4
+            for part in range(parts):
+                rows = []
+                for doc, at, x in zip(d, q, piece):
+                    own = window_hashes(byte_codes(x), width) >> np.uint64(33)
+                    rows += [(doc, at + i, x[i : i + width]) for i in np.flatnonzero(own % np.uint64(parts) == part).tolist()]
+                if rows:
+                    dd, qq, xx = zip(*rows)
+                    doc, p = index_pieces(np.array(dd), np.array(qq), list(xx), width)
+                    yield pa.record_batch([doc, p], names=["d", "p"])
+
+        held = None
         for batch in batches:
             cols = [batch.column(i).to_numpy() for i in range(3)] + [np.array(batch.column(3).to_pylist(), dtype=object)]
             if not len(cols[0]):
                 continue
             held = cols if held is None else [np.concatenate(x) for x in zip(held, cols)]
-            while True:
+            while len(held[0]):
                 sizes = np.cumsum([len(x) + 1 for x in held[3]])
                 if sizes[-1] <= BLOCK:
                     break
                 over = int(np.searchsorted(sizes, BLOCK))
                 cut = int(np.searchsorted(held[0], held[0][over]))  # whole keys only
-                if not cut:
+                if cut:
+                    yield from settle(*(c[:cut] for c in held))
+                else:
                     cut = int(np.searchsorted(held[0], held[0][0], side="right"))
                     if cut == len(held[0]):
                         break
-                yield from settle(*(c[:cut] for c in held))
+                    yield from (deal if sizes[cut - 1] > 4 * BLOCK else settle)(*(c[:cut] for c in held))
                 held = [c[cut:] for c in held]
         if held is not None and len(held[0]):
-            yield from settle(*held)
-
-    def windows(batches):
-        for batch in batches:
-            found = []
-            for d, q, piece in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2).to_pylist()):
-                codes = byte_codes(piece)
-                one = window_hashes(codes, width)
-                found.append((one.view(np.int64), window_hashes(codes, width, _SECOND).view(np.int64), np.full(len(one), d), q + np.arange(len(one))))
-            if found:
-                yield pa.record_batch([np.concatenate(x) for x in zip(*found)], names=["h1", "h2", "d", "w"])
+            yield from (deal if held[0][0] == held[0][-1] and sum(map(len, held[3])) > 4 * BLOCK else settle)(*held)
 
     def finish(batches):
         for batch in batches:
             out = []
             for doc, body, ps in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2)):
-                kept = body.as_py() or b""
+                kept = unpacked(body)
                 n, n_removed, n_spans = len(kept), 0, 0
                 if ps.is_valid:
                     gone = merge_marks(np.asarray(ps.values), n, width)
@@ -143,23 +153,21 @@ def remove_repeated_bytes(docs: DataFrame, width: int = 50, with_text: bool = Fa
                     kept = np.frombuffer(kept, dtype=np.uint8)[~gone].tobytes()
                 out.append((doc, n, n_removed, n_spans, hashlib.sha256(kept).hexdigest(), kept.decode("utf-8", "ignore") if with_text else None))
             if out:
-                yield pa.record_batch(
-                    [pa.array(x, t) for x, t in zip(zip(*out), (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string()))],
-                    names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept_text"],
-                )
+                cols = [pa.array(x, t) for x, t in zip(zip(*out), (pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string()))]
+                names = ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept_text"]
+                yield pa.record_batch(cols + [batch.column(i) for i in range(3, batch.num_columns)], names=names + ["rest"] * (batch.num_columns - 3))
 
-    parsed = texts.mapInArrow(phrases, "a long, s long, d long, p long, done boolean")
-    marks = written(repeated_phrases(parsed), "byte-phrases")
+    bodies = packed(texts)
+    marks = written(repeated_phrases(texts.select("doc_id", "body").mapInArrow(phrases, SHAPE)), "byte-phrases")
     open_docs = marks_by_document(marks.where("open"))
-    pieces = written(texts.join(open_docs, texts.doc_id == open_docs.d).select("doc_id", "body", "ps").mapInArrow(entries, "k long, d long, q long, piece binary"), "pieces")
-    hot = pieces.groupBy("k").count().where(F.col("count") > HOT).select("k", F.lit(True).alias("hot"))
-    dealt = pieces.join(written(hot, "hot-pieces"), "k", "left")
-    calm = dealt.where("hot is null").select("k", "d", "q", "piece").repartition("k").sortWithinPartitions("k", "d").mapInArrow(indexed, "d long, p long")
-    crowded = count_windows(dealt.where("hot").select("d", "q", "piece").mapInArrow(windows, "h1 long, h2 long, d long, w long"))
-    ranges = marks_by_document(marks.where("not open").select("d", "p").unionByName(calm).unionByName(crowded))
-    out = texts.join(ranges, texts.doc_id == ranges.d, "left").select("doc_id", "body", "ps")
-    out = out.mapInArrow(finish, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept_text string")
-    return out if with_text else out.drop("kept_text")
+    pieces = bodies.join(open_docs, bodies.doc_id == open_docs.d).select("doc_id", "body", "ps").mapInArrow(entries, "k long, d long, q long, piece binary")
+    matched = pieces.repartition("k").sortWithinPartitions("k", "d").mapInArrow(indexed, "d long, p long")
+    ranges = marks_by_document(marks.where("not open").select("d", "p").unionByName(matched))
+    out = bodies.join(ranges, bodies.doc_id == ranges.d, "left").select("doc_id", "body", "ps", *(["rest"] if carry else []))
+    shape = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept_text string"
+    shape = StructType(StructType.fromDDL(shape).fields + [f for f in texts.schema.fields if f.name == "rest"])
+    out = out.mapInArrow(finish, shape)
+    return out.select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", *(["kept_text"] if with_text else []), *(["rest.*"] if carry else []))
 
 
 ship(__name__)

@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 
 from spanfold.llm.common import ship, written
 from spanfold.llm.phrases import (
-    combine, count_windows, marks_by_document, merge_marks, parse_documents, repeated_phrases, window_hashes,
+    SHAPE, combine, count_windows, marks_by_document, merge_marks, packed, parse_documents, repeated_phrases, unpacked, window_hashes,
 )
 
 LEAD_WORDS = 10
@@ -66,10 +66,10 @@ def remove_repeated_windows(docs: DataFrame, width: int = 50, with_text: bool =
         for batch in batches:
             found = []
             for doc, body, ps in zip(*(batch.column(i) for i in range(3))):
-                codes = word_codes((body.as_py() or b"").split(), cache)
+                codes = word_codes(unpacked(body).split(), cache)
                 one, two = window_hashes(codes, width), window_hashes(codes, width, _SECOND)
                 p = np.asarray(ps.values, dtype=np.int64)
-                spots = np.unique(np.concatenate([np.arange(x >> 16, (x >> 16) + (x & 255)) for x in p]))
+                spots = np.unique(np.concatenate([np.arange(x >> 24, (x >> 24) + (x & 0xFFFFFF)) for x in p]))
                 spots = spots[spots < len(one)]
                 found.append((one[spots].view(np.int64), two[spots].view(np.int64), np.full(len(spots), doc.as_py()), spots))
             if found:
@@ -79,7 +79,7 @@ def remove_repeated_windows(docs: DataFrame, width: int = 50, with_text: bool =
         for batch in batches:
             out = []
             for doc, body, ps in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2)):
-                words = (body.as_py() or b"").split()
+                words = unpacked(body).split()
                 n_removed = n_spans = 0
                 if ps.is_valid:
                     gone = merge_marks(np.asarray(ps.values), len(words), width)
@@ -95,12 +95,13 @@ def remove_repeated_windows(docs: DataFrame, width: int = 50, with_text: bool =
                     names=["doc_id", "n_words", "n_removed", "kept_sha256", "n_spans", "kept_text"],
                 )
 
-    parsed = texts.mapInArrow(phrases, "a long, s long, d long, p long, done boolean")
+    parsed = texts.mapInArrow(phrases, SHAPE)
+    bodies = packed(texts)
     marks = written(repeated_phrases(parsed), "word-phrases")
     clashes = marks_by_document(marks.where("open"))
-    later = count_windows(texts.join(clashes, texts.doc_id == clashes.d).select("doc_id", "body", "ps").mapInArrow(windows, "h1 long, h2 long, d long, w long"))
+    later = count_windows(bodies.join(clashes, bodies.doc_id == clashes.d).select("doc_id", "body", "ps").mapInArrow(windows, "h1 long, h2 long, d long, w long"))
     ranges = marks_by_document(marks.where("not open").select("d", "p").unionByName(later))
-    out = texts.join(ranges, texts.doc_id == ranges.d, "left").select("doc_id", "body", "ps")
+    out = bodies.join(ranges, bodies.doc_id == ranges.d, "left").select("doc_id", "body", "ps")
     out = out.mapInArrow(finish, "doc_id long, n_words long, n_removed long, kept_sha256 string, n_spans long, kept_text string")
     return out if with_text else out.drop("kept_text")
 
