@@ -138,8 +138,8 @@ def nearest(vectors: DataFrame, query_rows, k: int = 20, id_col: str = "vec_id",
     reach = math.sqrt(facts.reach or 0.0)
     clean = clean.where(F.size("v") == (facts.size or 0))
     h = F.xxhash64("id")
-    data = clean.select("id", "v", F.pmod(h, F.lit(blocks)).alias("b"), F.explode(F.sequence(F.lit(0), F.lit(groups - 1))).alias("g"))
-    asks = clean.where("asks").dropDuplicates(["id"]).select("id", "v", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))).cast("long").alias("b"), F.pmod(F.shiftright(h, 20), F.lit(groups)).cast("int").alias("g"))
+    data = clean.select("id", "v", F.pmod(h, F.lit(blocks).cast("long")).alias("b"), F.explode(F.sequence(F.lit(0), F.lit(groups - 1))).alias("g"))
+    asks = clean.where("asks").dropDuplicates(["id"]).select("id", "v", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(blocks - 1).cast("long"))).alias("b"), F.pmod(F.shiftright(h, 20), F.lit(groups)).cast("int").alias("g"))
 
     def pair(key, left: pa.Table, right: pa.Table) -> pa.Table:
         names = ["query_id", "vec_id", "score"]

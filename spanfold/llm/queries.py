@@ -17,12 +17,24 @@ def op9_window_dedup(spark, sf_dir):
     return remove_repeated_windows(load(spark, sf_dir, "documents"))
 
 
+def op1_mixing(spark, sf_dir):
+    from spanfold.llm.mixing import mixed_sizes
+
+    return mixed_sizes(load(spark, sf_dir, "documents"))
+
+
 def op2_suffix_dedup(spark, sf_dir):
     from spanfold.llm.suffix_dedup import remove_repeated_bytes
 
     return remove_repeated_bytes(load(spark, sf_dir, "documents"))
 
 
+def op3_decontam(spark, sf_dir):
+    from spanfold.llm.decontam import contaminated
+
+    return contaminated(load(spark, sf_dir, "documents"), load(spark, sf_dir, "benchmark"))
+
+
 def op4_langid(spark, sf_dir):
     from spanfold.llm.langid import identify
 

@@ -14,7 +14,8 @@ from pyspark.sql import functions as F
 from spanfold.llm.common import crc_mod, ship
 
 BUCKETS = 1 << 15
-DIMS = 8  # of each of the two hashed tables
+TABLES = 4  # hashed twice by the word, and by its first four and first five letters
+DIMS = 6  # of each table
 WIDTHS = (1, 2, 3)
 FILTERS = 8  # of each width
 SAMPLE = 4000  # labelled rows of each class used for training at most
@@ -22,7 +23,8 @@ LETTERS = 128
 
 
 def _word_ids(text: str, cache: dict) -> np.ndarray:
-    """Two hash buckets for each lower-cased word of letters, shape (words, 2)."""
+    """Buckets of each lower-cased word of letters, shape (words, TABLES): two by the whole word, so
+    that a chance collision shows in one only, and two by its start, for inflected words."""
     out = []
     for w in re.findall(r"[^\W\d_]+", text.lower()):
         ids = cache.get(w)
@@ -30,9 +32,9 @@ def _word_ids(text: str, cache: dict) -> np.ndarray:
             if len(cache) > 300_000:
                 cache.clear()
             b = w.encode()
-            ids = cache[w] = (zlib.crc32(b) % BUCKETS, zlib.adler32(b[::-1], zlib.crc32(b"#" + b)) % BUCKETS)
+            ids = cache[w] = tuple(zlib.crc32(x) % BUCKETS for x in (b, b"#" + b, b"4" + w[:4].encode(), b"5" + w[:5].encode()))
         out.append(ids)
-    return np.array(out, dtype=np.int32).reshape(-1, 2)
+    return np.array(out, dtype=np.int32).reshape(-1, TABLES)
 
 
 def _letter_profile(text: str) -> np.ndarray:
@@ -45,7 +47,7 @@ def _letter_profile(text: str) -> np.ndarray:
 @dataclass
 class Network:
     tables: list
-    kernels: dict  # width -> (width, 2 * DIMS, FILTERS)
+    kernels: dict  # width -> (width, TABLES * DIMS, FILTERS)
     biases: dict
     out: np.ndarray
     out_bias: float
@@ -56,8 +58,8 @@ class Network:
     @staticmethod
     def fresh(seed: int) -> "Network":
         rng = np.random.default_rng(seed)
-        tables = [np.vstack([rng.normal(0, 0.1, (BUCKETS, DIMS)), np.zeros((1, DIMS))]).astype(np.float32) for _ in range(2)]
-        kernels = {w: rng.normal(0, 0.4, (w, 2 * DIMS, FILTERS)).astype(np.float32) for w in WIDTHS}
+        tables = [np.vstack([rng.normal(0, 0.1, (BUCKETS, DIMS)), np.zeros((1, DIMS))]).astype(np.float32) for _ in range(TABLES)]
+        kernels = {w: rng.normal(0, 0.4, (w, TABLES * DIMS, FILTERS)).astype(np.float32) for w in WIDTHS}
         return Network(tables, kernels, {w: np.zeros(FILTERS, np.float32) for w in WIDTHS}, rng.normal(0, 0.3, FILTERS * len(WIDTHS)).astype(np.float32), 0.0)
 
     def activations(self, ids: np.ndarray) -> tuple[np.ndarray, dict]:
@@ -94,7 +96,7 @@ def _chunks(docs, room: int = 60_000):
 
 def _lay(docs):
     """Documents end to end, each followed by as much padding as the widest filter needs."""
-    pad = np.full((max(WIDTHS), 2), BUCKETS, dtype=np.int32)
+    pad = np.full((max(WIDTHS), TABLES), BUCKETS, dtype=np.int32)
     parts = [x for d in docs for x in (d, pad)]
     sizes = [len(d) + len(pad) for d in docs]
     return np.concatenate(parts), np.concatenate(([0], np.cumsum(sizes)[:-1])).astype(np.int64)
@@ -136,8 +138,8 @@ def train(docs: list[np.ndarray], labels: np.ndarray, epochs: int = 14, rate: fl
                 for j in range(w):
                     rows = np.minimum(where[n] + j, len(ids) - 1)
                     gk[j] = np.einsum("bfd,bf->df", x[rows], g)
-                    table_ids.append(ids[rows].reshape(-1, 2))
-                    table_grads.append((g[:, :, None] * net.kernels[w][j].T[None]).reshape(-1, 2 * DIMS))
+                    table_ids.append(ids[rows].reshape(-1, TABLES))
+                    table_grads.append((g[:, :, None] * net.kernels[w][j].T[None]).reshape(-1, TABLES * DIMS))
                 grads.append(gk)
             grads += [back[:, n * FILTERS : (n + 1) * FILTERS].sum(axis=0) for n in range(len(WIDTHS))]
             step += 1
@@ -147,7 +149,7 @@ def train(docs: list[np.ndarray], labels: np.ndarray, epochs: int = 14, rate: fl
                 p -= lr * (m1 / (1 - 0.9**step)) / (np.sqrt(m2 / (1 - 0.999**step)) + 1e-8)
             net.out_bias -= lr * float(err.sum())
             touched, moved = np.concatenate(table_ids), np.concatenate(table_grads)
-            for t in range(2):
+            for t in range(TABLES):
                 rows, inverse = np.unique(touched[:, t], return_inverse=True)
                 g = np.zeros((len(rows), DIMS), dtype=np.float32)
                 np.add.at(g, inverse, moved[:, t * DIMS : (t + 1) * DIMS])
@@ -236,6 +238,22 @@ def score(docs: DataFrame, net: Network | None) -> DataFrame:
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, score double")
 
 
+def drop_toxic(docs: DataFrame, net: Network | None, cut: float = 0.5) -> DataFrame:
+    """The rows of docs, all columns, whose score is below the cut; one pass without a shuffle."""
+    at = docs.columns.index("text")
+
+    def run(batches):
+        cache: dict = {}
+        for batch in batches:
+            texts = [t or "" for t in batch.column(at).to_pylist()]
+            z = net.logits([_word_ids(t, cache) for t in texts])
+            guess = [int((net.profiles @ _letter_profile(t)).argmax()) for t in texts]
+            p = 1 / (1 + np.exp(-np.clip(z - net.cuts[guess], -40, 40)))
+            yield batch.filter(pa.array(p < cut))
+
+    return docs if net is None else docs.mapInArrow(run, docs.schema)
+
+
 def classify(docs: DataFrame, labels: DataFrame, folds: int = 5) -> DataFrame:
     """doc_id, held_out, score, predicted. Labels are learned from documents outside the held-out
     fold (crc32 of the doc_id text, remainder 0); a null doc_id is not held out and not learned."""
