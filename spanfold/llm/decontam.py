@@ -44,14 +44,14 @@ def _windows(tokens: Column, size: int) -> Column:
 
 
 def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, least: float = LEAST_COVER) -> DataFrame:
-    """(doc_id, item_id, n_windows, coverage, n_slots, slot_match, verbatim): one row for each
+    """(doc_id, item_id, n_windows, coverage, n_slots, slot_match, same_slots): one row for each
     document and benchmark item whose template windows it holds to the share `least`.
 
     Templates are compared, so an item whose numbers, units or names were changed matches as well.
     For such pairs the document's stretch is read again: slot_match is the share of the item's slot
     values that keep to one value in the document wherever they recur (1 when there are none), and
-    a pair whose slots contradict each other (below one half) is dropped. verbatim: all windows
-    match and no slot value changed. Null and empty texts match nothing, null doc_id or item_id rows
+    a pair whose slots contradict each other (below one half) is dropped. same_slots: no slot value
+    changed. Null and empty texts match nothing, null doc_id or item_id rows
     are skipped, repeated rows count once; only doc_id, text and item_id, text are read.
 
     Plan: windows are hashed inside the scan; the benchmark's windows are broadcast when counted
@@ -88,6 +88,6 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, le
     out = pairs.join(checked, ["doc_id", "item_id"], "left").select(
         "doc_id", "item_id", "n_windows", "coverage",
         F.coalesce("n_slots", F.lit(0)).alias("n_slots"), F.coalesce("slot_match", F.lit(1.0)).alias("slot_match"),
-        ((F.col("coverage") >= 1.0) & F.coalesce("same", F.lit(True))).alias("verbatim"),
+        F.coalesce("same", F.lit(True)).alias("same_slots"),
     )
     return out.where("slot_match >= 0.5")

@@ -34,7 +34,8 @@ def source_targets(sizes: DataFrame, cap: float = 3.0) -> DataFrame:
     per = per.withColumn("spent", F.coalesce(F.sum("full").over(before), F.lit(0.0))).withColumn("taken", F.coalesce(F.sum("weight").over(before), F.lit(0.0)))
     level_here = (F.col("total") - F.col("spent")) / (F.col("weights") - F.col("taken"))
     # the level is set by the first source that it does not fill
-    level = F.min(F.when(level_here <= F.col("fill"), level_here)).over(everyone)
+    per = per.withColumn("level_at", F.struct(F.row_number().over(by_fill).alias("at"), level_here.alias("level"))).withColumn("holds", level_here <= F.col("fill"))
+    level = F.min(F.when(F.col("holds"), F.col("level_at"))).over(everyone)["level"]
     return per.select("source", "source_size", F.least("full", F.coalesce(level, F.lit(0.0)) * F.col("weight")).alias("target"))
 
 
@@ -90,7 +91,7 @@ def mix(docs: DataFrame, block: int = BLOCK_WORDS, shard_slots: int = SHARD_SLOT
         F.col("doc_id").cast("long").alias("doc_id"),
         F.col("source").cast("string").alias("source"),
         F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long").alias("size"),
-        F.xxhash64("text", "doc_id").alias("row"),
+        F.xxhash64("text", F.col("doc_id").cast("long")).alias("row"),
     )
     rows = written(rows.withColumn("source_key", F.sha2(F.concat(F.when(F.col("source").isNull(), "n").otherwise("s"), F.coalesce("source", F.lit(""))), 256)), "mix-documents")
     # rows that repeat each other are told apart by their number among equals
@@ -141,10 +142,13 @@ def mix(docs: DataFrame, block: int = BLOCK_WORDS, shard_slots: int = SHARD_SLOT
 def mixed_sizes(docs: DataFrame, **options) -> DataFrame:
     """doc_id, size, source_size, target, taken for every row; see `mix`."""
     spans, rows, sources = mix(docs, **options)
-    taken = spans.groupBy("doc_id", "row", "twin").agg(F.sum("n_words").alias("taken"))
-    same = [rows.row == taken.row, rows.doc_id.eqNullSafe(taken.doc_id), rows.twin == taken.twin]
-    out = rows.join(taken, same, "left").select(rows.doc_id, rows.size.alias("size"), rows.source_key, F.coalesce(taken.taken, F.lit(0)).cast("long").alias("taken"))
-    return out.join(F.broadcast(sources.select("source_key", "source_size", "target")) if sources.count() <= 10_000 else sources.select("source_key", "source_size", "target"), "source_key").select("doc_id", "size", F.col("source_size").cast("long"), "target", "taken")
+    taken = spans.groupBy(F.col("doc_id").alias("doc_"), F.col("row").alias("row_"), F.col("twin").alias("twin_")).agg(F.sum("n_words").alias("words_"))
+    same = F.col("doc_id").eqNullSafe(F.col("doc_")) & (F.col("row") == F.col("row_")) & (F.col("twin") == F.col("twin_"))
+    out = rows.join(taken, same, "left").select("doc_id", "size", F.col("source_key").alias("of_"), F.coalesce("words_", F.lit(0)).cast("long").alias("taken"))
+    per = sources.select("source_key", F.col("source_size").cast("long").alias("source_size"), "target")
+    if sources.count() <= 10_000:
+        per = F.broadcast(per)  # 100 bytes a source
+    return out.join(per, F.col("of_") == F.col("source_key")).select("doc_id", "size", "source_size", "target", "taken")
 
 
 def mixed_blocks(docs: DataFrame, block: int = BLOCK_WORDS, **options) -> DataFrame:
