@@ -58,12 +58,14 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, le
     below a bound and joined by hash otherwise; equal windows of a document combine first.
     """
     items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("item_text")).where("item_id is not null")
-    bench = items.select("item_id", F.explode(F.array_distinct(_windows(template(F.col("item_text")), window))).alias("h")).distinct()
+    bench = items.select("item_id", template(F.col("item_text")).alias("tokens"))
+    bench = bench.select("item_id", F.explode(F.array_distinct(_windows(F.col("tokens"), window))).alias("h")).distinct()
     sizes = bench.groupBy("item_id").agg(F.count("*").alias("of"))
     bench = written(bench.join(sizes, "item_id"), "benchmark-windows")
     small = bench.count() <= BROADCAST_ROWS
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where("doc_id is not null and text is not null")
-    seen = texts.select("doc_id", F.explode(_windows(template(F.col("text")), window)).alias("h"))
+    # tokens are a column of their own: inside the window function they would be made anew each time
+    seen = texts.select("doc_id", template(F.col("text")).alias("tokens")).select("doc_id", F.explode(_windows(F.col("tokens"), window)).alias("h"))
     keys = bench.select("h").distinct()
     hits = seen.join(F.broadcast(keys) if small else keys, "h").distinct()
     hits = written(hits, "window-hits")
