@@ -216,23 +216,27 @@ def fit(docs: DataFrame, labels: DataFrame, train_rows, sample: int = SAMPLE) ->
     return calibrate(net, [words[i] for i in pick], [rows[i].text or "" for i in pick], y[pick], [rows[i].lang for i in pick])
 
 
+def probabilities(net: Network | None, texts: list, cache: dict) -> np.ndarray:
+    """Score of each text; a text without words, and any text without a network, has score 0."""
+    if net is None:
+        return np.zeros(len(texts))
+    words = [_word_ids(t, cache) for t in texts]
+    guess = [int((net.profiles @ _letter_profile(t)).argmax()) for t in texts]
+    p = 1 / (1 + np.exp(-np.clip(net.logits(words) - net.cuts[guess], -40, 40)))
+    return np.where([len(w) > 0 for w in words], p, 0.0)
+
+
 def score(docs: DataFrame, net: Network | None) -> DataFrame:
     """doc_id, score (0 to 1) of every row's whole text; only doc_id and text are read.
 
-    Null and empty texts get the network's value for no words. Without a network: score 0.
+    Texts without words (null and empty ones too) have score 0, as has every text without a network.
     """
 
     def run(batches):
         cache: dict = {}
         for batch in batches:
             texts = [t or "" for t in batch.column(1).to_pylist()]
-            if net is None:
-                p = np.zeros(len(texts))
-            else:
-                words = [_word_ids(t, cache) for t in texts]
-                z = net.logits(words)
-                guess = [int((net.profiles @ _letter_profile(t)).argmax()) for t in texts]
-                p = 1 / (1 + np.exp(-np.clip(z - net.cuts[guess], -40, 40)))
+            p = probabilities(net, texts, cache)
             yield pa.record_batch([batch.column(0), pa.array(p, pa.float64())], names=["doc_id", "score"])
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, score double")
@@ -246,10 +250,7 @@ def drop_toxic(docs: DataFrame, net: Network | None, cut: float = 0.5) -> DataFr
         cache: dict = {}
         for batch in batches:
             texts = [t or "" for t in batch.column(at).to_pylist()]
-            z = net.logits([_word_ids(t, cache) for t in texts])
-            guess = [int((net.profiles @ _letter_profile(t)).argmax()) for t in texts]
-            p = 1 / (1 + np.exp(-np.clip(z - net.cuts[guess], -40, 40)))
-            yield batch.filter(pa.array(p < cut))
+            yield batch.filter(pa.array(probabilities(net, texts, cache) < cut))
 
     return docs if net is None else docs.mapInArrow(run, docs.schema)
 
