@@ -106,6 +106,24 @@ class Engine:
         answer.points_read = sum(s.points for s in scans)
         answer.t_io, answer.t_merge = read - began, time.perf_counter() - read
 
+    def extend(self, source: PointSource, answer: Answer, lo: int, hi: int) -> Answer:
+        """The model of an answer carried on to [lo, hi). Additive models gain and lose points;
+        a logistic model only gains chunks, whose weights join the average."""
+        from spanfold.functions.logistic import NotSubtractable
+        from spanfold.operators.combine import RangeModel, adjust
+
+        spec, old = answer.spec, answer.range
+        if spec.kind != "logit":
+            moved = adjust(RangeModel(old, answer.state), lo, hi, source, spec)
+            return Answer(spec, moved.range, moved.state, answer.plan)
+        if lo > old.lo or hi < old.hi:
+            raise NotSubtractable("a logistic model has no points to take away; ask for the smaller range")
+        parts = [answer.state]
+        for a, b in ((lo, old.lo), (old.hi, hi)):
+            if a < b:
+                parts.append(self.fit(source, spec, a, b, keep=True).state)
+        return Answer(spec, Range(lo, hi), average_models(parts), answer.plan)
+
     def scratch(self, source: PointSource, spec: ModelSpec, lo: int, hi: int) -> Answer:
         """The baseline: no kept model is used."""
         return self.fit(source, spec, lo, hi, plan=scan_plan(Range(lo, hi), self.cost, source.directory))

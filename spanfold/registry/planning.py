@@ -10,8 +10,8 @@ from spanfold.operators import combine as C
 from spanfold.operators.measures import accuracy_difference_frame, coverage_frame
 from spanfold.plans import planner as P
 from spanfold.plans.costs import LinearCost
-from spanfold.plans.ranges import Range, gaps, union
-from spanfold.plans.relevance import Kept, group_descriptors, group_models, relevant_by_closure, relevant_contained
+from spanfold.plans.ranges import Range, gaps
+from spanfold.plans.relevance import Kept, group_descriptors, relevant_by_closure, relevant_contained
 from spanfold.registry.base import ENDS_SQL, GROUPS_SQL, MODELS, MODELS_SQL, REQUEST, ends_of, events_sql, linreg_sql, query
 from spanfold.registry.state import bayes_rows, linreg_rows, size_of
 from spanfold.sources.layout import event_source, lineitem_source
@@ -345,9 +345,48 @@ def workload_bound(spark, sf_dir):
     return _rows(spark, rows)
 
 
-def groups_of(models) -> list:
-    return [(g.lo, g.hi, [m.model_id for m in own]) for g, own in group_models(models)]
+@query()
+def workload_real_data(spark, sf_dir):
+    """Small requests on given data (W9): events, and 32 components of the vectors with ten classes.
+    Cost relative to scanning, and the distance to the scratch state, which is 0."""
+    from spanfold.operators.measures import state_distance
+    from spanfold.plans.costs import Directory
+    from spanfold.sources.points import Feature, ModelSpec, PointSource, load
+
+    vectors = load(spark, sf_dir, "embeddings")
+    parts = tuple(Feature(f"e{i}", f"embedding[{i}]", 6, 1) for i in range(32))
+    wide = ModelSpec("gnb", "embeddings", "vec_id", parts, "cast(label as string)")
+    dense = PointSource(vectors, "vec_id", sf_dir, directory=Directory.dense(vectors.count()))
+    rows = []
+    for i, (source, spec) in enumerate(((event_source(spark, sf_dir), GNB_EVENTS), (dense, wide))):
+        n = size_of(source)
+        engine = Engine(spark)
+        W.keep_exact(engine, source, spec, W.place_models(n, 90, W.Sizes("uniform", 25_000, 50_000), seed=4, unit=n / 1e6))
+        for r in W.requests(n, 3, W.SMALL, seed=6, unit=n / 1e6):
+            answer = engine.fit(source, spec, *r)
+            rows.append({"table": i, "lo": r.lo, "hi": r.hi, "share": answer.plan.cost / (r.hi - r.lo), "points": answer.points_read, "distance": state_distance(answer.state, C.build(source, spec, *r).state)})
+    return _rows(spark, rows)
+
+
+@query(f"with {MODELS_SQL}, {GROUPS_SQL} select g.glo, g.ghi, g.n_models, count(*) as inside from grouped g join models m on m.lo >= g.glo and m.hi <= g.ghi group by g.glo, g.ghi, g.n_models")
+def sql_views(spark, sf_dir):
+    """Kept models and their groups as views for SQL."""
+    from spanfold.functions.udfs import register_views
+    from spanfold.sources.store import ModelStore
+
+    source = event_source(spark, sf_dir)
+    store = ModelStore(spark)
+    state = C.build(source, GNB_EVENTS, 0, 10).state
+    for m in KEPT:
+        store.put(GNB_EVENTS, m.range, state)
+    register_views(store, GNB_EVENTS)
+    return spark.sql("select g.glo, g.ghi, g.n_models, count(*) as inside from model_groups g join kept_models m on m.lo >= g.glo and m.hi <= g.ghi group by all")
+
 
+@query(f"with {MODELS_SQL} select cast(sum(sign * (hi - lo)) as bigint) as net from (select {REQUEST[1]} as hi, {REQUEST[0]} as lo, 1 as sign)")
+def plan_table_function(spark, sf_dir):
+    """The plan of a request as a table function; signed lengths add up to the request's."""
+    from spanfold.functions.udfs import register_table_functions
 
-def covered(models) -> int:
-    return sum(r.hi - r.lo for r in union(m.range for m in models))
+    register_table_functions(spark, KEPT)
+    return spark.sql(f"select sum(sign * (hi - lo)) as net from plan_segments({ASK.lo}, {ASK.hi})")

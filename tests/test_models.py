@@ -190,6 +190,8 @@ def test_every_plan_gives_the_scratch_state(spark, lines):
     kept = engine.fit(lines, LINREG, 40, 90, keep=True)
     assert engine.fit(lines, LINREG, 40, 90).plan.models == kept.new_models
     assert engine.fit(lines, LINREG, 10, 10).state.n == 0
+    moved = engine.extend(lines, kept, 20, 70)
+    assert M.state_distance(moved.state, C.build(lines, LINREG, 20, 70).state) == 0
 
 
 def test_logistic_trainers_and_reuse(spark, lines, table):
@@ -212,6 +214,10 @@ def test_logistic_trainers_and_reuse(spark, lines, table):
     assert again.points_read == 0 and again.plan.scan_points == 0 and np.allclose(again.state.w, cold.w)
     with pytest.raises(logistic.NotSubtractable):
         warm.state.combine(cold, -1)
+    longer = engine.extend(lines, warm, 600, 3600)
+    assert longer.state.n_chunks == 5 and longer.state.n == 3000
+    with pytest.raises(logistic.NotSubtractable):
+        engine.extend(lines, warm, 600, 2400)
     nested = logistic.average_models([logistic.average_models([logistic.LogisticState("s", 5, np.array([1.0])), logistic.LogisticState("s", 5, np.array([3.0]))]), logistic.LogisticState("s", 90, np.array([8.0]))])
     assert nested.w[0] == pytest.approx(4.0)
 
