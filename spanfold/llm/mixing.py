@@ -7,7 +7,7 @@ import math
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from spanfold.llm.common import WORD, written
+from spanfold.llm.common import WORD, shuffle_parts, written
 
 BLOCK_WORDS = 64
 SHARD_SLOTS = 1024
@@ -124,7 +124,9 @@ def mix(docs: DataFrame, block: int = BLOCK_WORDS, shard_slots: int = SHARD_SLOT
     drawn = hits.groupBy("shard", "source_key").agg(F.count("*").alias("more"))
     counts = expected.join(drawn, ["shard", "source_key"], "left").select("shard", "source_key", "blocks", (F.col("whole") + F.coalesce("more", F.lit(0))).alias("slots"))
     counts = _offsets(counts, ["source_key"], ["shard"], "slots", "before", max(1, math.isqrt(shards)))
-    chosen = counts.where("slots > 0").select("shard", "source_key", "blocks", F.explode(F.sequence(F.col("before"), F.col("before") + F.col("slots") - 1)).alias("n"))
+    # few rows become many slots: they are spread before, by a number that is not merged again
+    counts = counts.where("slots > 0").repartition(shuffle_parts(docs.sparkSession), "shard", "source_key")
+    chosen = counts.select("shard", "source_key", "blocks", F.explode(F.sequence(F.col("before"), F.col("before") + F.col("slots") - 1)).alias("n"))
     cycle = F.floor(F.col("n") / F.col("blocks"))
     place = shuffled_index(F.pmod("n", "blocks"), F.col("blocks"), F.lit(seed), F.col("source_key"), cycle)
     chosen = chosen.where(cycle < 3).select("shard", "source_key", F.col("n").alias("slot"), place.alias("block"))
