@@ -16,7 +16,7 @@ import pyarrow.fs as pafs
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from spanfold.llm.common import shared_dir, ship, written
+from spanfold.llm.common import lean, shared_dir, ship, written
 
 ROLL_BYTES = 16 << 20  # compressed size at which a file is closed
 SHARD_BYTES = 24 << 20  # payload bytes of a shard, about
@@ -159,7 +159,7 @@ def write_archives(pages: DataFrame, target: str | None = None, least_bytes: int
 
     every_row = rows.mapInArrow(deal, shape).unionByName(roles.mapInArrow(deal_roles, shape))
     dealt = every_row.repartition(max(2, len(cuts) + 1), "shard").sortWithinPartitions("shard", "id", "sha", F.col("last").desc_nulls_last(), "url")
-    manifest = written(dealt.mapInArrow(write, "file string, records long, bytes long, sha256 string"), "warc-manifest")
+    manifest = written(dealt.mapInArrow(lean(write), "file string, records long, bytes long, sha256 string"), "warc-manifest")
     total = manifest.agg(F.count("*").alias("files"), F.sum("records").alias("records"), F.sum("bytes").alias("bytes")).first()
     store, root = pafs.FileSystem.from_uri(target)
     store.create_dir(root, recursive=True)
@@ -205,7 +205,8 @@ def read_archives(target: str, manifest: DataFrame) -> DataFrame:
                     yield batch_of(out)
 
     shape = "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long, payload binary"
-    return manifest.select("file").repartition("file").mapInArrow(read, shape)
+    files = manifest.count()  # names are short: without a number they would all be merged into one task
+    return manifest.select("file").repartition(max(1, min(files, 100_000)), "file").mapInArrow(lean(read), shape)
 
 
 ship(__name__)
