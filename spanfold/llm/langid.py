@@ -9,7 +9,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from spanfold.llm.common import crc_mod, ship
+from spanfold.llm.common import crc_mod, lean, ship
 
 DIMS = 1024
 SLOTS = 256  # letters share hashed slots; slot 0 stands for everything that is no letter
@@ -74,7 +74,7 @@ def prototypes(docs: DataFrame, train_rows, dims: int = DIMS) -> tuple[list[str]
             yield pa.record_batch([pa.array([lang] * dims), pa.array(range(dims), pa.int32()), pa.array(v)], names=["lang", "i", "x"])
 
     rows = docs.where(train_rows).where("lang is not null").select(F.col("text").cast("string"), F.col("lang").cast("string"))
-    got = rows.mapInArrow(run, "lang string, i int, x double").groupBy("lang", "i").agg(F.sum("x").alias("x")).collect()
+    got = rows.mapInArrow(lean(run), "lang string, i int, x double").groupBy("lang", "i").agg(F.sum("x").alias("x")).collect()
     langs = sorted({r.lang for r in got})
     out = np.zeros((len(langs), dims))
     for r in got:
@@ -108,7 +108,7 @@ def identify(docs: DataFrame, folds: int = 3, held: int = 1, dims: int = DIMS) -
                 scores.append(min(1.0, max(0.0, float(near[best]))))
             yield pa.record_batch([batch.column(0), pa.array(pred, pa.string()), pa.array(scores, pa.float64())], names=["doc_id", "lang_pred", "score"])
 
-    out = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, lang_pred string, score double")
+    out = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(lean(run), "doc_id long, lang_pred string, score double")
     return out.select("doc_id", F.coalesce(crc_mod("doc_id", folds) == held, F.lit(False)).alias("held_out"), "lang_pred", "score")
 
 

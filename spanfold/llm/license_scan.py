@@ -10,7 +10,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from spanfold.llm.common import ship
+from spanfold.llm.common import lean, ship
 
 # Statements by which texts name their license, and well-known notices, as published.
 TEMPLATES = {
@@ -134,7 +134,7 @@ def scan_licenses(docs: DataFrame, templates: dict[str, str] | None = None, leas
                 for w in words_of(text or ""):
                     c = cache.get(w)
                     if c is None:
-                        if len(cache) > 300_000:
+                        if len(cache) > 100_000:
                             cache.clear()
                         c = cache[w] = xxhash.xxh3_64_intdigest(w.encode())
                     codes.append(c)
@@ -143,7 +143,7 @@ def scan_licenses(docs: DataFrame, templates: dict[str, str] | None = None, leas
             yield pa.record_batch([batch.column(0), pa.array([len(h) for h in hits], pa.int64()), pa.array(hits, kind)], names=["doc_id", "n_hits", "hits"])
 
     shape = "doc_id long, n_hits long, hits array<struct<license: string, containment: double, first_word: long, n_words: long>>"
-    out = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, shape)
+    out = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(lean(run), shape)
     return out.select("doc_id", "n_hits", F.array_join(F.array_sort(F.array_distinct("hits.license")), ",").alias("licenses"), "hits")
 
 

@@ -20,7 +20,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from spanfold.llm.common import ship, written
+from spanfold.llm.common import lean, ship, written
 
 U = np.uint64
 _BASE = 0x9E3779B97F4A7C15
@@ -146,16 +146,31 @@ def parse_documents(docs, width: int, k: int):
 
 
 #: Rows of the shuffle, in the order that packs best: the document and the high bytes of the place
-#: repeat from row to row (places are byte-swapped, their lowest bit tells decided stretches).
+#: repeat from row to row (places are byte-swapped; their low bits tell stretches that are decided
+#: and entries that stay open because their leader is hot).
 PHRASES = pa.schema([("d", pa.int64()), ("p", pa.int64()), ("a", pa.int64()), ("s", pa.int64())])
 MARKS = pa.schema([("open", pa.bool_()), ("d", pa.int64()), ("p", pa.int64())])
 SHAPE = "d long, p long, a long, s long"
 
 
-def combine(arrays) -> pa.RecordBatch:
+def combined(found, hot: np.ndarray, room: int = 1 << 19):
+    """Combined batches of parsed arrays, each of about `room` phrases."""
+    held, size = [], 0
+    for arrays in found:
+        held.append(arrays)
+        size += len(arrays[0])
+        if size >= room:
+            yield combine(held, hot)
+            held, size = [], 0
+    if held:
+        yield combine(held, hot)
+
+
+def combine(arrays, hot: np.ndarray) -> pa.RecordBatch:
     """Combine before the shuffle: of equal phrases in a batch, those of later documents are decided
     at once and joined into stretches; these travel under a scattered key, so a phrase that fills
-    the corpus makes no hot key."""
+    the corpus makes no hot key. Phrases of a hot leader travel under a key of their own each, and
+    stay open, as if they had met another phrase of their leader."""
     a, s, d, p = (np.concatenate(x) for x in zip(*arrays))
     order = np.argsort(s)
     ordered, owner = s[order], d[order]
@@ -166,7 +181,11 @@ def combine(arrays) -> pa.RecordBatch:
     done = np.empty(len(s), dtype=bool)
     done[order] = owner > least[np.cumsum(head) - 1]
     p_done, d_done = p[done], d[done]
-    a, s, d, p = a[~done], s[~done], d[~done], p[~done]
+    a, s, d, p = a[~done], s[~done], d[~done], p[~done] << 2
+    if len(hot):
+        crowded = np.isin(a, hot)
+        a = np.where(crowded, mix((a ^ s).view(np.uint64)).view(np.int64), a)
+        p |= crowded.astype(np.int64) << 1
     if len(p_done):
         start, count = p_done >> 24, p_done & 0xFFFFFF
         new = np.ones(len(start), dtype=bool)
@@ -176,9 +195,7 @@ def combine(arrays) -> pa.RecordBatch:
         d_done, start = d_done[at], start[at]
         key = mix((d_done ^ (start << 32)).view(np.uint64)).view(np.int64)
         a, s, d = np.concatenate((a, key)), np.concatenate((s, key)), np.concatenate((d, d_done))
-        p = np.concatenate((p << 1, (((start << 24) | total) << 1) | 1))
-    else:
-        p = p << 1
+        p = np.concatenate((p, (((start << 24) | total) << 2) | 1))
     return pa.record_batch([d, p.byteswap(), a, s], schema=PHRASES)
 
 
@@ -187,9 +204,9 @@ def resolve(batches):
 
     def settle(d, p, a, s):
         p = p.byteswap()
-        done, p = (p & 1) == 1, p >> 1
+        done, stays, p = (p & 1) == 1, (p & 2) == 2, p >> 2
         ready = pa.record_batch([np.zeros(done.sum(), bool), d[done], p[done]], schema=MARKS)
-        a, s, d, p = a[~done], s[~done], d[~done], p[~done]
+        a, s, d, p, stays = a[~done], s[~done], d[~done], p[~done], stays[~done]
         if not len(a):
             return [ready]
         new_a = np.empty(len(a), dtype=bool)
@@ -202,7 +219,7 @@ def resolve(batches):
         tops = np.flatnonzero(new_a)
         entries = np.add.reduceat(new_s.astype(np.int64), tops)
         mixed = (entries > 1) & (np.minimum.reduceat(d, tops) < np.maximum.reduceat(d, tops))
-        clash = ~later & mixed[np.cumsum(new_a) - 1]
+        clash = ~later & (mixed[np.cumsum(new_a) - 1] | stays)
         return [
             ready,
             pa.record_batch([np.zeros(later.sum(), bool), d[later], p[later]], schema=MARKS),
@@ -224,9 +241,33 @@ def resolve(batches):
         yield from settle(*held)
 
 
+HOT_SAMPLE = 64  # one document in so many is parsed first, to find hot leaders
+HOT_SHARE = 0.01  # of the sampled documents, and 16 of them at least
+
+
+def hot_leaders(texts: DataFrame, phrases) -> np.ndarray:
+    """Leaders found in a hundredth of the documents or more, told from a hashed sample.
+
+    Only how rows are dealt depends on them. A document has some hundred leaders, so no more than
+    some ten thousand can be this frequent; the driver gets their hashes.
+    """
+
+    def leaders(batches):
+        for found in phrases(batches, np.zeros(0, dtype=np.int64)):
+            d, p, a = (found.column(i).to_numpy() for i in range(3))
+            real = (p.byteswap() & 1) == 0
+            pairs = np.unique(np.stack([a[real], d[real]]), axis=1)
+            yield pa.record_batch([pairs[0]], names=["a"])
+
+    sample = texts.where(F.pmod(F.xxhash64("doc_id"), F.lit(HOT_SAMPLE)) == 0)
+    least = max(16, int(sample.count() * HOT_SHARE))
+    rows = sample.mapInArrow(lean(leaders), "a long").groupBy("a").count().where(F.col("count") >= least).select("a").collect()
+    return np.array(sorted(r.a for r in rows), dtype=np.int64)
+
+
 def repeated_phrases(parsed: DataFrame) -> DataFrame:
     """(d, p, a, s) rows to (open, d, p): stretches to remove, and entries still open."""
-    return parsed.repartition("a").sortWithinPartitions("a", "s", "d").mapInArrow(resolve, "open boolean, d long, p long")
+    return parsed.repartition("a").sortWithinPartitions("a", "s", "d").mapInArrow(lean(resolve), "open boolean, d long, p long")
 
 
 def merge_marks(marks, n: int, width: int) -> np.ndarray:
@@ -262,7 +303,7 @@ def packed(docs: DataFrame) -> DataFrame:
             cols = batch.columns
             yield pa.record_batch([cols[0], pa.array(body, pa.binary()), *cols[2:]], names=batch.schema.names)
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(lean(run), docs.schema)
 
 
 def unpacked(body) -> bytes:

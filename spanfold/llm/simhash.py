@@ -8,7 +8,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from spanfold.llm.common import ship, written
+from spanfold.llm.common import lean, ship, written
 from spanfold.llm.components import components
 
 TILE = 1024
@@ -59,7 +59,7 @@ def fingerprints(docs: DataFrame, size: int = 3) -> DataFrame:
             fps = [fingerprint((body[i].as_py() or b"").lower().split(), size) for i in range(len(body))]
             yield pa.record_batch([batch.column(0), pa.array(np.array(fps, dtype=np.uint64).view(np.int64))], names=["doc_id", "fp"])
 
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("binary")).mapInArrow(run, "doc_id long, fp long")
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("binary")).mapInArrow(lean(run), "doc_id long, fp long")
 
 
 def _roots(label: np.ndarray) -> np.ndarray:
@@ -160,7 +160,7 @@ def links(distinct_fps: DataFrame, radius: int = 2) -> DataFrame:
         part = keyed.where(F.col("hot") & (F.col("kid") == i)).select("fp", _keys(subs)).select("at.kid", "at.key", "fp")
         split = part if split is None else split.unionByName(part)
     every = calm.unionByName(split)
-    return every.repartition("kid", "key").sortWithinPartitions("kid", "key").mapInArrow(_link_sorted(radius), "u long, v long")
+    return every.repartition("kid", "key").sortWithinPartitions("kid", "key").mapInArrow(lean(_link_sorted(radius)), "u long, v long")
 
 
 def near_duplicates(docs: DataFrame, size: int = 3, radius: int = 2) -> DataFrame:

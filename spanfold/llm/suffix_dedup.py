@@ -10,20 +10,26 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import StructType
 
-from spanfold.llm.common import ship, written
+from spanfold.llm.common import lean, ship, written
 from spanfold.llm.phrases import (
-    SHAPE, combine, marks_by_document, merge_marks, mix, packed, parse_documents, prefix_hashes, repeated_phrases, stretch_hash, unpacked, window_hashes,
+    SHAPE, combined, count_windows, hot_leaders, marks_by_document, merge_marks, mix, packed, parse_documents, prefix_hashes, repeated_phrases, stretch_hash, unpacked, window_hashes,
 )
 from spanfold.llm.rlbwt import RunLengthIndex
 
 LEAD_BYTES = 20
 BLOCK = 1 << 20  # symbols in one index
+HOT = 4096  # pieces under one key beyond which their windows are counted instead
+SECOND = 0xD1342543DE82EF95  # base of the second rolling hash
 
 
 def byte_codes(body: bytes) -> np.ndarray:
     return mix(np.arange(1, 257, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))[np.frombuffer(body, dtype=np.uint8)]
 
 
+def piece_batch(rows: list) -> pa.RecordBatch:
+    return pa.record_batch([pa.array(x, t) for x, t in zip(zip(*rows), (pa.int64(), pa.int64(), pa.int64(), pa.binary()))], names=["k", "d", "q", "piece"])
+
+
 def index_pieces(docs: np.ndarray, starts: np.ndarray, pieces: list[bytes], width: int):
     """Windows of the pieces that also occur in a piece of a smaller document, as packed marks."""
     index = RunLengthIndex(pieces, width).seal(docs)
@@ -49,14 +55,14 @@ def remove_repeated_bytes(docs: DataFrame, width: int = 50, with_text: bool = Fa
     prefix-free way of building the transform of a repetitive corpus). Entries that share a leader
     but differ give their texts to blocks, each of which gets a run-length index; every entry's
     text is streamed through the index for its matching statistics, and matches of full width
-    whose smallest owner is an earlier document are marked. A block ends between keys, but where one
-    key alone exceeds it: then its windows are dealt to blocks by a hash of the window, equal ones
-    together, so a block stays small and the result exact.
+    whose smallest owner is an earlier document are marked. Keys with more than HOT pieces would make
+    a block of their own that grows with the corpus: these few have the rolling hashes of their
+    windows counted in Spark instead, which is exact as well.
     """
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("body"), *([F.struct(*carry).alias("rest")] if carry else []))
     side = (width - LEAD_BYTES) // 2
 
-    def phrases(batches):
+    def phrases(batches, hot):
         for batch in batches:
             ids, body = batch.column(0).to_pylist(), batch.column(1)
             table = byte_codes(bytes(range(256)))
@@ -67,8 +73,7 @@ def remove_repeated_bytes(docs: DataFrame, width: int = 50, with_text: bool = Fa
                     if doc is not None and b.is_valid and len(b.as_buffer()) >= width:
                         yield doc, table[np.frombuffer(b.as_buffer(), dtype=np.uint8)]
 
-            if arrays := list(parse_documents(pieces(), width, LEAD_BYTES)):
-                yield combine(arrays)
+            yield from combined(parse_documents(pieces(), width, LEAD_BYTES), hot)
 
     def entries(batches):
         """Texts of open entries. The windows left and right of the leader's middle go apart, each
@@ -92,8 +97,11 @@ def remove_repeated_bytes(docs: DataFrame, width: int = 50, with_text: bool = Fa
                     ok = np.flatnonzero(hi > lo)
                     keys = mix(stretch_hash(sums, key_at[ok], LEAD_BYTES + side)).view(np.int64)
                     out += [(int(k), doc, int(a), body[a : b + width - 1]) for k, a, b in zip(keys, lo[ok], hi[ok])]
+                if len(out) >= 1 << 16:
+                    yield piece_batch(out)
+                    out = []
             if out:
-                yield pa.record_batch([pa.array(x, t) for x, t in zip(zip(*out), (pa.int64(), pa.int64(), pa.int64(), pa.binary()))], names=["k", "d", "q", "piece"])
+                yield piece_batch(out)
 
     def indexed(batches):
         def settle(k, d, q, piece):
@@ -104,19 +112,6 @@ def remove_repeated_bytes(docs: DataFrame, width: int = 50, with_text: bool = Fa
                 doc, p = index_pieces(d[where], q[where], [piece[i] for i in where], width)
                 yield pa.record_batch([doc, p], names=["d", "p"])
 
-        def deal(k, d, q, piece):
-            """A key that no block holds: single windows, in groups by their hash."""
-            parts = 2 + int(sum(len(x) * 4 for x in piece)) // BLOCK * 4
-            for part in range(parts):
-                rows = []
-                for doc, at, x in zip(d, q, piece):
-                    own = window_hashes(byte_codes(x), width) >> np.uint64(33)
-                    rows += [(doc, at + i, x[i : i + width]) for i in np.flatnonzero(own % np.uint64(parts) == part).tolist()]
-                if rows:
-                    dd, qq, xx = zip(*rows)
-                    doc, p = index_pieces(np.array(dd), np.array(qq), list(xx), width)
-                    yield pa.record_batch([doc, p], names=["d", "p"])
-
         held = None
         for batch in batches:
             cols = [batch.column(i).to_numpy() for i in range(3)] + [np.array(batch.column(3).to_pylist(), dtype=object)]
@@ -135,10 +130,20 @@ def remove_repeated_bytes(docs: DataFrame, width: int = 50, with_text: bool = Fa
                     cut = int(np.searchsorted(held[0], held[0][0], side="right"))
                     if cut == len(held[0]):
                         break
-                    yield from (deal if sizes[cut - 1] > 4 * BLOCK else settle)(*(c[:cut] for c in held))
+                    yield from settle(*(c[:cut] for c in held))
                 held = [c[cut:] for c in held]
         if held is not None and len(held[0]):
-            yield from (deal if held[0][0] == held[0][-1] and sum(map(len, held[3])) > 4 * BLOCK else settle)(*held)
+            yield from settle(*held)
+
+    def windows(batches):
+        for batch in batches:
+            found = []
+            for d, q, piece in zip(*(batch.column(i).to_pylist() for i in range(3))):
+                codes = byte_codes(piece)
+                one = window_hashes(codes, width)
+                found.append((one.view(np.int64), window_hashes(codes, width, SECOND).view(np.int64), np.full(len(one), d), q + np.arange(len(one))))
+            if found:
+                yield pa.record_batch([np.concatenate(x) for x in zip(*found)], names=["h1", "h2", "d", "w"])
 
     def finish(batches):
         for batch in batches:
@@ -158,15 +163,21 @@ def remove_repeated_bytes(docs: DataFrame, width: int = 50, with_text: bool = Fa
                 yield pa.record_batch(cols + [batch.column(i) for i in range(3, batch.num_columns)], names=names + ["rest"] * (batch.num_columns - 3))
 
     bodies = packed(texts)
-    marks = written(repeated_phrases(texts.select("doc_id", "body").mapInArrow(phrases, SHAPE)), "byte-phrases")
+    hot = hot_leaders(texts.select("doc_id", "body"), phrases)
+    marks = written(repeated_phrases(texts.select("doc_id", "body").mapInArrow(lean(lambda batches: phrases(batches, hot)), SHAPE)), "byte-phrases")
     open_docs = marks_by_document(marks.where("open"))
-    pieces = bodies.join(open_docs, bodies.doc_id == open_docs.d).select("doc_id", "body", "ps").mapInArrow(entries, "k long, d long, q long, piece binary")
-    matched = pieces.repartition("k").sortWithinPartitions("k", "d").mapInArrow(indexed, "d long, p long")
-    ranges = marks_by_document(marks.where("not open").select("d", "p").unionByName(matched))
+    pieces = bodies.join(open_docs, bodies.doc_id == open_docs.d).select("doc_id", "body", "ps").mapInArrow(lean(entries), "k long, d long, q long, piece binary")
+    pieces = written(pieces, "pieces")
+    crowd = written(pieces.groupBy("k").count().where(F.col("count") > HOT).select("k", F.lit(True).alias("crowded")), "crowded-keys")
+    dealt = pieces.join(crowd, "k", "left")
+    calm = dealt.where("crowded is null").select("k", "d", "q", "piece").repartition("k").sortWithinPartitions("k", "d")
+    matched = calm.mapInArrow(lean(indexed), "d long, p long")
+    counted = count_windows(dealt.where("crowded").select("d", "q", "piece").mapInArrow(lean(windows), "h1 long, h2 long, d long, w long"))
+    ranges = marks_by_document(marks.where("not open").select("d", "p").unionByName(matched).unionByName(counted))
     out = bodies.join(ranges, bodies.doc_id == ranges.d, "left").select("doc_id", "body", "ps", *(["rest"] if carry else []))
     shape = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept_text string"
     shape = StructType(StructType.fromDDL(shape).fields + [f for f in texts.schema.fields if f.name == "rest"])
-    out = out.mapInArrow(finish, shape)
+    out = out.mapInArrow(lean(finish), shape)
     return out.select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", *(["kept_text"] if with_text else []), *(["rest.*"] if carry else []))
 
 

@@ -11,7 +11,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from spanfold.llm.common import crc_mod, ship
+from spanfold.llm.common import crc_mod, lean, ship
 
 BUCKETS = 1 << 15
 TABLES = 4  # hashed twice by the word, and by its first four and first five letters
@@ -29,7 +29,7 @@ def _word_ids(text: str, cache: dict) -> np.ndarray:
     for w in re.findall(r"[^\W\d_]+", text.lower()):
         ids = cache.get(w)
         if ids is None:
-            if len(cache) > 300_000:
+            if len(cache) > 100_000:
                 cache.clear()
             b = w.encode()
             ids = cache[w] = tuple(zlib.crc32(x) % BUCKETS for x in (b, b"#" + b, b"4" + w[:4].encode(), b"5" + w[:5].encode()))
@@ -239,7 +239,7 @@ def score(docs: DataFrame, net: Network | None) -> DataFrame:
             p = probabilities(net, texts, cache)
             yield pa.record_batch([batch.column(0), pa.array(p, pa.float64())], names=["doc_id", "score"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, "doc_id long, score double")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(lean(run), "doc_id long, score double")
 
 
 def drop_toxic(docs: DataFrame, net: Network | None, cut: float = 0.5) -> DataFrame:
@@ -252,7 +252,7 @@ def drop_toxic(docs: DataFrame, net: Network | None, cut: float = 0.5) -> DataFr
             texts = [t or "" for t in batch.column(at).to_pylist()]
             yield batch.filter(pa.array(probabilities(net, texts, cache) < cut))
 
-    return docs if net is None else docs.mapInArrow(run, docs.schema)
+    return docs if net is None else docs.mapInArrow(lean(run), docs.schema)
 
 
 def classify(docs: DataFrame, labels: DataFrame, folds: int = 5) -> DataFrame:

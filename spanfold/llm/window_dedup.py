@@ -10,9 +10,9 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from spanfold.llm.common import ship, written
+from spanfold.llm.common import lean, ship, written
 from spanfold.llm.phrases import (
-    SHAPE, combine, count_windows, marks_by_document, merge_marks, packed, parse_documents, repeated_phrases, unpacked, window_hashes,
+    SHAPE, combined, count_windows, hot_leaders, marks_by_document, merge_marks, packed, parse_documents, repeated_phrases, unpacked, window_hashes,
 )
 
 LEAD_WORDS = 10
@@ -23,7 +23,7 @@ class WordCodes(dict):
     """64-bit codes of words, kept for the frequent ones."""
 
     def __missing__(self, word: bytes) -> int:
-        if len(self) > 300_000:
+        if len(self) > 100_000:
             self.clear()
         self[word] = code = xxhash.xxh3_64_intdigest(word)
         return code
@@ -47,7 +47,7 @@ def remove_repeated_windows(docs: DataFrame, width: int = 50, with_text: bool =
     """
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("body"))
 
-    def phrases(batches):
+    def phrases(batches, hot):
         cache = WordCodes()
         for batch in batches:
             ids, body = batch.column(0).to_pylist(), batch.column(1)
@@ -58,8 +58,7 @@ def remove_repeated_windows(docs: DataFrame, width: int = 50, with_text: bool =
                     if doc is not None and len(words) >= width:
                         yield doc, word_codes(words, cache)
 
-            if arrays := list(parse_documents(pieces(), width, LEAD_WORDS)):
-                yield combine(arrays)
+            yield from combined(parse_documents(pieces(), width, LEAD_WORDS), hot)
 
     def windows(batches):
         cache = WordCodes()
@@ -95,14 +94,15 @@ def remove_repeated_windows(docs: DataFrame, width: int = 50, with_text: bool =
                     names=["doc_id", "n_words", "n_removed", "kept_sha256", "n_spans", "kept_text"],
                 )
 
-    parsed = texts.mapInArrow(phrases, SHAPE)
+    hot = hot_leaders(texts, phrases)
+    parsed = texts.mapInArrow(lean(lambda batches: phrases(batches, hot)), SHAPE)
     bodies = packed(texts)
     marks = written(repeated_phrases(parsed), "word-phrases")
     clashes = marks_by_document(marks.where("open"))
-    later = count_windows(bodies.join(clashes, bodies.doc_id == clashes.d).select("doc_id", "body", "ps").mapInArrow(windows, "h1 long, h2 long, d long, w long"))
+    later = count_windows(bodies.join(clashes, bodies.doc_id == clashes.d).select("doc_id", "body", "ps").mapInArrow(lean(windows), "h1 long, h2 long, d long, w long"))
     ranges = marks_by_document(marks.where("not open").select("d", "p").unionByName(later))
     out = bodies.join(ranges, bodies.doc_id == ranges.d, "left").select("doc_id", "body", "ps")
-    out = out.mapInArrow(finish, "doc_id long, n_words long, n_removed long, kept_sha256 string, n_spans long, kept_text string")
+    out = out.mapInArrow(lean(finish), "doc_id long, n_words long, n_removed long, kept_sha256 string, n_spans long, kept_text string")
     return out if with_text else out.drop("kept_text")
 
 

@@ -102,10 +102,13 @@ def test_suffix_dedup(docs, empty):
     assert remove_repeated_bytes(empty).count() == 0
 
 
-def test_suffix_dedup_key_beyond_a_block(spark, monkeypatch):
-    from spanfold.llm import suffix_dedup
+@pytest.mark.parametrize("hot", [4096, 5])
+def test_suffix_dedup_crowded_keys(spark, monkeypatch, hot):
+    from spanfold.llm import phrases, suffix_dedup
 
     monkeypatch.setattr(suffix_dedup, "BLOCK", 200)
+    monkeypatch.setattr(suffix_dedup, "HOT", hot)
+    monkeypatch.setattr(phrases, "HOT_SAMPLE", 1)
     core = passage(8, 77)[:44]
     texts = [(i, f"{passage(3, i)}{core}{passage(3, 500 + i % 7)}") for i in range(60)]
     got = {r.doc_id: r.n_removed for r in suffix_dedup.remove_repeated_bytes(spark.createDataFrame(texts, "doc_id long, text string")).collect()}
