@@ -40,22 +40,33 @@ class BayesState:
         return sum(8 * (1 + len(s) + len(q)) for _, s, q in self.classes.values())
 
 
-def bayes_states(df: DataFrame, spec: ModelSpec, by=(), sign: str | None = None) -> DataFrame:
-    """Rows (by…, class, n, s0…, q0…): integer sums of scaled features and of their squares.
-
-    Squares are decimals where a bound could leave 64 bits. Multinomial specs keep no squares.
-    """
+def project(df: DataFrame, spec: ModelSpec, keep=()) -> DataFrame:
+    """Class and features as integers, the columns a state needs."""
     df = check_rows(df, spec)
-    rows = df.select(*by, F.expr(spec.label).cast("string").alias("class"), *([F.col(sign)] if sign else []), *[f.integer().alias(f"v{i}") for i, f in enumerate(spec.features)])
-    s = F.col(sign) if sign else F.lit(1)
-    aggs = [F.sum(s.cast("bigint")).alias("n")]
-    aggs += [F.sum(F.col(f"v{i}") * s).alias(f"s{i}") for i in range(len(spec.features))]
-    if spec.kind == "gnb":
-        for i, f in enumerate(spec.features):
+    return df.select(*keep, F.expr(spec.label).cast("string").alias("class"), *[f.integer().alias(f"v{i}") for i, f in enumerate(spec.features)])
+
+
+_aggregates: dict = {}
+
+
+def sums(rows: DataFrame, spec: ModelSpec, by=(), sign: str | None = None) -> DataFrame:
+    """Aggregate projected rows by class; squares are decimals where a bound could leave 64 bits."""
+    at = (id(rows.sparkSession), spec.spec_id, sign)
+    if at not in _aggregates:
+        s = F.col(sign) if sign else F.lit(1)
+        aggs = [F.sum(s.cast("bigint")).alias("n")]
+        aggs += [F.sum(F.col(f"v{i}") * s).alias(f"s{i}") for i in range(len(spec.features))]
+        for i, f in enumerate(spec.features if spec.kind == "gnb" else ()):
             square = F.col(f"v{i}") * F.col(f"v{i}") * s
-            big = f.limit * f.limit >= 1 << 31
-            aggs.append(F.sum(square.cast("decimal(28,0)") if big else square).alias(f"q{i}"))
-    return rows.groupBy(*by, "class").agg(*aggs)
+            aggs.append(F.sum(square.cast("decimal(28,0)") if f.limit * f.limit >= 1 << 31 else square).alias(f"q{i}"))
+        _aggregates[at] = aggs
+    return rows.groupBy(*by, "class").agg(*_aggregates[at])
+
+
+def bayes_states(df: DataFrame, spec: ModelSpec, by=(), sign: str | None = None) -> DataFrame:
+    """Rows (by…, class, n, s0…, q0…): integer sums of scaled features and of their squares.
+    Multinomial specs keep no squares."""
+    return sums(project(df, spec, [*by, *([sign] if sign else [])]), spec, by, sign)
 
 
 def state_from_rows(rows, spec: ModelSpec) -> BayesState:

@@ -102,11 +102,21 @@ def project(df: DataFrame, spec: ModelSpec, arithmetic: str = "int", keep=()) ->
     return df.select(*keep, *[(c.real() if arithmetic == "double" else c.integer()).alias(f"v{i}") for i, c in enumerate(cols)])
 
 
+_aggregates: dict = {}
+
+
+def sums(rows: DataFrame, spec: ModelSpec, by=(), sign: str | None = None, arithmetic: str = "int") -> DataFrame:
+    """Aggregate projected rows. The expressions of a spec are made once: each is a dozen calls."""
+    at = (id(rows.sparkSession), spec.spec_id, arithmetic, sign)
+    if at not in _aggregates:
+        _aggregates[at] = state_aggregates(spec, arithmetic, sign)
+    return rows.groupBy(*by).agg(*_aggregates[at])
+
+
 def linreg_states(df: DataFrame, spec: ModelSpec, by: list[str] = (), sign: str | None = None, arithmetic: str = "int") -> DataFrame:
     """One row of sums for each group of `by` (one row without). Partial sums combine before the
     shuffle, so only sums move."""
-    rows = project(df, spec, arithmetic, keep=[F.col(c) for c in (*by, *([sign] if sign else []))])
-    return rows.groupBy(*by).agg(*state_aggregates(spec, arithmetic, sign))
+    return sums(project(df, spec, arithmetic, keep=[F.col(c) for c in (*by, *([sign] if sign else []))]), spec, by, sign, arithmetic)
 
 
 def state_from_row(row, spec: ModelSpec, arithmetic: str = "int") -> LinearState:

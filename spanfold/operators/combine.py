@@ -33,9 +33,12 @@ def scan_state(source: PointSource, spec: ModelSpec, segments):
     source.stats["jobs"] += 1
     source.stats["points"] += sum(s.hi - s.lo for s in segments)
     plain = len(segments) == 1 and segments[0].sign == 1
-    rows = source.scan_range(segments[0].lo, segments[0].hi) if plain else source.scan_segments(segments)
+    ready = source.prepared(spec, linear.project if spec.kind == "linreg" else bayes.project)
+    rows = ready.scan_range(segments[0].lo, segments[0].hi) if plain else ready.scan_segments(segments)
     sign = None if plain else "sign"
-    return linear.linreg_state(rows, spec, sign) if spec.kind == "linreg" else bayes.bayes_state(rows, spec, sign)
+    if spec.kind == "linreg":
+        return linear.state_from_row(linear.sums(rows, spec, sign=sign).collect()[0], spec)
+    return bayes.state_from_rows(bayes.sums(rows, spec, sign=sign).collect(), spec)  # one row a class
 
 
 def empty(spec: ModelSpec):

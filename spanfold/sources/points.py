@@ -88,6 +88,14 @@ class PointSource:
     bucket_width: int | None = None
     directory: object = None
     stats: dict = field(default_factory=lambda: {"points": 0.0, "jobs": 0})
+    projected: dict = field(default_factory=dict)
+
+    def prepared(self, spec: "ModelSpec", project) -> "PointSource":
+        """This source with only what a spec needs, analysed once; filters still reach the scan."""
+        if spec.spec_id not in self.projected:
+            keep = [self.key] + (["bucket"] if self.bucket_width else [])
+            self.projected[spec.spec_id] = PointSource(project(self.df, spec, keep=keep), self.key, self.version, self.bucket_width, self.directory)
+        return self.projected[spec.spec_id]
 
     def scan_range(self, lo: int, hi: int) -> DataFrame:
         """Points of [lo, hi): partitions are pruned by bucket, row groups by key."""
