@@ -21,13 +21,15 @@ def requests_bench(spark, sf_dir: str) -> dict:
     """Request time with kept models at 90 % coverage against building from points, and work done."""
     from spanfold import workloads as W
     from spanfold.engine import Engine
+    from spanfold.functions import linear
     from spanfold.plans.ranges import Range
     from spanfold.registry.state import size_of
-    from spanfold.sources.layout import lineitem_source
+    from spanfold.sources.layout import lineitem_source, materialize
     from spanfold.sources.points import LINREG
 
     source = lineitem_source(spark, sf_dir)
     n = size_of(source)
+    materialize(source, LINREG, linear.project)
     engine = Engine(spark)
     kept = W.place_models(n, 90, W.NORMAL, seed=1)
     W.keep_exact(engine, source, LINREG, kept)

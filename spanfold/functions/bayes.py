@@ -33,7 +33,8 @@ class BayesState:
             mine[0] += sign * n
             mine[1] = [a + sign * b for a, b in zip(mine[1], s)]
             mine[2] = [a + sign * b for a, b in zip(mine[2], q)]
-        return BayesState(self.spec_id, self.units, {c: v for c, v in out.items() if v[0]})
+        # a difference may have count 0 and sums that are not: only an empty class goes
+        return BayesState(self.spec_id, self.units, {c: v for c, v in out.items() if v[0] or any(v[1]) or any(v[2])})
 
     @property
     def nbytes(self) -> int:
@@ -73,9 +74,10 @@ def state_from_rows(rows, spec: ModelSpec) -> BayesState:
     d = len(spec.features)
     out = BayesState(spec.spec_id, tuple(f.unit for f in spec.features))
     for r in rows:
-        if r["n"]:
-            q = [int(r[f"q{i}"]) for i in range(d)] if spec.kind == "gnb" else []
-            out.classes[r["class"]] = [int(r["n"]), [int(r[f"s{i}"]) for i in range(d)], q]
+        q = [int(r[f"q{i}"]) for i in range(d)] if spec.kind == "gnb" else []
+        s = [int(r[f"s{i}"]) for i in range(d)]
+        if r["n"] or any(s) or any(q):
+            out.classes[r["class"]] = [int(r["n"]), s, q]
     return out
 
 
@@ -112,15 +114,21 @@ def mnb_params(state: BayesState, alpha: float = 1.0) -> dict:
     return out
 
 
+def featured(df: DataFrame, spec: ModelSpec) -> DataFrame:
+    """The points with their features as columns f_0, f_1, …, so that scores of many classes do
+    not work them out again."""
+    return df.withColumns({f"f_{i}": f.real() for i, f in enumerate(spec.features)})
+
+
 def gnb_scores(spec: ModelSpec, params: dict):
-    """(class, column of its log posterior up to a constant) for each class, by name. A class
+    """(class, column of its log posterior up to a constant over `featured` points) by class name. A class
     with a feature that never varied fits only that value exactly."""
     out = []
     for c in sorted(params):
         prior, means, variances = params[c]
         score = F.lit(math.log(prior))
-        for f, m, v in zip(spec.features, means, variances):
-            x = f.real()
+        for i, (m, v) in enumerate(zip(means, variances)):
+            x = F.col(f"f_{i}")
             if v > 0:
                 score = score - F.lit(0.5 * math.log(2 * math.pi * v)) - (x - F.lit(m)) * (x - F.lit(m)) / F.lit(2 * v)
             else:
@@ -134,8 +142,8 @@ def mnb_scores(spec: ModelSpec, params: dict):
     for c in sorted(params):
         prior, theta = params[c]
         score = F.lit(math.log(prior))
-        for f, t in zip(spec.features, theta):
-            score = score + f.real() * F.lit(math.log(t))
+        for i, t in enumerate(theta):
+            score = score + F.col(f"f_{i}") * F.lit(math.log(t))
         out.append((c, score))
     return out
 
@@ -158,13 +166,12 @@ def mnb_log_likelihood(spec: ModelSpec, theta, with_coefficient: bool = False):
 
 def predict(df: DataFrame, scores, name: str = "prediction") -> DataFrame:
     """The class of the highest score; ties go to the smaller name."""
-    best = scores[0][1]
-    for _, s in scores[1:]:
-        best = F.greatest(best, s)
+    made = df.withColumns({f"s_{i}": s for i, (_, s) in enumerate(scores)})
+    best = F.greatest(*[F.col(f"s_{i}") for i in range(len(scores))]) if len(scores) > 1 else F.col("s_0")
     pick = F.lit(None).cast("string")
-    for c, s in reversed(scores):
-        pick = F.when(s == F.col("best_"), c).otherwise(pick)
-    return df.withColumn("best_", best).withColumn(name, pick).drop("best_")
+    for i in reversed(range(len(scores))):
+        pick = F.when(F.col(f"s_{i}") == F.col("best_"), scores[i][0]).otherwise(pick)
+    return made.withColumn("best_", best).withColumn(name, pick).drop("best_", *[f"s_{i}" for i in range(len(scores))])
 
 
 def posteriors(df: DataFrame, scores, name: str = "posterior") -> DataFrame:

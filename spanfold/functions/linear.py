@@ -105,24 +105,26 @@ def project(df: DataFrame, spec: ModelSpec, arithmetic: str = "int", keep=()) ->
 _aggregates: dict = {}
 
 
-def sums(rows: DataFrame, spec: ModelSpec, by=(), sign: str | None = None, arithmetic: str = "int") -> DataFrame:
-    """Aggregate projected rows. The expressions of a spec are made once: each is a dozen calls."""
-    at = (id(rows.sparkSession), spec.spec_id, arithmetic, sign)
+def sums(rows: DataFrame, spec: ModelSpec, by=(), sign: str | None = None, arithmetic: str = "int", points: float = 1 << 31) -> DataFrame:
+    """Aggregate projected rows of at most `points` points. With fewer points fewer products need
+    two limbs, and below 100 sums the aggregate is compiled. A spec's expressions are made once."""
+    bits = max(1, int(points)).bit_length()
+    at = (id(rows.sparkSession), spec.spec_id, arithmetic, sign, bits)
     if at not in _aggregates:
-        _aggregates[at] = state_aggregates(spec, arithmetic, sign)
+        _aggregates[at] = state_aggregates(spec, arithmetic, sign, 1 << bits)
     return rows.groupBy(*by).agg(*_aggregates[at])
 
 
-def linreg_states(df: DataFrame, spec: ModelSpec, by: list[str] = (), sign: str | None = None, arithmetic: str = "int") -> DataFrame:
+def linreg_states(df: DataFrame, spec: ModelSpec, by: list[str] = (), sign: str | None = None, arithmetic: str = "int", points: float = 1 << 31) -> DataFrame:
     """One row of sums for each group of `by` (one row without). Partial sums combine before the
     shuffle, so only sums move."""
-    return sums(project(df, spec, arithmetic, keep=[F.col(c) for c in (*by, *([sign] if sign else []))]), spec, by, sign, arithmetic)
+    return sums(project(df, spec, arithmetic, keep=[F.col(c) for c in (*by, *([sign] if sign else []))]), spec, by, sign, arithmetic, points)
 
 
 def state_from_row(row, spec: ModelSpec, arithmetic: str = "int") -> LinearState:
     cols = spec.columns() + [spec.target]
     row = row.asDict() if hasattr(row, "asDict") else row
-    if not row.get("n"):
+    if row.get("n") is None:  # no row at all; a net count of 0 may still move sums
         return empty_state(spec)
     number = float if arithmetic == "double" else int
     cross = []

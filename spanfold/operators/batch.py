@@ -37,7 +37,7 @@ def cell_states(source: PointSource, spec: ModelSpec, cuts: list[int]) -> DataFr
         width = max(1, (cuts[-1] - cuts[0]) // 1024)
         spread = table.withColumn("kb", F.explode(F.sequence(F.floor(F.col("cell_lo") / width), F.floor((F.col("cell_hi") - 1) / width))))
         rows = rows.withColumn("kb", F.floor(key / width)).join(F.broadcast(spread), "kb").where((key >= F.col("cell_lo")) & (key < F.col("cell_hi")))
-    return linear.linreg_states(rows, spec, by=["cell"]) if spec.kind == "linreg" else bayes.bayes_states(rows, spec, by=["cell"])
+    return linear.linreg_states(rows, spec, by=["cell"], points=source.most_points) if spec.kind == "linreg" else bayes.bayes_states(rows, spec, by=["cell"])
 
 
 def range_states(source: PointSource, spec: ModelSpec, ranges: list[Range]) -> list:

@@ -37,7 +37,7 @@ def scan_state(source: PointSource, spec: ModelSpec, segments):
     rows = ready.scan_range(segments[0].lo, segments[0].hi) if plain else ready.scan_segments(segments)
     sign = None if plain else "sign"
     if spec.kind == "linreg":
-        return linear.state_from_row(linear.sums(rows, spec, sign=sign).collect()[0], spec)
+        return linear.state_from_row(linear.sums(rows, spec, sign=sign, points=source.most_points).collect()[0], spec)
     return bayes.state_from_rows(bayes.sums(rows, spec, sign=sign).collect(), spec)  # one row a class
 
 

@@ -15,7 +15,7 @@ from spanfold.operators.measures import accuracy
 from spanfold.plans.ranges import Range
 from spanfold.registry.base import LINES, SCALED, UNITS, events_sql, linreg_sql, query
 from spanfold.sources.layout import event_source, lineitem_source
-from spanfold.sources.points import CLASS2, CLASS3, DESIGN, GNB_EVENTS, GNB_LINES, LINREG, LOGIT, TARGET, Feature, ModelSpec, PointSource, load
+from spanfold.sources.points import CLASS2, CLASS3, DESIGN, GNB_EVENTS, GNB_LINES, LINREG, LOGIT, TARGET, Feature, ModelSpec, PointSource, load, spread
 
 SPLIT = "n // 3"  # most ranges run from a third to two thirds of the points
 
@@ -67,7 +67,7 @@ EVENTS_MIDDLE = "event_id >= n // 3 and event_id < 2 * n // 3"
 def linreg_state(spark, sf_dir):
     """Exact state of linear regression over a range: second moments by two-limb integer sums."""
     source = lineitem_source(spark, sf_dir)
-    return tidy_linreg(linear.linreg_states(source.scan_range(*thirds(source)), LINREG), LINREG)
+    return tidy_linreg(linear.linreg_states(source.scan_range(*thirds(source)), LINREG, points=source.most_points), LINREG)
 
 
 @query(linreg_sql(MIDDLE))
@@ -79,7 +79,7 @@ def linreg_state_decimal(spark, sf_dir):
 @query(linreg_sql(MIDDLE, "l_returnflag"))
 def linreg_state_by_flag(spark, sf_dir):
     source = lineitem_source(spark, sf_dir)
-    return tidy_linreg(linear.linreg_states(source.scan_range(*thirds(source)), LINREG, by=["l_returnflag"]), LINREG, ["l_returnflag"])
+    return tidy_linreg(linear.linreg_states(source.scan_range(*thirds(source)), LINREG, by=["l_returnflag"], points=source.most_points), LINREG, ["l_returnflag"])
 
 
 @query(linreg_sql(MIDDLE))
@@ -193,7 +193,7 @@ def gnb_predict_accuracy(spark, sf_dir):
     n = size_of(source)
     spec = replace(GNB_LINES, features=(DESIGN[0], DESIGN[2], DESIGN[3]))
     scores = bayes.gnb_scores(spec, scratch_gnb(source, spec, 0, n // 2))
-    return accuracy(bayes.predict(source.scan_range(n // 2, n), scores), CLASS3).select("n", "correct")
+    return accuracy(bayes.predict(bayes.featured(source.scan_range(n // 2, n), spec), scores), CLASS3).select("n", "correct")
 
 
 @query("select event_type as class, count(*) as n, round(count(*) * 1.0 / sum(count(*)) over (), 6) as prior from events group by event_type")
@@ -205,12 +205,14 @@ def class_prior(spark, sf_dir):
 
 # The letters counted.
 LETTERS = "abcdefghijklmnopqrstuvwxyzéèêçàùôîâûäöüßñáíóú"
-LETTER_SPEC = ModelSpec("mnb", "documents", "doc_id", tuple(Feature(c, f"length(lower(text)) - length(replace(lower(text), '{c}', ''))") for c in LETTERS), "lang", classes=("de", "en", "es", "fr"))
+LETTER_SPEC = ModelSpec("mnb", "documents", "doc_id", tuple(Feature(c, f"low_n - length(replace(low, '{c}', ''))") for c in LETTERS), "lang", classes=("de", "en", "es", "fr"))
 LETTERS_SQL = "counts as (select doc_id, lang, l, length(lower(text)) - length(replace(lower(text), l, '')) as c from documents, (select unnest(string_split('" + ",".join(LETTERS) + "', ',')) as l))"
 
 
 def letters_source(spark, sf_dir):
-    return PointSource(load(spark, sf_dir, "documents"), "doc_id", sf_dir)
+    # lower-cased and measured once a text, not once a letter
+    rows = spread(load(spark, sf_dir, "documents").select("doc_id", "text", "lang")).withColumn("low", F.lower("text")).withColumn("low_n", F.length("low"))
+    return PointSource(rows, "doc_id", sf_dir)
 
 
 @query(f"with {LETTERS_SQL} select lang as class, l as feature, count(*) as n, cast(sum(c) as double) as s from counts group by lang, l")
@@ -237,7 +239,7 @@ def mnb_predict_lang(spark, sf_dir):
     source = letters_source(spark, sf_dir)
     n = source.df.count()
     params = bayes.mnb_params(bayes.bayes_state(source.scan_range(0, n // 2), LETTER_SPEC))
-    return accuracy(bayes.predict(source.scan_range(n // 2, n), bayes.mnb_scores(LETTER_SPEC, params)), "lang").select("n", "correct")
+    return accuracy(bayes.predict(bayes.featured(source.scan_range(n // 2, n), LETTER_SPEC), bayes.mnb_scores(LETTER_SPEC, params)), "lang").select("n", "correct")
 
 
 # Classes of characters counted, as patterns.
@@ -275,7 +277,7 @@ def nb_posterior(spark, sf_dir):
     n = size_of(source)
     spec = replace(GNB_LINES, features=(DESIGN[0], DESIGN[2], DESIGN[3]))
     scores = bayes.gnb_scores(spec, scratch_gnb(source, spec, 0, n // 2))
-    rows = bayes.posteriors(source.scan_range(n // 2, n), scores).select(F.explode("posterior").alias("class", "p"))
+    rows = bayes.posteriors(bayes.featured(source.scan_range(n // 2, n), spec), scores).select(F.explode("posterior").alias("class", "p"))
     return rows.groupBy("class").agg(F.round(F.avg("p"), 6).alias("mean_posterior"))
 
 

@@ -56,6 +56,17 @@ def write_clustered(df: DataFrame, key: str, path: str, bucket_width: int) -> Po
     return source
 
 
+def materialize(source: PointSource, spec, project) -> PointSource:
+    """Write a clustered source's features for a spec as integers, once; its later scans read only
+    those columns and compute nothing but sums."""
+    rows = source.prepared(spec, project)
+    path = f"{work_dir(source.df.sparkSession)}/features/{uuid.uuid4().hex}"
+    rows.df.repartitionByRange(source.key).sortWithinPartitions("bucket", source.key).write.partitionBy("bucket").parquet(path)
+    kept = PointSource(source.df.sparkSession.read.parquet(path), source.key, source.version, source.bucket_width, source.directory)
+    source.projected[spec.spec_id] = kept
+    return kept
+
+
 def build_directory(df: DataFrame, key: str, bucket_width: int) -> DataFrame:
     """bucket, min_key, max_key, n, cum_n: one row a block, counts run in key order."""
     from pyspark.sql import Window

@@ -16,6 +16,12 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """Rows of a file too small to be split, dealt to all cores where each row takes long."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores) if len(df.inputFiles()) < cores and df.rdd.getNumPartitions() < cores else df
+
+
 def load_as(spark: SparkSession, path: str, kind: str, schema: str) -> DataFrame:
     """CSV, JSON or ORC files under an explicit schema (no inference pass)."""
     reader = spark.read.schema(schema)
@@ -90,6 +96,11 @@ class PointSource:
     stats: dict = field(default_factory=lambda: {"points": 0.0, "jobs": 0})
     projected: dict = field(default_factory=dict)
 
+    @property
+    def most_points(self) -> float:
+        """Points of the whole source at most, for bounds of sums."""
+        return float(self.directory.running[-1]) if self.directory is not None else float(1 << 31)
+
     def prepared(self, spec: "ModelSpec", project) -> "PointSource":
         """This source with only what a spec needs, analysed once; filters still reach the scan."""
         if spec.spec_id not in self.projected:

@@ -109,6 +109,17 @@ def test_three_forms_of_overlap_agree(events):
     assert M.state_distance(moved.state, C.build(events, GNB_EVENTS, 300, 700).state) == 0
 
 
+def test_moving_a_model_by_equal_counts(lines, events):
+    """As many points come in as go out, in all and in a class: the net count is 0, the sums are not."""
+    for source, spec in ((lines, LINREG), (events, GNB_EVENTS)):
+        moved = C.adjust(C.build(source, spec, 40, 90), 20, 70, source, spec)
+        assert M.state_distance(moved.state, C.build(source, spec, 20, 70).state) == 0
+    classes = [r.event_type for r in events.df.orderBy("event_id").select("event_type").limit(60).collect()]
+    i = next(i for i in range(1, 40) if classes[i - 1] == classes[i + 9])
+    moved = C.adjust(C.build(events, GNB_EVENTS, i, i + 10), i - 1, i + 9, events, GNB_EVENTS)
+    assert M.state_distance(moved.state, C.build(events, GNB_EVENTS, i - 1, i + 9).state) == 0
+
+
 def test_library_bayes(spark, events):
     from pyspark.ml.classification import NaiveBayes
     from pyspark.ml.feature import StringIndexer, VectorAssembler
@@ -138,7 +149,7 @@ def test_zero_variance_and_ties(spark):
     spec = ModelSpec("gnb", "t", "k", (Feature("v", "v", 0, 10),), "c")
     params = bayes.gnb_params(bayes.bayes_state(df, spec))
     assert params["x"][2] == [0.0]
-    got = {r.v: r.prediction for r in bayes.predict(df, bayes.gnb_scores(spec, params)).collect()}
+    got = {r.v: r.prediction for r in bayes.predict(bayes.featured(df, spec), bayes.gnb_scores(spec, params)).collect()}
     assert got[9] == "y" and got[7] == "y"
     assert bayes.gnb_params(bayes.bayes_state(df, spec), var_floor=0.5)["x"][2] == [0.5]
     coefficient = df.select(bayes.mnb_log_likelihood(spec, [0.5], True).alias("l")).first().l
