@@ -164,6 +164,38 @@ def mnb_log_likelihood(spec: ModelSpec, theta, with_coefficient: bool = False):
     return score
 
 
+def sparse_counts(df: DataFrame, key: str, label: str, tokens, vocabulary) -> DataFrame:
+    """(key, class, feature, c): how often each token of a vocabulary occurs in a point. One pass
+    over the tokens, whatever the size of the vocabulary; counts combine before the shuffle."""
+    each = df.select(F.col(key).alias("key"), F.expr(label).cast("string").alias("class"), F.explode(tokens).alias("feature"))
+    return each.where(F.col("feature").isin(list(vocabulary))).groupBy("key", "class", "feature").agg(F.count("*").alias("c"))
+
+
+def mnb_state_sparse(df: DataFrame, spec: ModelSpec, tokens) -> BayesState:
+    """Multinomial state from tokens; features of the spec are named as the tokens."""
+    names = [f.name for f in spec.features]
+    out = BayesState(spec.spec_id, tuple(1 for _ in names))
+    for r in df.groupBy(F.expr(spec.label).cast("string").alias("class")).count().collect():  # one row a class
+        out.classes[r["class"]] = [r["count"], [0] * len(names), []]
+    each = df.select(F.expr(spec.label).cast("string").alias("class"), F.explode(tokens).alias("feature")).where(F.col("feature").isin(names))
+    at = {n: i for i, n in enumerate(names)}
+    for r in each.groupBy("class", "feature").count().collect():  # one row a class and feature
+        out.classes[r["class"]][1][at[r["feature"]]] = r["count"]
+    return out
+
+
+def mnb_predict_sparse(df: DataFrame, spec: ModelSpec, tokens, params: dict, key: str) -> DataFrame:
+    """(key, class, prediction): log probabilities joined to token counts and summed by point."""
+    spark = df.sparkSession
+    theta = [(f.name, c, math.log(t)) for c, (_, th) in params.items() for f, t in zip(spec.features, th)]
+    table = F.broadcast(spark.createDataFrame(theta, "feature string, guess string, lt double"))  # vocabulary × classes
+    priors = F.broadcast(spark.createDataFrame([(c, math.log(p)) for c, (p, _) in params.items()], "guess string, lp double"))
+    sums = sparse_counts(df, key, spec.label, tokens, [f.name for f in spec.features]).join(table, "feature").groupBy("key", "guess").agg(F.sum(F.col("c") * F.col("lt")).alias("s"))
+    every = df.select(F.col(key).alias("key"), F.expr(spec.label).cast("string").alias("class"), F.explode(F.array(*[F.lit(c) for c in sorted(params)])).alias("guess"))
+    scored = every.join(sums, ["key", "guess"], "left").join(priors, "guess").withColumn("score", F.coalesce("s", F.lit(0.0)) + F.col("lp"))
+    return scored.groupBy("key", "class").agg(F.min_by("guess", F.struct((-F.col("score")).alias("a"), F.col("guess").alias("b"))).alias("prediction"))
+
+
 def predict(df: DataFrame, scores, name: str = "prediction") -> DataFrame:
     """The class of the highest score; ties go to the smaller name."""
     made = df.withColumns({f"s_{i}": s for i, (_, s) in enumerate(scores)})

@@ -236,10 +236,18 @@ sco as (select doc_id, counts.lang as truth, th.lang as c, max(lp) + sum(counts.
 top as (select *, row_number() over (partition by doc_id order by s desc, c) as rk from sco)
 select count(*) as n, count_if(truth = c) as correct from top where rk = 1""")
 def mnb_predict_lang(spark, sf_dir):
+    """Train on the first half of the texts, tell the language of the rest, by letters."""
     source = letters_source(spark, sf_dir)
     n = source.df.count()
-    params = bayes.mnb_params(bayes.bayes_state(source.scan_range(0, n // 2), LETTER_SPEC))
-    return accuracy(bayes.predict(bayes.featured(source.scan_range(n // 2, n), LETTER_SPEC), bayes.mnb_scores(LETTER_SPEC, params)), "lang").select("n", "correct")
+    letters = F.split("low", "")
+    params = bayes.mnb_params(bayes.mnb_state_sparse(source.scan_range(0, n // 2), LETTER_SPEC, letters))
+    return accuracy(bayes.mnb_predict_sparse(source.scan_range(n // 2, n), LETTER_SPEC, letters, params, "doc_id"), "class").select("n", "correct")
+
+
+@query(f"with {LETTERS_SQL} select lang as class, l as feature, count(*) as n, cast(sum(c) as double) as s from counts group by lang, l")
+def mnb_state_sparse(spark, sf_dir):
+    """The letters' state from one pass over exploded letters."""
+    return bayes_rows(spark, bayes.mnb_state_sparse(letters_source(spark, sf_dir).df, LETTER_SPEC, F.split("low", "")), LETTER_SPEC).drop("q")
 
 
 # Classes of characters counted, as patterns.
