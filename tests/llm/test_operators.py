@@ -437,3 +437,44 @@ def test_pipeline(spark, tiny):
             out.write.mode("overwrite").parquet(path)
             docs = spark.read.parquet(path)
     assert corpus_pipeline.run(spark, tiny).count() == after
+
+
+def brute_survivors(rows):
+    """Rows left when groups linked by five-word Jaccard >= 0.8 keep their smallest doc_id."""
+    sets = []
+    for _, t in rows:
+        w = (t or "").lower().split()
+        sets.append({tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set())
+    root = list(range(len(rows)))
+    for x in range(len(rows)):
+        for y in range(x):
+            if rows[x][0] is not None and rows[y][0] is not None and (sets[x] == sets[y] or len(sets[x] & sets[y]) >= 0.8 * len(sets[x] | sets[y])):
+                a, b = root[x], root[y]
+                root = [b if r == a else r for r in root]
+    best = {}
+    for x, (i, _) in enumerate(rows):
+        if i is not None:
+            best[root[x]] = min(best.get(root[x], (i, x)), (i, x))
+    return sorted((r for x, r in enumerate(rows) if r[0] is None or best[root[x]][1] == x), key=repr)
+
+
+@pytest.mark.parametrize("part_rows", [32_768, 40])
+def test_pipeline_near_copies(spark, tiny, monkeypatch, part_rows):
+    import corpus_pipeline
+    from spanfold.llm import resemblance
+
+    monkeypatch.setattr(resemblance, "PART_ROWS", part_rows)
+    r = random.Random(8)
+    rows = [(1000, ""), (1001, None), (1002, "one two"), (1003, "One two"), (1004, "one three")]
+    for i in range(60):  # near copies at similarities on both sides of the bound
+        words = passage(r.choice([40, 150, 600]), 900 + i).split()
+        rows.append((i, " ".join(words)))
+        for n in range(3):
+            other = list(words)
+            for at in r.sample(range(len(words)), max(1, round(len(words) * r.choice([0.005, 0.01, 0.02, 0.04])))):
+                other[at] = f"changed{at}"
+            rows.append((100 + 3 * i + n, " ".join(other)))
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got = corpus_pipeline.near_dedup(spark, df, tiny)
+    want = brute_survivors(rows)
+    assert sorted((tuple(x) for x in got.collect()), key=repr) == want and 65 < len(want) < 200
