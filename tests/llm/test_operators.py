@@ -478,3 +478,17 @@ def test_pipeline_near_copies(spark, tiny, monkeypatch, part_rows):
     got = corpus_pipeline.near_dedup(spark, df, tiny)
     want = brute_survivors(rows)
     assert sorted((tuple(x) for x in got.collect()), key=repr) == want and 65 < len(want) < 200
+
+
+def test_pipeline_keeps_rows_of_null_and_repeated_ids(spark, tiny):
+    import corpus_pipeline
+
+    texts = [passage(80, 300 + i) for i in range(6)]
+    item = spark.read.parquet(f"{tiny}/benchmark.parquet").orderBy("item_id").first().text
+    rows = [(None, texts[0]), (None, texts[1]), (None, texts[1]), (7, texts[2]), (7, texts[3]), (8, texts[3]), (9, texts[4]), (9, texts[4]), (3, texts[5])]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got = sorted(map(tuple, corpus_pipeline.near_dedup(spark, df, tiny).collect()), key=repr)
+    assert got == sorted(rows[:5] + [rows[6], rows[8]], key=repr)
+    leaky = df.unionByName(spark.createDataFrame([(7, item), (None, item)], df.schema))
+    left = sorted(map(tuple, corpus_pipeline.decontamination(spark, leaky, tiny).collect()), key=repr)
+    assert left == sorted(rows, key=repr)
