@@ -14,9 +14,11 @@ BROADCAST_ROWS = 1_000_000  # windows of the benchmark (20 bytes each) up to whi
 # Units of measure, as written after numbers.
 UNITS = "kilometers|kilometres|kilometer|meters|metres|meter|miles|mile|feet|foot|inches|inch|kilograms|kilogram|grams|gram|pounds|pound|ounces|tons|liters|litres|liter|gallons|hours|hour|minutes|minute|seconds|second|days|day|weeks|week|months|month|years|year|dollars|dollar|cents|euros|euro|degrees|percent|mph|kmh|km|cm|mm|kg|mg|ml|lb|oz|ft|hr|min|sec|°C|°F|%|€|\\$|£|m|g|l|h|s"
 NUM, UNIT, NAME = "\u0001", "\u0002", "\u0003"
-_NUMBER = r"(?<![\p{L}\p{N}])[-+]?\p{Sc}?\p{N}+(?:[.,:/]\p{N}+)*"
+# Repeats of groups are possessive: what follows cannot match within them, and giving back, they
+# would take a frame of the stack each, which long runs of names or numbers overflow.
+_NUMBER = r"(?<![\p{L}\p{N}])[-+]?\p{Sc}?\p{N}+(?:[.,:/]\p{N}+)*+"
 _MEASURE = _NUMBER + r"\s?(?:" + UNITS + r")(?![\p{L}\p{N}])"
-_NAME = r"(?<=[\p{L}\p{N},;] )\p{Lu}\p{L}*(?: \p{Lu}\p{L}*)*"
+_NAME = r"(?<=[\p{L}\p{N},;] )\p{Lu}\p{L}*(?: \p{Lu}\p{L}*)*+"
 _TOKEN = r"[\p{L}\p{N}]+|[\x01-\x03]"
 
 
@@ -43,15 +45,26 @@ def _windows(tokens: Column, size: int) -> Column:
     return F.when(F.size(tokens) > 0, hashes).otherwise(F.array().cast("array<bigint>"))
 
 
+def _all_windows(tokens: Column, size: int, short: list[int]) -> Column:
+    """Windows of `size` tokens, and those of each shorter length that a benchmark item has."""
+    full = _windows(tokens, size)
+    if not short:
+        return full
+    more = [F.when(F.size(tokens) > n, _windows(tokens, n)).otherwise(F.array().cast("array<bigint>")) for n in short]
+    return F.array_distinct(F.concat(full, *more))
+
+
 def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, least: float = LEAST_COVER) -> DataFrame:
     """(doc_id, item_id, n_windows, coverage, n_slots, slot_match, same_slots): one row for each
-    document and benchmark item whose template windows it holds to the share `least`.
+    document and benchmark item whose template windows it holds to the share `least`. An item
+    shorter than a window is one window of its own length, looked for in documents of any length.
 
     Templates are compared, so an item whose numbers, units or names were changed matches as well.
     For such pairs the document's stretch is read again: slot_match is the share of the item's slot
     values that keep to one value in the document wherever they recur (1 when there are none), and
     a pair whose slots contradict each other (below one half) is dropped. same_slots: no slot value
-    changed. Null and empty texts match nothing, null doc_id or item_id rows
+    changed; an item without a word beside its slots matches only so, since its template would
+    match any number or name. Null and empty texts match nothing, null doc_id or item_id rows
     are skipped, repeated rows count once; only doc_id, text and item_id, text are read.
 
     Plan: windows are hashed inside the scan; the benchmark's windows are broadcast when counted
@@ -59,17 +72,19 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, le
     """
     items = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("item_text")).where("item_id is not null")
     bench = items.select("item_id", template(F.col("item_text")).alias("tokens"))
-    bench = bench.select("item_id", F.explode(F.array_distinct(_windows(F.col("tokens"), window))).alias("h")).distinct()
+    held = F.struct(F.size("tokens").alias("n"), F.exists("tokens", lambda t: ~t.isin(NUM, UNIT, NAME)).alias("worded"))
+    bench = bench.select("item_id", held.alias("held"), F.explode(F.array_distinct(_windows(F.col("tokens"), window))).alias("h")).select("item_id", "held.*", "h").distinct()
     sizes = bench.groupBy("item_id").agg(F.count("*").alias("of"))
     bench = written(bench.join(sizes, "item_id"), "benchmark-windows")
     small = bench.count() <= BROADCAST_ROWS
+    short = sorted(r.n for r in bench.where(F.col("n") < window).select("n").distinct().collect())  # window - 1 lengths at most
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where("doc_id is not null and text is not null")
     # tokens are a column of their own: inside the window function they would be made anew each time
-    seen = texts.select("doc_id", template(F.col("text")).alias("tokens")).select("doc_id", F.explode(_windows(F.col("tokens"), window)).alias("h"))
+    seen = texts.select("doc_id", template(F.col("text")).alias("tokens")).select("doc_id", F.explode(_all_windows(F.col("tokens"), window, short)).alias("h"))
     keys = bench.select("h").distinct()
     hits = seen.join(F.broadcast(keys) if small else keys, "h").distinct()
     hits = written(hits, "window-hits")
-    pairs = hits.join(bench, "h").groupBy("doc_id", "item_id").agg(F.count("*").alias("n_windows"), (F.count("*") / F.max("of")).alias("coverage"))
+    pairs = hits.join(bench, "h").groupBy("doc_id", "item_id").agg(F.count("*").alias("n_windows"), (F.count("*") / F.max("of")).alias("coverage"), F.max("worded").alias("worded"))
     pairs = written(pairs.where(F.col("coverage") >= least), "leaks")
     with_slots = items.select("item_id", slots(F.col("item_text")).alias("item_slots")).where("size(item_slots) > 0")
     doubtful = pairs.join(with_slots, "item_id")
@@ -90,6 +105,6 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, le
     out = pairs.join(checked, ["doc_id", "item_id"], "left").select(
         "doc_id", "item_id", "n_windows", "coverage",
         F.coalesce("n_slots", F.lit(0)).alias("n_slots"), F.coalesce("slot_match", F.lit(1.0)).alias("slot_match"),
-        F.coalesce("same", F.lit(True)).alias("same_slots"),
+        F.coalesce("same", F.lit(True)).alias("same_slots"), "worded",
     )
-    return out.where("slot_match >= 0.5")
+    return out.where("slot_match >= 0.5 and (worded or same_slots)").drop("worded")

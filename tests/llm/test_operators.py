@@ -492,3 +492,18 @@ def test_pipeline_keeps_rows_of_null_and_repeated_ids(spark, tiny):
     leaky = df.unionByName(spark.createDataFrame([(7, item), (None, item)], df.schema))
     left = sorted(map(tuple, corpus_pipeline.decontamination(spark, leaky, tiny).collect()), key=repr)
     assert left == sorted(rows, key=repr)
+
+
+def test_decontamination_of_short_items(spark):
+    from spanfold.llm.decontam import contaminated
+
+    bench = spark.createDataFrame([(1, "what is photosynthesis"), (2, "capital of Peru"), (3, "42"), (4, "lone")], "item_id long, text string")
+    texts = [
+        (10, f"{passage(60, 1)} what is photosynthesis {passage(60, 2)}"),
+        (11, f"{passage(60, 3)} capital of Chile {passage(60, 4)} 42 {passage(9, 5)}"),
+        (12, f"{passage(60, 6)} 17 what photosynthesis is {passage(60, 7)}"),
+        (13, "lone what is photosynthesis"),
+        (14, "it was Ann" + " Ann" * 60_000 + " and 1" + ".1" * 3_000),  # long runs of names and numbers
+    ]
+    got = {(r.doc_id, r.item_id) for r in contaminated(spark.createDataFrame(texts, "doc_id long, text string"), bench).collect()}
+    assert got == {(10, 1), (11, 2), (11, 3), (13, 1), (13, 4)}
