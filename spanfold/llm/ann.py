@@ -62,13 +62,17 @@ class KdTree:
 
 
 def search(q_ids, queries, ids, vectors, k: int, reach: float, confidence: float, seed: int = 11):
-    """(query, vector id, inner product) of up to k verified neighbours of each query in one block.
+    """(query, vector id, inner product) of verified neighbours of each query in one block; `ids`
+    ascend. Equal vectors are one point, given back with their smallest ids, k of them at most;
+    among equal products the point of the smaller id is kept.
 
     Largest inner product is nearest distance once each vector is lengthened to `reach`. Leaves are
     taken in order of projected distance, twice as many each round; a query stops when a point as
     near as its k-th would, with the given confidence, have come up already.
     """
-    n, size = vectors.shape
+    vectors, members, starts = _distinct(vectors)
+    size = vectors.shape[1]
+    spare = int(np.unique(ids, return_counts=True)[1].max())  # rows that share a query's id fall away below
     rng = np.random.default_rng(seed)
     lines = rng.standard_normal((size + 1, DIMS))
     norms = np.einsum("ij,ij->i", vectors, vectors)
@@ -79,7 +83,8 @@ def search(q_ids, queries, ids, vectors, k: int, reach: float, confidence: float
     bounds = np.take_along_axis(bounds, order, axis=1)
     far = np.einsum("ij,ij->i", queries, queries) + reach * reach
     limit = chi_square_quantile(confidence, DIMS)
-    keep = k + 8  # scores are settled again below, so leave room for rounding
+    keep = k + spare
+    slack = 1e-9 * reach * reach  # of products and bounds that differ by rounding only
     best = np.full((len(queries), keep), -np.inf)
     which = np.zeros((len(queries), keep), dtype=np.int64)
     active = np.arange(len(queries))
@@ -93,23 +98,41 @@ def search(q_ids, queries, ids, vectors, k: int, reach: float, confidence: float
             who = active[by_leaf[edges[leaf] : edges[leaf + 1]] // turn.shape[1]]
             rows = tree.leaves[leaf]
             s = queries[who] @ vectors[rows].T
-            s[q_ids[who][:, None] == ids[rows][None, :]] = -np.inf
-            hit = np.flatnonzero((s >= best[who, -1:]).any(axis=1))
+            near = s >= best[who, -1:] - slack
+            hit = np.flatnonzero(near.any(axis=1))
             if len(hit):
                 w = who[hit]
-                both = np.hstack([best[w], s[hit]])
-                at = np.argsort(-both, axis=1, kind="stable")[:, :keep]
-                which[w] = np.take_along_axis(np.hstack([which[w], np.broadcast_to(rows, (len(w), len(rows)))]), at, axis=1)
+                x, y = np.nonzero(near[hit])
+                s = np.full((len(hit), len(rows)), -np.inf)
+                s[x, y] = (queries[w[x]] * vectors[rows[y]]).sum(axis=1)  # equal vectors, equal products
+                both = np.hstack([best[w], s])
+                point = np.hstack([which[w], np.broadcast_to(rows, (len(w), len(rows)))])
+                at = np.lexsort((point, -both), axis=1)[:, :keep]
+                which[w] = np.take_along_axis(point, at, axis=1)
                 best[w] = np.take_along_axis(both, at, axis=1)
         done += step
         step *= 2
         if done >= len(tree.leaves):
             break
-        kth = np.maximum(far[active] - 2 * best[active, k - 1], 0)  # squared distance of the k-th
-        active = active[~(bounds[active, done] >= limit * kth)]
+        kth = np.maximum(far[active] - 2 * best[active, -1], 0)  # squared distance of the last kept
+        active = active[~(bounds[active, done] > limit * kth + slack)]
     qi, slot = np.nonzero(np.isfinite(best))
-    rows = which[qi, slot]
-    return q_ids[qi], ids[rows], (queries[qi] * vectors[rows]).sum(axis=1)
+    rows, score = which[qi, slot], best[qi, slot]
+    held = np.minimum(starts[rows + 1] - starts[rows], keep)
+    each = np.repeat(np.arange(len(qi)), held)
+    row = members[starts[rows[each]] + np.arange(len(each)) - np.repeat(np.cumsum(held) - held, held)]
+    other = ids[row] != q_ids[qi[each]]
+    return q_ids[qi[each]][other], ids[row][other], score[each][other]
+
+
+def _distinct(vectors: np.ndarray):
+    """The distinct vectors by first row, all rows by vector, and where each vector's rows begin."""
+    _, first, inverse = np.unique(vectors + 0.0, axis=0, return_index=True, return_inverse=True)
+    order = np.argsort(first)
+    place = np.empty(len(order), dtype=np.int64)
+    place[order] = np.arange(len(order))
+    owner = place[inverse.ravel()]
+    return vectors[first[order]], np.argsort(owner, kind="stable"), np.concatenate(([0], np.cumsum(np.bincount(owner))))
 
 
 def _matrix(table: pa.Table) -> tuple[np.ndarray, np.ndarray]:

@@ -507,3 +507,24 @@ def test_decontamination_of_short_items(spark):
     ]
     got = {(r.doc_id, r.item_id) for r in contaminated(spark.createDataFrame(texts, "doc_id long, text string"), bench).collect()}
     assert got == {(10, 1), (11, 2), (11, 3), (13, 1), (13, 4)}
+
+
+def test_ann_of_many_equal_vectors(spark):
+    from spanfold.llm.ann import nearest
+
+    rng = np.random.default_rng(6)
+    x = rng.standard_normal((1500, 16)).astype(np.float32).astype(float)
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    ids = rng.permutation(1500)
+    x[ids[:400]] = x[ids[0]]
+    x[ids[400:700]] = x[ids[400]]
+    asks = {int(i) for i in (*ids[:3], *ids[400:403])}
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id long, embedding array<double>")
+    got = {}
+    for r in nearest(df, F.col("vec_id").isin(sorted(asks)), k=10).collect():
+        got.setdefault(r.query_id, []).append((r["rank"], r.vec_id))
+    groups = [sorted(map(int, ids[:400])), sorted(map(int, ids[400:700]))]
+    assert set(got) == asks
+    for q, ranked in got.items():
+        group = next(g for g in groups if q in g)
+        assert [i for _, i in sorted(ranked)] == [i for i in group if i != q][:10]
