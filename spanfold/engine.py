@@ -9,11 +9,13 @@ import numpy as np
 from pyspark.sql import SparkSession
 
 from spanfold.functions import bayes, linear
-from spanfold.functions.logistic import LogisticState, average_models, make_chunks, train_chunks
+from spanfold.functions.logistic import LogisticState, arrays_of, average_models, make_chunks, project, train_chunks, train_many
+from spanfold.operators.batch import range_states
 from spanfold.operators.combine import empty, scan_state
 from spanfold.plans.costs import LinearCost
 from spanfold.plans.planner import Plan, Segment, best_plan, cancel_scans, check_net, explain, scan_plan
 from spanfold.plans.ranges import Range
+from spanfold.sources.local import MOST_POINTS
 from spanfold.sources.points import ModelSpec, PointSource
 from spanfold.sources.store import ModelStore
 
@@ -54,7 +56,7 @@ class Engine:
         """directed is forced for logistic models, which cannot be subtracted."""
         directed = spec.kind == "logit" if directed is None else directed
         r = Range(lo, hi)
-        return best_plan(self.store.relevant(spec, r, contained=directed), r, self.cost, source.directory, directed, self.planner)
+        return best_plan(self.store.relevant(spec, r, directed, source.version), r, self.cost, source.directory, directed, self.planner)
 
     def fit(self, source: PointSource, spec: ModelSpec, lo: int, hi: int, keep: bool = False, plan: Plan | None = None, tail: str = "merge", anchor: str = "request", weighting: str = "uniform") -> Answer:
         began = time.perf_counter()
@@ -92,20 +94,58 @@ class Engine:
         states = list(self.store.fetch(answer.plan.models, source.version).values())
         scans = [s for s in answer.plan.segments if s.kind == "scan" and s.points > 0]
         chunks = [c for s in scans for c in make_chunks(s.lo, s.hi, spec.chunk, tail, anchor)]
-        if chunks:
-            source.stats["jobs"] += 1
-            source.stats["points"] += sum(s.points for s in scans)
-            rows = train_chunks(source.scan_segments([Segment(1, "scan", s.lo, s.hi) for s in scans]), spec, chunks).collect()
-            for r in sorted(rows, key=lambda r: r.chunk_lo):
-                state = LogisticState(spec.spec_id, r.n, np.array(r.w))
-                states.append(state)
-                if keep:
-                    answer.new_models.append(self.store.put(spec, Range(r.chunk_lo, r.chunk_hi), state, source.version))
+        for r, state in self._train(source, spec, scans, chunks):
+            states.append(state)
+            if keep:
+                answer.new_models.append(self.store.put(spec, r, state, source.version))
         read = time.perf_counter()
         answer.state = average_models(states, weighting)
         answer.points_read = sum(s.points for s in scans)
         answer.t_io, answer.t_merge = read - began, time.perf_counter() - read
 
+    def _train(self, source: PointSource, spec: ModelSpec, scans, chunks) -> list[tuple[Range, LogisticState]]:
+        """Models of new chunks: on the driver where their points are few and written out, else in
+        one job."""
+        if not chunks:
+            return []
+        points = sum(s.hi - s.lo for s in scans)
+        source.stats["points"] += points
+        ready = source.prepared(spec, project)
+        if ready.reader is not None and points <= MOST_POINTS:
+            read = [(c, t) for c, t in ((c, ready.reader.read(c.lo, c.hi)) for c in chunks) if t.num_rows]
+            parts = [arrays_of(t, spec) for _, t in read]
+            return [(c, LogisticState(spec.spec_id, len(y), w)) for (c, _), (_, y), w in zip(read, parts, train_many(parts, spec))]
+        source.stats["jobs"] += 1
+        rows = train_chunks(ready.scan_segments([Segment(1, "scan", s.lo, s.hi) for s in scans]), spec, chunks, ready=True).collect()
+        return [(Range(r.chunk_lo, r.chunk_hi), LogisticState(spec.spec_id, r.n, np.array(r.w))) for r in sorted(rows, key=lambda r: r.chunk_lo)]
+
+    def fit_many(self, source: PointSource, spec: ModelSpec, asks: list[Range]) -> list[Answer]:
+        """Additive models for a set of requests: each is planned by itself, and all scans of all
+        plans run as one job over elementary cells, so a point that many plans need is read once."""
+        began = time.perf_counter()
+        plans = [self.plan(source, spec, *r) for r in asks]
+        planned = time.perf_counter()
+        scans = [[s for s in cancel_scans(p.segments, self.cost, source.directory) if s.kind == "scan" and s.hi > s.lo] for p in plans]
+        wanted = sorted({Range(s.lo, s.hi) for own in scans for s in own})
+        read = dict(zip(wanted, range_states(source, spec, wanted))) if wanted else {}
+        models = self.store.fetch(sorted({m for p in plans for m in p.models}), source.version)
+        fetched = time.perf_counter()
+        out = []
+        for r, p, own in zip(asks, plans, scans):
+            if not check_net(p.segments, r):
+                raise AssertionError("a plan counts each point of its request once")
+            state = empty(spec)
+            for s in own:
+                state = state.combine(read[Range(s.lo, s.hi)], s.sign)
+            for s in p.segments:
+                if s.kind == "model":
+                    state = state.combine(models[s.model_id], s.sign)
+            out.append(Answer(spec, r, state, p, points_read=sum(s.points for s in own)))
+        merged = time.perf_counter()
+        for a in out:  # each carries an even share of the set's time
+            a.t_plan, a.t_io, a.t_merge = (planned - began) / len(out), (fetched - planned) / len(out), (merged - fetched) / len(out)
+        return out
+
     def extend(self, source: PointSource, answer: Answer, lo: int, hi: int) -> Answer:
         """The model of an answer carried on to [lo, hi). Additive models gain and lose points;
         a logistic model only gains chunks, whose weights join the average."""
@@ -129,4 +169,4 @@ class Engine:
         return self.fit(source, spec, lo, hi, plan=scan_plan(Range(lo, hi), self.cost, source.directory))
 
     def explain(self, source: PointSource, spec: ModelSpec, lo: int, hi: int) -> dict[str, Plan]:
-        return explain(self.store.relevant(spec, Range(lo, hi)), Range(lo, hi), self.cost, source.directory)
+        return explain(self.store.relevant(spec, Range(lo, hi), source_version=source.version), Range(lo, hi), self.cost, source.directory)

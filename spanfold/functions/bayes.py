@@ -6,6 +6,7 @@ import math
 from dataclasses import dataclass, field
 from fractions import Fraction
 
+import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -81,6 +82,22 @@ def state_from_rows(rows, spec: ModelSpec) -> BayesState:
     return out
 
 
+def state_of_table(table, spec: ModelSpec) -> BayesState:
+    """Exact state of projected points held in memory (an Arrow table with class, v0, v1, …)."""
+    out = BayesState(spec.spec_id, tuple(f.unit for f in spec.features))
+    if not table.num_rows:
+        return out
+    x = np.stack([table.column(f"v{i}").to_numpy() for i in range(len(spec.features))], axis=1)
+    most = int(np.abs(x).max(initial=0))
+    squares = x * x if most * most * len(x) < 1 << 62 else x.astype(object) ** 2
+    names, which = np.unique(table.column("class").to_numpy(zero_copy_only=False).astype(str), return_inverse=True)
+    for c, name in enumerate(names):
+        own = which == c
+        q = [int(v) for v in squares[own].sum(axis=0)] if spec.kind == "gnb" else []
+        out.classes[str(name)] = [int(own.sum()), [int(v) for v in x[own].sum(axis=0)], q]
+    return out
+
+
 def bayes_state(df: DataFrame, spec: ModelSpec, sign: str | None = None) -> BayesState:
     return state_from_rows(bayes_states(df, spec, sign=sign).collect(), spec)  # one row a class
 
@@ -164,13 +181,6 @@ def mnb_log_likelihood(spec: ModelSpec, theta, with_coefficient: bool = False):
     return score
 
 
-def sparse_counts(df: DataFrame, key: str, label: str, tokens, vocabulary) -> DataFrame:
-    """(key, class, feature, c): how often each token of a vocabulary occurs in a point. One pass
-    over the tokens, whatever the size of the vocabulary; counts combine before the shuffle."""
-    each = df.select(F.col(key).alias("key"), F.expr(label).cast("string").alias("class"), F.explode(tokens).alias("feature"))
-    return each.where(F.col("feature").isin(list(vocabulary))).groupBy("key", "class", "feature").agg(F.count("*").alias("c"))
-
-
 def mnb_state_sparse(df: DataFrame, spec: ModelSpec, tokens) -> BayesState:
     """Multinomial state from tokens; features of the spec are named as the tokens."""
     names = [f.name for f in spec.features]
@@ -185,15 +195,18 @@ def mnb_state_sparse(df: DataFrame, spec: ModelSpec, tokens) -> BayesState:
 
 
 def mnb_predict_sparse(df: DataFrame, spec: ModelSpec, tokens, params: dict, key: str) -> DataFrame:
-    """(key, class, prediction): log probabilities joined to token counts and summed by point."""
-    spark = df.sparkSession
-    theta = [(f.name, c, math.log(t)) for c, (_, th) in params.items() for f, t in zip(spec.features, th)]
-    table = F.broadcast(spark.createDataFrame(theta, "feature string, guess string, lt double"))  # vocabulary × classes
-    priors = F.broadcast(spark.createDataFrame([(c, math.log(p)) for c, (p, _) in params.items()], "guess string, lp double"))
-    sums = sparse_counts(df, key, spec.label, tokens, [f.name for f in spec.features]).join(table, "feature").groupBy("key", "guess").agg(F.sum(F.col("c") * F.col("lt")).alias("s"))
-    every = df.select(F.col(key).alias("key"), F.expr(spec.label).cast("string").alias("class"), F.explode(F.array(*[F.lit(c) for c in sorted(params)])).alias("guess"))
-    scored = every.join(sums, ["key", "guess"], "left").join(priors, "guess").withColumn("score", F.coalesce("s", F.lit(0.0)) + F.col("lp"))
-    return scored.groupBy("key", "class").agg(F.min_by("guess", F.struct((-F.col("score")).alias("a"), F.col("guess").alias("b"))).alias("prediction"))
+    """(key, class, prediction): log probabilities of a point's tokens, summed by point.
+
+    The model is a broadcast row a token with its log probabilities by class (vocabulary × classes
+    doubles). A point's tokens are neighbours, so they combine before the one shuffle, which moves a
+    row a point. Points without a known token are told by the priors.
+    """
+    names = sorted(params)
+    rows = [(f.name, *[math.log(params[c][1][i]) for c in names]) for i, f in enumerate(spec.features)]
+    table = F.broadcast(df.sparkSession.createDataFrame(rows, "feature string, " + ", ".join(f"w{j} double" for j in range(len(names)))))
+    each = df.select(F.col(key).alias("key"), F.expr(spec.label).cast("string").alias("class"), F.explode_outer(tokens).alias("feature"))
+    sums = each.join(table, "feature", "left").groupBy("key", "class").agg(*[F.coalesce(F.sum(f"w{j}"), F.lit(0.0)).alias(f"w{j}") for j in range(len(names))])
+    return predict(sums, [(c, F.col(f"w{j}") + F.lit(math.log(params[c][0]))) for j, c in enumerate(names)]).select("key", "class", "prediction")
 
 
 def predict(df: DataFrame, scores, name: str = "prediction") -> DataFrame:

@@ -9,6 +9,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from spanfold.sources.local import exact_gram
 from spanfold.sources.points import Feature, ModelSpec, check_rows
 
 
@@ -136,6 +137,17 @@ def state_from_row(row, spec: ModelSpec, arithmetic: str = "int") -> LinearState
     return LinearState(spec.spec_id, int(row["n"]), cross, [number(row[f"t{i}"]) for i in range(len(cols))], units)
 
 
+def state_of_table(table, spec: ModelSpec) -> LinearState:
+    """Exact state of projected points held in memory (an Arrow table with v0, v1, …)."""
+    cols = spec.columns() + [spec.target]
+    if not table.num_rows:
+        return empty_state(spec)
+    x = np.stack([table.column(f"v{i}").to_numpy() for i in range(len(cols))], axis=1)
+    g = exact_gram(x)
+    cross = [g[i][j] for i in range(len(cols)) for j in range(i, len(cols))]
+    return LinearState(spec.spec_id, len(x), cross, [int(t) for t in x.sum(axis=0)], tuple(c.unit for c in cols))
+
+
 def linreg_state(df: DataFrame, spec: ModelSpec, sign: str | None = None, arithmetic: str = "int") -> LinearState:
     return state_from_row(linreg_states(df, spec, sign=sign, arithmetic=arithmetic).first(), spec, arithmetic)
 

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import math
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 import numpy as np
 import pandas as pd
@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from spanfold.plans.ranges import Range
-from spanfold.sources.points import ModelSpec, check_rows
+from spanfold.sources.points import ModelSpec, check_rows, in_cells
 
 
 class NotSubtractable(ValueError):
@@ -93,7 +93,12 @@ def logit_predict(df: DataFrame, spec: ModelSpec, w, threshold: float = 0.5, nam
 
 
 def train_arrays(x: np.ndarray, y: np.ndarray, spec: ModelSpec, w: np.ndarray | None = None) -> np.ndarray:
-    """batch: `steps` full-gradient steps from zero. sgd: one step a point, in the order given."""
+    """batch: `steps` full-gradient steps from zero. sgd: one step a point, in the order given.
+    each-k-…: y numbers k classes from 1; weights of each class against the rest, end to end."""
+    if spec.trainer.startswith("each-"):
+        _, k, trainer = spec.trainer.split("-", 2)
+        own = replace(spec, trainer=trainer)
+        return np.concatenate([train_arrays(x, (y == c).astype(float), own) for c in range(1, int(k) + 1)])
     w = np.zeros(x.shape[1]) if w is None else w.copy()
     if spec.trainer == "batch":
         for _ in range(spec.steps):
@@ -109,34 +114,97 @@ def train_arrays(x: np.ndarray, y: np.ndarray, spec: ModelSpec, w: np.ndarray |
     return w
 
 
-def train_chunks(points: DataFrame, spec: ModelSpec, chunks: list[Range], key: str | None = None) -> DataFrame:
+def project(df: DataFrame, spec: ModelSpec, keep=()) -> DataFrame:
+    """Label and scaled features as doubles, the columns a trainer needs."""
+    df = check_rows(df, spec)
+    return df.select(*keep, F.expr(spec.label).cast("double").alias("y_"), *[c.alias(f"x{j}") for j, c in enumerate(scaled(spec))])
+
+
+def arrays_of(table, spec: ModelSpec) -> tuple[np.ndarray, np.ndarray]:
+    """Features and labels of projected points held in memory, in key order."""
+    names = [f"x{j}" for j in range(len(spec.columns()))]
+    return np.stack([table.column(c).to_numpy() for c in names], axis=1), table.column("y_").to_numpy()
+
+
+def train_many(parts: list[tuple[np.ndarray, np.ndarray]], spec: ModelSpec) -> list[np.ndarray]:
+    """Weights of many chunks, each as `train_arrays` gives: single-point steps of all chunks are
+    taken side by side, one matrix operation a step, since chunks do not depend on one another."""
+    if spec.trainer != "sgd" or len(parts) < 4:
+        return [train_arrays(x, y, spec) for x, y in parts]
+    order = sorted(range(len(parts)), key=lambda i: -len(parts[i][1]))
+    size = np.array([len(parts[i][1]) for i in order])
+    d = parts[0][0].shape[1]
+    x, y = np.zeros((size.max(initial=0), len(order), d)), np.zeros((size.max(initial=0), len(order)))
+    for at, i in enumerate(order):
+        x[: size[at], at], y[: size[at], at] = parts[i]
+    w = np.zeros((len(order), d))
+    step, shrink = spec.step_size, 1 - 2 * spec.step_size * spec.l2
+    live = np.searchsorted(-size, -np.arange(1, len(x) + 1), side="right")
+    for _ in range(spec.steps):
+        for t, m in enumerate(live.tolist()):
+            row = x[t, :m]
+            h = 1 / (1 + np.exp(-np.maximum(np.einsum("ij,ij->i", row, w[:m]), -500)))
+            w[:m] = shrink * w[:m] - (step * (h - y[t, :m]))[:, None] * row
+    out: list = [None] * len(parts)
+    for at, i in enumerate(order):
+        out[i] = w[at]
+    return out
+
+
+SIDE_BY_SIDE = 1 << 16  # points that a task trains at once; a longer chunk is trained alone
+
+
+def train_chunks(points: DataFrame, spec: ModelSpec, chunks: list[Range], key: str | None = None, ready: bool = False) -> DataFrame:
     """(chunk_lo, chunk_hi, n, w): a model for each chunk, trained where the chunk's rows meet.
 
-    One shuffle by chunk; a chunk's rows are sorted by key and fit a task, as chunks have a size.
+    One shuffle by chunk. A task gets whole chunks sorted by key, and steps neighbouring ones side
+    by side up to a bound of points; a chunk fits a task, as chunks have a size. `ready`: the points
+    are projected already.
     """
     key = key or spec.key
-    cols = scaled(spec)
-    rows = check_rows(points, spec)
+    rows = points if ready else project(points, spec, keep=[key])
     lows = [c.lo for c in chunks]
-    table = F.array(*[F.lit(x).cast("long") for x in lows]) if len(lows) <= 256 else None
-    if table is not None:
+    if len(lows) <= 256:
+        table = F.array(*[F.lit(x).cast("long") for x in lows])
         at = F.size(F.filter(table, lambda x: x <= F.col(key))) - 1
         rows = rows.where((F.col(key) >= lows[0]) & (F.col(key) < chunks[-1].hi)).withColumn("chunk_lo", F.element_at(table, (at + 1).cast("int")))
         ends = F.create_map(*[F.lit(v).cast("long") for c in chunks for v in (c.lo, c.hi)])
         rows = rows.withColumn("chunk_hi", ends[F.col("chunk_lo")]).where(F.col(key) < F.col("chunk_hi"))
     else:
-        spans = points.sparkSession.createDataFrame([(c.lo, c.hi) for c in chunks], "chunk_lo long, chunk_hi long")
-        rows = rows.join(F.broadcast(spans), (F.col(key) >= F.col("chunk_lo")) & (F.col(key) < F.col("chunk_hi")))
-    rows = rows.select("chunk_lo", "chunk_hi", F.col(key).alias("key_"), F.expr(spec.label).cast("double").alias("y_"), *[c.alias(f"x{j}") for j, c in enumerate(cols)])
-
-    names = [f"x{j}" for j in range(len(cols))]
-
-    def train(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("key_")
-        w = train_arrays(pdf[names].to_numpy(), pdf["y_"].to_numpy(), spec)
-        return pd.DataFrame({"chunk_lo": [pdf.chunk_lo.iloc[0]], "chunk_hi": [pdf.chunk_hi.iloc[0]], "n": [len(pdf)], "w": [w]})
-
-    return rows.groupBy("chunk_lo", "chunk_hi").applyInPandas(train, "chunk_lo long, chunk_hi long, n long, w array<double>")
+        rows = rows.where((F.col(key) >= lows[0]) & (F.col(key) < chunks[-1].hi))
+        rows = in_cells(rows, key, [(c.lo, c.hi, 0) for c in chunks], "unused_ int").drop("unused_").withColumnsRenamed({"cell_lo": "chunk_lo", "cell_hi": "chunk_hi"})
+    d = len(spec.columns())
+    names = [f"x{j}" for j in range(d)]
+    rows = rows.select("chunk_lo", "chunk_hi", F.col(key).alias("key_"), "y_", *names)
+
+    def train(batches):
+        held: list = []  # (lo, hi, x, y) of chunks read whole, the last still growing
+
+        def settle(done):
+            if done:
+                ws = train_many([(np.concatenate(x), np.concatenate(y)) for _, _, x, y in done], spec)
+                yield pd.DataFrame({"chunk_lo": [c[0] for c in done], "chunk_hi": [c[1] for c in done], "n": [sum(map(len, c[3])) for c in done], "w": ws})
+
+        for pdf in batches:
+            lo, hi = pdf["chunk_lo"].to_numpy(), pdf["chunk_hi"].to_numpy()
+            x, y = pdf[names].to_numpy(), pdf["y_"].to_numpy()
+            cut = np.concatenate(([0], np.flatnonzero(lo[1:] != lo[:-1]) + 1, [len(lo)]))
+            for a, b in zip(cut[:-1], cut[1:]):
+                if a == b:
+                    continue
+                if held and held[-1][0] == lo[a]:
+                    held[-1][2].append(x[a:b])
+                    held[-1][3].append(y[a:b])
+                    continue
+                if sum(len(p) for c in held for p in c[3]) >= SIDE_BY_SIDE:
+                    yield from settle(held)
+                    held = []
+                held.append((lo[a], hi[a], [x[a:b]], [y[a:b]]))
+        yield from settle(held)
+
+    parts = max(1, min(len(chunks), int(points.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
+    dealt = rows.repartition(parts, "chunk_lo").sortWithinPartitions("chunk_lo", "key_")
+    return dealt.mapInPandas(train, "chunk_lo long, chunk_hi long, n long, w array<double>")
 
 
 def average_models(models, weighting: str = "uniform") -> LogisticState:
@@ -154,20 +222,33 @@ def average_frame(models: DataFrame, weighting: str = "uniform") -> DataFrame:
     return each.groupBy("i").agg((F.sum(F.col("m") * F.col("v")) / F.sum("m")).alias("w"))
 
 
-def average_of_subsamples(points: DataFrame, spec: ModelSpec, p: int, m: int, seed: int = 1, key: str | None = None, mu=None) -> LogisticState:
-    """Weights averaged over p sub-samples of m points, drawn by hashed key without replacement
-    inside a sub-sample; mu weighs them (even by default)."""
-    key = key or spec.key
-    cols = scaled(spec)
-    n = points.count()
-    u = lambda s: F.shiftrightunsigned(F.xxhash64(F.lit(seed), s, F.col(key)), 11).cast("double") / float(1 << 53)
-    draws = points.withColumn("sub", F.explode(F.sequence(F.lit(0), F.lit(p - 1)))).where(u(F.col("sub")) < m / max(1, n))
-    rows = draws.select("sub", F.col(key).alias("key_"), F.expr(spec.label).cast("double").alias("y_"), *[c.alias(f"x{j}") for j, c in enumerate(cols)])
+def mixed(x):
+    """An arithmetic hash of a whole number to 31 bits, the same in any SQL; no product leaves 63 bits."""
+    low = lambda v: F.pmod(v, F.lit(1 << 31))
+    x = low(low(x) * F.lit(2654435761))
+    x = low(x.bitwiseXOR(F.shiftright(x, 15)) * F.lit(2246822519))
+    return x.bitwiseXOR(F.shiftright(x, 13))
 
-    names = [f"x{j}" for j in range(len(cols))]
+
+def average_of_subsamples(points: DataFrame, spec: ModelSpec, p: int, m: int, seed: int = 1, key: str | None = None, mu=None, n: int | None = None) -> LogisticState:
+    """Weights averaged over p sub-samples of m points each, drawn independently and with
+    replacement from dense keys below n (the number of points by default); mu weighs them (even by
+    default).
+
+    Draws are made in the plan, p·m short rows, and joined to the points by key; a point drawn twice
+    counts twice. A sub-sample's rows meet in a task and are taken in the order drawn.
+    """
+    key = key or spec.key
+    n = points.count() if n is None else n
+    t = F.col("id")
+    spot = F.floor(mixed(t + F.lit(seed * 1_000_003)).cast("double") / float(1 << 31) * F.lit(float(n))).cast("long")
+    draws = points.sparkSession.range(p * m).select(F.floor(t / m).cast("int").alias("sub"), (t % m).alias("turn_"), spot.alias(key))
+    draws = F.broadcast(draws) if p * m <= 1 << 20 else draws
+    rows = project(points, spec, keep=[key]).join(draws, key)
+    names = [f"x{j}" for j in range(len(spec.columns()))]
 
     def train(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.sort_values("key_")
+        pdf = pdf.sort_values("turn_")
         w = train_arrays(pdf[names].to_numpy(), pdf["y_"].to_numpy(), spec)
         return pd.DataFrame({"sub": [pdf["sub"].iloc[0]], "n": [len(pdf)], "w": [w]})
 
@@ -178,15 +259,16 @@ def average_of_subsamples(points: DataFrame, spec: ModelSpec, p: int, m: int, se
 
 
 def one_vs_rest(points: DataFrame, spec: ModelSpec, classes, chunks: list[Range]) -> dict[str, LogisticState]:
-    """One averaged model for each class against the others, all from one pass per class label."""
-    from dataclasses import replace
-
-    out = {}
-    for c in sorted(classes):
-        own = replace(spec, label=f"case when ({spec.label}) = '{c}' then 1 else 0 end")
-        rows = train_chunks(points, own, chunks).collect()
-        out[c] = average_models([LogisticState(own.spec_id, r.n, np.array(r.w)) for r in rows])
-    return out
+    """One averaged model for each class against the others. Points are read and shuffled once:
+    they carry the number of their class, and each chunk trains all classes where it lies."""
+    names = sorted(classes)
+    which = F.array_position(F.array(*map(F.lit, names)), F.expr(spec.label).cast("string")).cast("double")
+    rows = project(points, spec, keep=[F.col(spec.key), which.alias("class_")]).drop("y_").withColumnRenamed("class_", "y_")
+    models = {}
+    for r in train_chunks(rows, replace(spec, trainer=f"each-{len(names)}-{spec.trainer}"), chunks, ready=True).collect():  # one row a chunk
+        for c, w in zip(names, np.array(r.w).reshape(len(names), -1)):
+            models.setdefault(c, []).append((r.chunk_lo, LogisticState(spec.spec_id, r.n, w)))
+    return {c: average_models([s for _, s in sorted(own, key=lambda x: x[0])]) for c, own in models.items()}
 
 
 def ovr_predict(df: DataFrame, spec: ModelSpec, models: dict, name: str = "prediction") -> DataFrame:

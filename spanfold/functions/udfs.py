@@ -28,6 +28,24 @@ def register_predictors(spark: SparkSession, w_linear, w_logit) -> None:
     spark.udf.register("predict_logit", F.pandas_udf(predict_logit, "double"))
 
 
+def register_bayes(spark: SparkSession, params: dict, name: str = "predict_nb") -> None:
+    """predict_nb(array<double>): the likeliest class by Gaussian parameters (class -> prior, means,
+    variances); ties go to the smaller name, and a feature that never varied fits its value only."""
+    names = sorted(params)
+    prior = np.log([params[c][0] for c in names])
+    mean, var = (np.array([params[c][i] for c in names], dtype=float) for i in (1, 2))
+
+    def predict_nb(x: pd.Series) -> pd.Series:
+        if not len(x):
+            return pd.Series([], dtype=str)
+        gap = np.stack(x.to_numpy())[:, None, :] - mean
+        with np.errstate(divide="ignore", invalid="ignore"):
+            part = np.where(var > 0, -0.5 * np.log(2 * np.pi * var) - gap * gap / (2 * var), np.where(gap == 0, 0.0, -np.inf))
+        return pd.Series(np.array(names)[(prior + part.sum(axis=2)).argmax(axis=1)])
+
+    spark.udf.register(name, F.pandas_udf(predict_nb, "string"))
+
+
 def gram_agg():
     """Grouped aggregate: packed second moments of a vector column. For small groups only."""
 
@@ -42,14 +60,14 @@ def gram_agg():
     return pandas_udf(gram, "array<double>", PandasUDFType.GROUPED_AGG)
 
 
-def register_table_functions(spark: SparkSession, models, cost=LinearCost()) -> None:
+def register_table_functions(spark: SparkSession, models, cost=LinearCost(), directed: bool = False) -> None:
     """plan_segments(lo, hi) lists the plan over the given descriptors; chunk_ranges(lo, hi, size)."""
     kept = list(models)
 
     @F.udtf(returnType="seq int, sign int, kind string, lo long, hi long, model_id string, cost double")
     class PlanSegments:
         def eval(self, lo: int, hi: int):
-            for i, s in enumerate(best_plan(kept, Range(lo, hi), cost).segments):
+            for i, s in enumerate(best_plan(kept, Range(lo, hi), cost, directed=directed).segments):
                 yield i, s.sign, s.kind, s.lo, s.hi, s.model_id, float(s.cost)
 
     @F.udtf(returnType="seq int, lo long, hi long")

@@ -9,8 +9,9 @@ from pyspark.sql import functions as F
 
 from spanfold.functions.bayes import gnb_params, mnb_params
 from spanfold.functions.linear import linreg_solve
-from spanfold.functions.logistic import LogisticState, logit_gradient, scaled, train_arrays
+from spanfold.functions.logistic import LogisticState, arrays_of, logit_gradient, project, scaled, train_arrays
 from spanfold.operators.combine import build
+from spanfold.sources.local import MOST_POINTS
 from spanfold.sources.points import ModelSpec, PointSource
 
 
@@ -29,11 +30,15 @@ def scratch_mnb(source: PointSource, spec: ModelSpec, lo: int, hi: int, alpha: f
 def scratch_sgd(source: PointSource, spec: ModelSpec, lo: int, hi: int) -> LogisticState:
     """One pass of single-point steps over the whole range in key order.
 
-    Sequential by its nature: one task, which carries only the weights from batch to batch.
+    Sequential by its nature: one task, which carries only the weights from batch to batch. A range
+    that the source's reader may read on the driver is stepped through there.
     """
-    cols = scaled(spec)
-    names = [f"x{j}" for j in range(len(cols))]
-    rows = source.scan_range(lo, hi).select(F.col(source.key).alias("key_"), F.expr(spec.label).cast("double").alias("y_"), *[c.alias(n) for c, n in zip(cols, names)])
+    ready = source.prepared(spec, project)
+    if ready.reader is not None and hi - lo <= MOST_POINTS:
+        x, y = arrays_of(ready.reader.read(lo, hi), spec)
+        return LogisticState(spec.spec_id, len(y), train_arrays(x, y, spec))
+    names = [f"x{j}" for j in range(len(spec.columns()))]
+    rows = ready.scan_range(lo, hi).select(F.col(source.key).alias("key_"), "y_", *names)
 
     def run(batches):
         w, n = np.zeros(len(names)), 0

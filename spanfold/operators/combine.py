@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 from spanfold.functions import bayes, linear
 from spanfold.plans.planner import Segment
 from spanfold.plans.ranges import Range, contains, hull, meet, minus, overlaps
+from spanfold.sources.local import MOST_POINTS
 from spanfold.sources.points import ModelSpec, PointSource
 
 
@@ -26,14 +27,22 @@ class RangeModel:
 
 
 def scan_state(source: PointSource, spec: ModelSpec, segments):
-    """Signed state of scan segments, in one job; nothing to scan runs no job."""
+    """Signed state of scan segments: from a read on the driver where the source's features were
+    written out and the points are few, else in one job. Nothing to scan runs no job."""
     segments = [s for s in segments if s.hi > s.lo]
     if not segments:
         return empty(spec)
+    points = sum(s.hi - s.lo for s in segments)
+    source.stats["points"] += points
+    ready = source.prepared(spec, linear.project if spec.kind == "linreg" else bayes.project)
+    if ready.reader is not None and points <= MOST_POINTS:
+        out = empty(spec)
+        of = linear.state_of_table if spec.kind == "linreg" else bayes.state_of_table
+        for s in segments:
+            out = out.combine(of(ready.reader.read(s.lo, s.hi), spec), s.sign)
+        return out
     source.stats["jobs"] += 1
-    source.stats["points"] += sum(s.hi - s.lo for s in segments)
     plain = len(segments) == 1 and segments[0].sign == 1
-    ready = source.prepared(spec, linear.project if spec.kind == "linreg" else bayes.project)
     rows = ready.scan_range(segments[0].lo, segments[0].hi) if plain else ready.scan_segments(segments)
     sign = None if plain else "sign"
     if spec.kind == "linreg":

@@ -82,10 +82,22 @@ def ends_of(n: int) -> dict:
 
 ENDS_SQL = "ends as (select " + ", ".join(f"n * {p} // {q} as {k}" for k, (p, q) in ENDS.items()) + " from (select count(*) as n from events))"
 
-#: A fixed set of 25 descriptors over keys 0 … 9999.
-MODELS = [(f"m{i:02d}", (i * 7919) % 9300, (i * 7919) % 9300 + 50 + (i * 104729) % 450) for i in range(25)]
-MODELS_SQL = "models as (select 'm' || lpad(cast(i as varchar), 2, '0') as model_id, (i * 7919) % 9300 as lo, (i * 7919) % 9300 + 50 + (i * 104729) % 450 as hi from (select unnest(range(25)) as i))"
-REQUEST = (2000, 5200)
+#: 25 descriptors spread over the events' keys, in ten-thousandths of their number, and a request.
+PLACES = [(f"m{i:02d}", (i * 7919) % 9300, (i * 7919) % 9300 + 50 + (i * 104729) % 450) for i in range(25)]
+MODELS_SQL = """n_events as (select count(*) as n from events),
+models as (select 'm' || lpad(cast(i as varchar), 2, '0') as model_id, (i * 7919) % 9300 * n // 10000 as lo, ((i * 7919) % 9300 + 50 + (i * 104729) % 450) * n // 10000 as hi
+  from (select unnest(range(25)) as i), n_events),
+ask as (select n * 2 // 10 as a, n * 52 // 100 as b, n from n_events)"""
+
+
+def models_of(n: int) -> list:
+    return [(m, lo * n // 10000, hi * n // 10000) for m, lo, hi in PLACES]
+
+
+def request_of(n: int) -> tuple[int, int]:
+    return n * 2 // 10, n * 52 // 100
+
+
 GROUPS_SQL = """
 swept as (select *, case when max(hi) over w is null or lo >= max(hi) over w then 1 else 0 end as opens from models
   window w as (order by lo, hi, model_id rows between unbounded preceding and 1 preceding)),

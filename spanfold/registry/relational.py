@@ -3,19 +3,22 @@
 from __future__ import annotations
 
 import uuid
+from dataclasses import replace
 
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from spanfold.functions import bayes
+from spanfold.functions.logistic import mixed
+from spanfold.operators.baselines import scratch_gnb
 from spanfold.operators.batch import cell_states, prefix_states, sliding_states
 from spanfold.operators.combine import scan_state
 from spanfold.plans.planner import Segment
 from spanfold.registry.base import LINES, MODELS_SQL, events_sql, linreg_sql, query
 from spanfold.registry.planning import models_frame
-from spanfold.registry.state import bayes_rows, size_of, tidy_linreg
+from spanfold.plans.ranges import Range
+from spanfold.registry.state import _GNB_LINE_PARAMS, bayes_rows, linreg_rows, size_of, tidy_linreg
 from spanfold.sources.layout import assign_position, build_directory, event_source, lineitem_source, work_dir
-from spanfold.sources.points import GNB_EVENTS, LINEITEM_KEY, LINREG, Feature, ModelSpec, load, load_as, validate_key
+from spanfold.sources.points import CLASS3, DESIGN, GNB_EVENTS, GNB_LINES, LINEITEM_KEY, LINREG, Feature, ModelSpec, load, load_as, validate_key
 from spanfold.streaming import states as S
 
 VALUE = ModelSpec("gnb", "events", "event_id", (Feature("value", "value", 2, 1000),), "event_type")
@@ -113,56 +116,55 @@ def pivot_params(spark, sf_dir):
 
 
 def _joined(spark, sf_dir, how):
-    points = load(spark, sf_dir, "events").where("event_id < 10000")
-    models = F.broadcast(models_frame(spark))  # 25 rows
+    points = load(spark, sf_dir, "events")
+    models = F.broadcast(models_frame(spark, sf_dir))  # 25 rows
     return points.join(models, (F.col("event_id") >= F.col("lo")) & (F.col("event_id") < F.col("hi")), how)
 
 
-@query(f"with {MODELS_SQL} select event_type, count(*) as n from events where event_id < 10000 and exists (select 1 from models where event_id >= lo and event_id < hi) group by event_type")
+@query(f"with {MODELS_SQL} select event_type, count(*) as n from events where exists (select 1 from models where event_id >= lo and event_id < hi) group by event_type")
 def semi_covered_points(spark, sf_dir):
     return _joined(spark, sf_dir, "left_semi").groupBy("event_type").agg(F.count("*").alias("n"))
 
 
-@query(f"with {MODELS_SQL} select event_type, count(*) as n from events where event_id < 10000 and not exists (select 1 from models where event_id >= lo and event_id < hi) group by event_type")
+@query(f"with {MODELS_SQL} select event_type, count(*) as n from events where not exists (select 1 from models where event_id >= lo and event_id < hi) group by event_type")
 def anti_uncovered_points(spark, sf_dir):
     return _joined(spark, sf_dir, "left_anti").groupBy("event_type").agg(F.count("*").alias("n"))
 
 
-@query(f"with {MODELS_SQL} select model_id, count(*) as n, cast(sum({CENTS}) as bigint) as cents from events join models on event_id >= lo and event_id < hi where event_id < 10000 group by model_id")
+@query(f"with {MODELS_SQL} select model_id, count(*) as n, cast(sum({CENTS}) as bigint) as cents from events join models on event_id >= lo and event_id < hi group by model_id")
 def range_join_points(spark, sf_dir):
     """Points × model ranges by buckets of keys: an equality join first, then the exact range."""
-    width = 512
-    points = load(spark, sf_dir, "events").where("event_id < 10000").withColumn("kb", F.floor(F.col("event_id") / width))
-    models = models_frame(spark).withColumn("kb", F.explode(F.sequence(F.floor(F.col("lo") / width), F.floor((F.col("hi") - 1) / width))))
+    n = size_of(event_source(spark, sf_dir))
+    width = max(1, n // 20)
+    points = load(spark, sf_dir, "events").select("event_id", "value").withColumn("kb", F.floor(F.col("event_id") / width))
+    models = models_frame(spark, sf_dir).withColumn("kb", F.explode(F.sequence(F.floor(F.col("lo") / width), F.floor((F.col("hi") - 1) / width))))
     met = points.join(models, "kb").where("event_id >= lo and event_id < hi")
     return met.groupBy("model_id").agg(F.count("*").alias("n"), F.sum(F.expr(CENTS)).alias("cents"))
 
 
-@query(f"""with {MODELS_SQL}, e as (select event_id from events where event_id % 100 = 0 and event_id < 10000)
-select event_id, (select max(hi) from models where hi <= event_id) as last_hi from e""")
+@query(f"""with {MODELS_SQL} select event_id, hi as last_hi from events asof left join (select distinct hi from models) on event_id >= hi""")
 def asof_last_model(spark, sf_dir):
     """For each point the last model that ended before it: union and a running last value."""
-    points = load(spark, sf_dir, "events").where("event_id % 100 = 0 and event_id < 10000").select(F.col("event_id").alias("k"), F.lit(1).alias("side"), F.lit(None).cast("long").alias("hi"))
-    ends = models_frame(spark).select(F.col("hi").alias("k"), F.lit(0).alias("side"), F.col("hi"))
-    # buckets of keys run side by side; each starts from the last end before it
-    width = 2500
+    points = load(spark, sf_dir, "events").select(F.col("event_id").alias("k"), F.lit(1).alias("side"), F.lit(None).cast("long").alias("hi"))
+    ends = models_frame(spark, sf_dir).select(F.col("hi").alias("k"), F.lit(0).alias("side"), F.col("hi"))
+    # blocks of keys run side by side; a running maximum over one row a block carries the last end on
+    width = max(1, size_of(event_source(spark, sf_dir)) // 64)
     both = points.unionByName(ends).withColumn("kb", F.floor(F.col("k") / width))
-    carry = ends.groupBy(F.floor(F.col("k") / width).alias("kb")).agg(F.max("hi").alias("top"))
-    blocks = both.select("kb").distinct().join(carry.withColumnRenamed("kb", "eb"), F.col("eb") < F.col("kb"), "left").groupBy("kb").agg(F.max("top").alias("before"))
+    tops = both.groupBy("kb").agg(F.max("hi").alias("top"))
+    before = tops.select("kb", F.max("top").over(Window.orderBy("kb").rowsBetween(Window.unboundedPreceding, -1)).alias("before"))
     order = Window.partitionBy("kb").orderBy("k", "side").rowsBetween(Window.unboundedPreceding, 0)
     seen = both.withColumn("seen", F.last("hi", ignorenulls=True).over(order)).where("side = 1")
-    return seen.join(F.broadcast(blocks), "kb").select(F.col("k").alias("event_id"), F.coalesce("seen", "before").alias("last_hi"))
+    return seen.join(F.broadcast(before), "kb").select(F.col("k").alias("event_id"), F.coalesce("seen", "before").alias("last_hi"))
 
 
-@query(f"""with {MODELS_SQL}, cells as (select unnest(range(0, 10000, 100)) as lo),
-one as (select c.lo from cells c, models m where m.model_id < 'm12' and m.lo <= c.lo and c.lo < m.hi), two as (select c.lo from cells c, models m where m.model_id >= 'm12' and m.lo <= c.lo and c.lo < m.hi)
-select 'union' as op, count(*) as n from (select lo from one union select lo from two) union all select 'both', count(*) from (select lo from one intersect select lo from two)
-union all select 'only first', count(*) from (select lo from one except select lo from two)""")
+@query(f"""with {MODELS_SQL}, one as (select event_id from events join models on lo <= event_id and event_id < hi where model_id < 'm12'), two as (select event_id from events join models on lo <= event_id and event_id < hi where model_id >= 'm12')
+select 'union' as op, count(*) as n from (select event_id from one union select event_id from two) union all select 'both', count(*) from (select event_id from one intersect select event_id from two)
+union all select 'only first', count(*) from (select event_id from one except select event_id from two)""")
 def set_ops_cells(spark, sf_dir):
-    """Coverage of two model sets on a grid of cells, by set operations."""
-    cells = spark.range(0, 10_000, 100).select(F.col("id").alias("cell"))
-    models = models_frame(spark)
-    sides = [cells.join(F.broadcast(models.where(w)), (F.col("lo") <= F.col("cell")) & (F.col("cell") < F.col("hi"))).select("cell") for w in ("model_id < 'm12'", "model_id >= 'm12'")]
+    """Coverage of two model sets, point by point, by set operations."""
+    points = load(spark, sf_dir, "events").select("event_id")
+    models = models_frame(spark, sf_dir)
+    sides = [points.join(F.broadcast(models.where(w)), (F.col("lo") <= F.col("event_id")) & (F.col("event_id") < F.col("hi"))).select("event_id") for w in ("model_id < 'm12'", "model_id >= 'm12'")]  # 25 rows
     one, two = sides
     parts = (("union", one.union(two).distinct()), ("both", one.intersect(two)), ("only first", one.distinct().exceptAll(two.distinct())))
     out = None
@@ -246,11 +248,11 @@ def window_ranks(spark, sf_dir):
     return load(spark, sf_dir, "events").select("event_id", "event_type", F.rank().over(by_value).alias("r"), F.dense_rank().over(by_value).alias("dr"), F.ntile(4).over(by_id).alias("q"), F.lag("event_id").over(by_id).alias("before"))
 
 
-@query("select o_orderkey, o_custkey, o_orderstatus, o_totalprice from orders where o_orderkey < 500")
+@query("select o_orderkey, o_custkey, o_orderstatus, o_totalprice from orders")
 def file_round_trip(spark, sf_dir):
     """Orders through CSV, JSON and ORC with explicit schemas."""
     base = f"{work_dir(spark)}/formats/{uuid.uuid4().hex}"
-    rows = load(spark, sf_dir, "orders").where("o_orderkey < 500").select("o_orderkey", "o_custkey", "o_orderstatus", "o_totalprice")
+    rows = load(spark, sf_dir, "orders").select("o_orderkey", "o_custkey", "o_orderstatus", "o_totalprice")
     schema = "o_orderkey long, o_custkey long, o_orderstatus string, o_totalprice double"
     rows.write.option("header", True).csv(f"{base}/csv")
     load_as(spark, f"{base}/csv", "csv", schema).write.json(f"{base}/json")
@@ -291,10 +293,14 @@ def top_values(spark, sf_dir):
     return load(spark, sf_dir, "events").select("event_type", "value", "event_id").orderBy(F.desc("value"), "event_id").limit(10)
 
 
-@query()
+_HASH = {"h1": "((event_id % 2147483648) * 2654435761) % 2147483648", "h2": "(xor(h1, h1 >> 15) * 2246822519) % 2147483648", "h3": "xor(h2, h2 >> 13)"}
+
+
+@query(f"""with a as (select event_id, event_type, ({_HASH['h1']})::bigint as h1 from events), b as (select *, ({_HASH['h2']})::bigint as h2 from a)
+select event_id, event_type from b where ({_HASH['h3']}) < 214748364""")
 def sample_by_key(spark, sf_dir):
     """A repeatable one-in-ten sample by hashed key (a sampling operator)."""
-    return load(spark, sf_dir, "events").where(F.pmod(F.xxhash64(F.lit(1), "event_id"), F.lit(10)) == 0).select("event_id", "event_type")
+    return load(spark, sf_dir, "events").where(mixed(F.col("event_id")) < 214748364).select("event_id", "event_type")
 
 
 @query()
@@ -315,12 +321,24 @@ def sql_predictors(spark, sf_dir):
     )
 
 
+@query(f"with {_GNB_LINE_PARAMS} select c3 as prediction, count(*) as n, count_if(truth = c3) as correct from top where rk = 1 group by c3")
+def sql_bayes_predictor(spark, sf_dir):
+    """Gaussian naive Bayes as a SQL function: trained on the first half, applied to the second."""
+    from spanfold.functions.udfs import register_bayes
+
+    source = lineitem_source(spark, sf_dir)
+    n = size_of(source)
+    spec = replace(GNB_LINES, features=(DESIGN[0], DESIGN[2], DESIGN[3]))
+    register_bayes(spark, scratch_gnb(source, spec, 0, n // 2))
+    source.scan_range(n // 2, n).withColumn("truth", F.expr(CLASS3)).createOrReplaceTempView("bayes_points")
+    return spark.sql("select p as prediction, count(*) as n, count_if(truth = p) as correct from (select truth, predict_nb(array(l_quantity, l_discount, l_tax)) as p from bayes_points) group by p")
+
+
 @query("select cast(i as int) as seq, cast(i * 300 as bigint) as lo, cast(case when i = 2 then 1000 else (i + 1) * 300 end as bigint) as hi from (select unnest(range(3)) as i)")
 def chunk_table_function(spark, sf_dir):
     from spanfold.functions.udfs import register_table_functions
-    from spanfold.registry.planning import KEPT
 
-    register_table_functions(spark, KEPT)
+    register_table_functions(spark, [])
     return spark.sql("select * from chunk_ranges(0, 1000, 300)")
 
 
@@ -336,35 +354,55 @@ def linreg_state_clustered_cells(spark, sf_dir):
 
 @query(events_sql("event_id >= n // 2"))
 def store_round_trip(spark, sf_dir):
-    """Two kept models written, compacted, opened again and subtracted."""
+    """Three kept models written, one dropped, compacted, opened again and subtracted."""
     from spanfold.operators.combine import build
-    from spanfold.plans.ranges import Range
     from spanfold.sources.store import ModelStore
 
     source = event_source(spark, sf_dir)
     n = size_of(source)
     base = f"{work_dir(spark)}/stores/{uuid.uuid4().hex}"
     store = ModelStore(spark, base)
-    for lo, hi in ((0, n), (0, n // 2)):
-        store.put(GNB_EVENTS, Range(lo, hi), build(source, GNB_EVENTS, lo, hi).state)
+    for lo, hi in ((0, n), (0, n // 2), (n // 4, n // 2)):
+        store.put(GNB_EVENTS, Range(lo, hi), build(source, GNB_EVENTS, lo, hi).state, source.version)
         store.flush()
+    store.drop(GNB_EVENTS, next(m for m in store.models(GNB_EVENTS) if m.lo))
     again = ModelStore.open(spark, store.compact(f"{base}-compact").path)
     whole, half = sorted(again.models(GNB_EVENTS), key=lambda m: -m.hi)
-    states = again.fetch([whole.model_id, half.model_id])
+    states = again.fetch([whole.model_id, half.model_id], source.version)
     return bayes_rows(spark, states[whole.model_id].combine(states[half.model_id], -1), GNB_EVENTS)
 
 
-@query(events_sql("event_id < n // 3"))
-def late_points_inserted(spark, sf_dir):
-    """A kept model built without every seventh point takes these in when they come late."""
-    from spanfold.plans.ranges import Range
+def _late(spark, source, spec, spans, late):
+    """States of kept models built without some points, after these came in late: of an opened store."""
+    from spanfold.operators.batch import range_states
+    from spanfold.sources.points import PointSource
     from spanfold.sources.store import ModelStore
 
+    base = f"{work_dir(spark)}/stores/{uuid.uuid4().hex}"
+    store = ModelStore(spark, base)
+    early = PointSource(source.df.where(~late), source.key, source.version, source.bucket_width, source.directory)
+    for r, state in zip(spans, range_states(early, spec, spans)):
+        store.put(spec, r, state, source.version)
+    S.insert_late(store, spec, source.scan_range(min(r.lo for r in spans), max(r.hi for r in spans)).where(late))
+    again = ModelStore.open(spark, base)
+    found = again.fetch([m.model_id for m in again.models(spec)])
+    return {m.range: found[m.model_id] for m in again.models(spec)}
+
+
+@query(events_sql("event_id < n // 3"))
+def late_points_inserted(spark, sf_dir):
+    """Two overlapping kept models built without every seventh point take these in when they come
+    late; the store has them when it is opened again."""
     source = event_source(spark, sf_dir)
     n = size_of(source)
-    rows = source.scan_range(0, n // 3)
-    store = ModelStore(spark)
-    m = store.put(GNB_EVENTS, Range(0, n // 3), bayes.bayes_state(rows.where("event_id % 7 <> 0"), GNB_EVENTS))
-    S.insert_late(store, GNB_EVENTS, rows.where("event_id % 7 = 0"))
-    return bayes_rows(spark, store.states[m], GNB_EVENTS)
+    spans = [Range(0, n // 3), Range(n // 6, n // 2)]
+    return bayes_rows(spark, _late(spark, source, GNB_EVENTS, spans, F.expr("event_id % 7 = 0"))[spans[0]], GNB_EVENTS)
+
 
+@query(linreg_sql("pid >= n // 6 and pid < n // 2"))
+def late_points_inserted_linreg(spark, sf_dir):
+    """The same for linear regression."""
+    source = lineitem_source(spark, sf_dir)
+    n = size_of(source)
+    spans = [Range(0, n // 3), Range(n // 6, n // 2)]
+    return linreg_rows(spark, _late(spark, source, LINREG, spans, F.expr("pid % 7 = 0"))[spans[1]])

@@ -129,12 +129,19 @@ def linreg_fit_quality(spark, sf_dir):
     return spark.createDataFrame([(a["n"], round(a["r2"], 6), round(a["sse"], 2), round(a["sst"], 2), round(a["f"], 2), round(a["aic"], 2))], "n long, r2 double, sse double, sst double, f double, aic double")
 
 
-@query()
+@query(f"""
+with recursive {LINES}, p as (select [1, v1, v2, v3, v4, v5, v6, v7, v8, v9, v10, y]::hugeint[] as x from full_pts, size where {MIDDLE}),
+cell as (select i, j, cast(sum(x[i] * x[j]) as double) / ({UNITS}[i] * {UNITS}[j]) + case when i = j then 1.0 else 0.0 end as v
+  from p, (select unnest(range(1, 12)) as i) a, (select unnest(range(1, 13)) as j) b group by i, j),
+rws as (select i, list(v order by j) as r from cell group by i),
+el(k, m) as (select 0, list(r order by i) from rws union all
+  select k + 1, list_transform(m, lambda r, i: case when i = k + 1 then list_transform(r, lambda x: x / m[k + 1][k + 1]) else list_transform(r, lambda x, j: x - r[k + 1] * (m[k + 1][j] / m[k + 1][k + 1])) end) from el where k < 11)
+select case when i = 1 then 'one' else 'x' || (i - 1) end as name, round(m[i][12], 5) as weight from el, (select unnest(range(1, 12)) as i) where k = 11""")
 def linreg_weights_10d(spark, sf_dir):
-    """All ten features and a constant; checked against numpy and the library in tests."""
+    """All ten features and a constant, with a penalty of one."""
     source = lineitem_source(spark, sf_dir)
     w = scratch_linreg(source, LINREG, *thirds(source), ridge=1.0)
-    return spark.createDataFrame([(c.name, float(v)) for c, v in zip(LINREG.columns(), w)], "name string, weight double")
+    return spark.createDataFrame([(c.name, round(float(v), 5)) for c, v in zip(LINREG.columns(), w)], "name string, weight double")
 
 
 @query(f"""
@@ -148,13 +155,12 @@ def linreg_predict_mse(spark, sf_dir):
 
 
 @query("""
-select 0 as i, 0 as j, round(sum(cast(embedding[1] as double) * embedding[1]), 6) as v from embeddings
-union all select 0, 63, round(sum(cast(embedding[1] as double) * embedding[64]), 6) from embeddings
-union all select 63, 63, round(sum(cast(embedding[64] as double) * embedding[64]), 6) from embeddings""")
+with e as (select list_transform(embedding, lambda x: cast(x as double)) as x from embeddings), idx as (select i, j from (select unnest(range(64)) as i), (select unnest(range(64)) as j) where i <= j)
+select cast(i as int) as i, cast(j as int) as j, round(sum(x[i + 1] * x[j + 1]), 6) + 0.0 as v from e, idx group by i, j""")
 def embedding_gram(spark, sf_dir):
-    """64 × 64 second moments by Arrow batches; the corners are compared."""
+    """64 × 64 second moments by Arrow batches: 2,080 cells."""
     g = linear.linreg_state_arrow(load(spark, sf_dir, "embeddings"), "embedding")
-    return g.where("(i = 0 and j in (0, 63)) or (i = 63 and j = 63)").select("i", "j", F.round("v", 6).alias("v"))
+    return g.select("i", "j", (F.round("v", 6) + F.lit(0.0)).alias("v"))
 
 
 # naive Bayes
@@ -236,12 +242,28 @@ sco as (select doc_id, counts.lang as truth, th.lang as c, max(lp) + sum(counts.
 top as (select *, row_number() over (partition by doc_id order by s desc, c) as rk from sco)
 select count(*) as n, count_if(truth = c) as correct from top where rk = 1""")
 def mnb_predict_lang(spark, sf_dir):
-    """Train on the first half of the texts, tell the language of the rest, by letters."""
+    """Train on the first half of the texts, tell the language of the rest, by letters: a score a
+    class inside the scan, nothing is shuffled but the counts."""
+    source = letters_source(spark, sf_dir)
+    n = source.df.count()
+    params = bayes.mnb_params(bayes.bayes_state(source.scan_range(0, n // 2), LETTER_SPEC))
+    return accuracy(bayes.predict(bayes.featured(source.scan_range(n // 2, n), LETTER_SPEC), bayes.mnb_scores(LETTER_SPEC, params)), "lang").select("n", "correct")
+
+
+@query(f"""
+with {LETTERS_SQL}, size as (select count(*) as n from documents),
+m as (select lang, l, sum(c) as c, count(*) as n from counts where doc_id < (select n // 2 from size) group by lang, l),
+th as (select lang, l, ln((c + 1) * 1.0 / (sum(c) over (partition by lang) + 45)) as lt, ln(n * 1.0 / (select n // 2 from size)) as lp from m),
+sco as (select doc_id, th.lang as c, max(lp) + sum(counts.c * lt) as s from counts join th using (l) where doc_id >= (select n // 2 from size) group by doc_id, th.lang),
+top as (select *, row_number() over (partition by doc_id order by s desc, c) as rk from sco)
+select c as prediction, count(*) as n from top where rk = 1 group by c""")
+def mnb_predict_tokens(spark, sf_dir):
+    """The same from a table of tokens, the form for vocabularies too wide for columns."""
     source = letters_source(spark, sf_dir)
     n = source.df.count()
     letters = F.split("low", "")
     params = bayes.mnb_params(bayes.mnb_state_sparse(source.scan_range(0, n // 2), LETTER_SPEC, letters))
-    return accuracy(bayes.mnb_predict_sparse(source.scan_range(n // 2, n), LETTER_SPEC, letters, params, "doc_id"), "class").select("n", "correct")
+    return bayes.mnb_predict_sparse(source.scan_range(n // 2, n), LETTER_SPEC, letters, params, "doc_id").groupBy("prediction").agg(F.count("*").alias("n"))
 
 
 @query(f"with {LETTERS_SQL} select lang as class, l as feature, count(*) as n, cast(sum(c) as double) as s from counts group by lang, l")
@@ -324,6 +346,26 @@ def linreg_add_one_point(spark, sf_dir):
     return linreg_rows(spark, linear.linreg_add(state, LINREG, list(row)[1:-1], row[-1]))
 
 
+@query(linreg_sql("pid >= n // 4 and pid < n // 2 - 1"))
+def linreg_remove_one_point(spark, sf_dir):
+    """The last point taken out again, given by its values."""
+    source = lineitem_source(spark, sf_dir)
+    a, b, _, _ = _parts(source)
+    state = C.build(source, LINREG, a, b).state
+    cols = LINREG.columns() + [LINREG.target]
+    row = source.scan_range(b - 1, b).select(*[(c.integer() / F.lit(c.unit)).alias(f"v{i}") for i, c in enumerate(cols)]).first()
+    return linreg_rows(spark, linear.linreg_remove(state, LINREG, list(row)[1:-1], row[-1]))
+
+
+@query(events_sql("event_id >= n // 4 and event_id <= n // 2"))
+def gnb_add_one_point(spark, sf_dir):
+    source = event_source(spark, sf_dir)
+    a, b, _, _ = _parts(source)
+    state = C.build(source, GNB_EVENTS, a, b).state
+    row = source.scan_range(b, b + 1).select(F.expr(GNB_EVENTS.label).alias("class"), *[f.real().alias(f.name) for f in GNB_EVENTS.features]).first()
+    return bayes_rows(spark, state.combine(bayes.point_state(GNB_EVENTS, list(row)[1:], row[0])), GNB_EVENTS)
+
+
 @query(events_sql("event_id >= n // 4 and event_id < 3 * n // 4"))
 def gnb_add_points(spark, sf_dir):
     source = event_source(spark, sf_dir)
@@ -365,8 +407,11 @@ def combine_disjoint(spark, sf_dir):
 
 def _overlapping(spark, sf_dir, via):
     source = lineitem_source(spark, sf_dir)
+    from spanfold.operators.batch import range_states
+
     a, b, c, n = _parts(source)
-    one, two = C.build(source, LINREG, a, c), C.build(source, LINREG, b, n)
+    spans = [Range(a, c), Range(b, n)]
+    one, two = (C.RangeModel(r, s) for r, s in zip(spans, range_states(source, LINREG, spans)))
     return linreg_rows(spark, C.combine(one, two, source, LINREG, via).state)
 
 
@@ -390,6 +435,69 @@ def combine_overlap_auto(spark, sf_dir):
     return _overlapping(spark, sf_dir, "auto")
 
 
+def _bayes_overlap(spark, sf_dir, via):
+    source = event_source(spark, sf_dir)
+    a, b, c, n = _parts(source)
+    return bayes_rows(spark, C.combine(C.build(source, GNB_EVENTS, a, c), C.build(source, GNB_EVENTS, b, n), source, GNB_EVENTS, via).state, GNB_EVENTS)
+
+
+@query(events_sql("event_id >= n // 4"))
+def gnb_overlap_minus(spark, sf_dir):
+    return _bayes_overlap(spark, sf_dir, "minus_intersection")
+
+
+@query(events_sql("event_id >= n // 4"))
+def gnb_overlap_first_rest(spark, sf_dir):
+    return _bayes_overlap(spark, sf_dir, "first_plus_rest")
+
+
+@query(events_sql("event_id >= n // 4"))
+def gnb_overlap_second_rest(spark, sf_dir):
+    return _bayes_overlap(spark, sf_dir, "second_plus_rest")
+
+
+def _letters_overlap(spark, sf_dir, via):
+    source = letters_source(spark, sf_dir)
+    n = source.df.count()
+    one, two = (C.build(source, LETTER_SPEC, lo, hi) for lo, hi in ((n // 4, 3 * n // 4), (n // 2, n)))
+    return bayes_rows(spark, C.combine(one, two, source, LETTER_SPEC, via).state, LETTER_SPEC).drop("q")
+
+
+_LATER_LETTERS = f"with {LETTERS_SQL} select lang as class, l as feature, count(*) as n, cast(sum(c) as double) as s from counts where doc_id >= (select count(*) from documents) // 4 group by lang, l"
+
+
+@query(_LATER_LETTERS)
+def mnb_overlap_minus(spark, sf_dir):
+    return _letters_overlap(spark, sf_dir, "minus_intersection")
+
+
+@query(_LATER_LETTERS)
+def mnb_overlap_first_rest(spark, sf_dir):
+    return _letters_overlap(spark, sf_dir, "first_plus_rest")
+
+
+@query(_LATER_LETTERS)
+def mnb_overlap_second_rest(spark, sf_dir):
+    return _letters_overlap(spark, sf_dir, "second_plus_rest")
+
+
+@query(linreg_sql("pid >= n // 4 and pid < n * 9 // 10"))
+def merge_signed_states(spark, sf_dir):
+    """Stored states added and subtracted inside Spark: [0, n) − [0, n/4) − [9n/10, n)."""
+    from spanfold.operators.batch import range_states
+
+    source = lineitem_source(spark, sf_dir)
+    n = size_of(source)
+    spans = [Range(0, n), Range(0, n // 4), Range(n * 9 // 10, n)]
+    states = range_states(source, LINREG, spans)
+    rows = [(LINREG.spec_id, sign, [str(v) for v in s.cross]) for s, sign in zip(states, (1, -1, -1))]
+    kept = spark.createDataFrame(rows, "spec_id string, sign int, text array<string>").select("spec_id", "sign", F.transform("text", lambda v: v.cast("decimal(35,0)")).alias("values"))
+    units = [c.unit for c in LINREG.columns() + [TARGET]]
+    at = [(i, j, float(units[i] * units[j])) for i in range(len(units)) for j in range(i, len(units))]
+    cells = spark.createDataFrame([(k, i, j, u) for k, (i, j, u) in enumerate(at)], "k int, i int, j int, u double")  # 78 rows
+    return C.merge_signed(kept).withColumnRenamed("i", "k").join(F.broadcast(cells), "k").select("i", "j", (F.col("v").cast("double") / F.col("u")).alias("v"))
+
+
 @query(linreg_sql("pid >= n // 2"))
 def subtract_contained(spark, sf_dir):
     source = lineitem_source(spark, sf_dir)
@@ -397,21 +505,16 @@ def subtract_contained(spark, sf_dir):
     return linreg_rows(spark, C.subtract(C.build(source, LINREG, a, n), C.build(source, LINREG, a, b)).state)
 
 
-def _keys(spark, sf_dir, start, end):
-    from spanfold.sources.points import time_range_keys
-
-    r = time_range_keys(load(spark, sf_dir, "events"), "event_id", "ts", start, end).first()
-    return r.lo, r.hi
-
-
 # The month of the events, its first half and its second week.
 MONTH, HALF, WEEK = ("2024-01-01", "2024-01-31"), ("2024-01-01", "2024-01-16"), ("2024-01-08", "2024-01-15")
 
 
 def _moved(spark, sf_dir, old, new):
+    from spanfold.sources.points import time_ranges_keys
+
     source = event_source(spark, sf_dir)
-    model = C.build(source, GNB_EVENTS, *_keys(spark, sf_dir, *old))
-    return bayes_rows(spark, C.adjust(model, *_keys(spark, sf_dir, *new), source, GNB_EVENTS).state, GNB_EVENTS)
+    before, after = [(r.lo, r.hi) for r in time_ranges_keys(source.df, "event_id", "ts", [old, new]).orderBy("seq").collect()]  # two rows
+    return bayes_rows(spark, C.adjust(C.build(source, GNB_EVENTS, *before), *after, source, GNB_EVENTS).state, GNB_EVENTS)
 
 
 @query(events_sql("ts >= timestamp '2024-01-01' and ts < timestamp '2024-01-31'"))
@@ -523,6 +626,39 @@ def logit_reuse_answer(spark, sf_dir):
     return spark.createDataFrame([(i, round(float(v), 6)) for i, v in enumerate(state.w)], "i int, w double")
 
 
+@query(_step_sql(3) + " select cast(j as int) as i, round(avg(w[j + 1]), 6) as w, cast(0 as bigint) as jobs, cast(0 as double) as points_read from w3, (select unnest(range(11)) as j) where c >= 2 and c < 4 group by j")
+def logit_covered_request(spark, sf_dir):
+    """A request that kept chunks cover: the answer, without a job or a point read."""
+    from spanfold.engine import Engine
+
+    source = lineitem_source(spark, sf_dir)
+    size = size_of(source) // CHUNKS
+    spec = replace(ONE_STEP, steps=3, chunk=size)
+    engine = Engine(spark)
+    engine.fit(source, spec, 2 * size, 4 * size, keep=True)
+    before = source.stats["jobs"]
+    answer = engine.fit(source, spec, 2 * size, 4 * size)
+    return spark.createDataFrame([(i, round(float(v), 6), source.stats["jobs"] - before, float(answer.points_read)) for i, v in enumerate(answer.state.w)], "i int, w double, jobs long, points_read double")
+
+
+@query(_step_sql(3) + " select cast(j as int) as i, round(avg(w[j + 1]), 6) as w, true as refused from w3, (select unnest(range(11)) as j) where c >= 1 and c < 5 group by j")
+def logit_extend(spark, sf_dir):
+    """A model carried on to a wider range by new chunks; taking points away is refused."""
+    from spanfold.engine import Engine
+
+    source = lineitem_source(spark, sf_dir)
+    size = size_of(source) // CHUNKS
+    spec = replace(ONE_STEP, steps=3, chunk=size)
+    engine = Engine(spark)
+    wide = engine.extend(source, engine.fit(source, spec, 2 * size, 4 * size), size, 5 * size)
+    try:
+        engine.extend(source, wide, 2 * size, 5 * size)
+        refused = False
+    except logistic.NotSubtractable:
+        refused = True
+    return spark.createDataFrame([(i, round(float(v), 6), refused) for i, v in enumerate(wide.state.w)], "i int, w double, refused boolean")
+
+
 @query(f"""
 with {LINES}, {SCALED}, r as (select sqrt(max(list_dot_product(x, x))) as r from sc), k as (select r, n, n // 10 as l, 10 as p from r, size)
 select round(r, 6) as radius, round(r * sqrt(2) / 0.1 * (1 / sqrt(l) + 1 / sqrt(n)) + 2 * sqrt(2) * r / (0.1 * sqrt(p * l)) * sqrt(ln(1 / 0.05)), 6) as bound from k""")
@@ -539,16 +675,37 @@ def chunk_ranges(spark, sf_dir):
     return spark.createDataFrame([(i, r.lo, r.hi) for i, r in enumerate(logistic.make_chunks(1000, 4321, 600))], "seq int, lo long, hi long")
 
 
-@query()
+MANY_CHUNKS = 100
+
+
+@query(f"""
+with recursive {LINES}, {SCALED}, pts_c as materialized (select pid // (n // {MANY_CHUNKS}) as c, pid % (n // {MANY_CHUNKS}) as t, x, c2 from sc, size where pid < (n // {MANY_CHUNKS}) * {MANY_CHUNKS}),
+run(c, t, w) as (select c, cast(0 as bigint), list_transform(range(11), lambda i: 0.0)::double[] from (select distinct c from pts_c)
+  union all select run.c, run.t + 1, list_transform(w, lambda v, i: v - 0.5 * (1 / (1 + exp(-list_dot_product(x, w))) - c2) * x[i]) from run join pts_c on pts_c.c = run.c and pts_c.t = run.t)
+select c, cast(j as int) as j, round(w[j + 1], 6) as w from run, (select unnest(range(11)) as j) where t = (select n // {MANY_CHUNKS} from size)""")
 def logit_sgd_chunks(spark, sf_dir):
-    """Chunk models by one pass of single-point steps."""
+    """A hundred chunk models by one pass of single-point steps, chunks side by side."""
+    source = lineitem_source(spark, sf_dir)
+    size = size_of(source) // MANY_CHUNKS
+    trained = logistic.train_chunks(source.df, LOGIT, logistic.make_chunks(0, size * MANY_CHUNKS, size))
+    return trained.select((F.col("chunk_lo") / size).cast("long").alias("c"), F.posexplode("w").alias("j", "w")).select("c", "j", F.round("w", 6).alias("w"))
+
+
+@query(f"""
+with recursive {LINES}, {SCALED}, pts_c as materialized (select pid as t, x, c2 from sc, size where pid < n // 60),
+run(t, w) as (select cast(0 as bigint), list_transform(range(11), lambda i: 0.0)::double[]
+  union all select run.t + 1, list_transform(w, lambda v, i: v - 0.5 * (1 / (1 + exp(-list_dot_product(x, w))) - c2) * x[i]) from run join pts_c on pts_c.t = run.t)
+select cast(j as int) as i, round(w[j + 1], 6) as w from run, (select unnest(range(11)) as j) where t = (select n // 60 from size)""")
+def logit_sgd_request(spark, sf_dir):
+    """The sequential baseline for a request of a sixtieth of the points."""
     source = lineitem_source(spark, sf_dir)
-    return logistic.train_chunks(source.df, LOGIT, _chunk_cuts(size_of(source)))
+    w = scratch_sgd(source, LOGIT, 0, size_of(source) // 60).w
+    return spark.createDataFrame([(i, round(float(v), 6)) for i, v in enumerate(w)], "i int, w double")
 
 
 @query()
 def logit_sgd_scratch(spark, sf_dir):
-    """The sequential baseline over the middle third."""
+    """The sequential baseline over the middle third; a numpy loop checks it in tests."""
     source = lineitem_source(spark, sf_dir)
     w = scratch_sgd(source, LOGIT, *thirds(source)).w
     return spark.createDataFrame([(i, float(v)) for i, v in enumerate(w)], "i int, w double")
@@ -562,17 +719,35 @@ def logit_batch_scratch(spark, sf_dir):
     return spark.createDataFrame([(i, round(float(v), 6)) for i, v in enumerate(w)], "i int, w double")
 
 
-@query()
+_DRAWS = """
+tt as (select t, (((t + 1000003) % 2147483648 * 2654435761) % 2147483648)::bigint as h1 from (select unnest(range(2000)) as t)),
+th as (select t, ((xor(h1, h1 >> 15) * 2246822519) % 2147483648)::bigint as h2 from tt),
+draws as (select t // 500 as c, cast(floor(xor(h2, h2 >> 13) / 2147483648.0::double * n::double) as bigint) as pid from th, size)"""
+
+
+@query(_step_sql(2).replace(f"ch as (select *, pid // (n // {CHUNKS}) as c from sc, size where pid < (n // {CHUNKS}) * {CHUNKS})", _DRAWS + ", ch as (select sc.*, c from draws join sc using (pid))")
+       + " select cast(j as int) as i, round(avg(w[j + 1]), 6) as w from w2, (select unnest(range(11)) as j) group by j")
 def logit_subsample_average(spark, sf_dir):
+    """Weights averaged over four sub-samples of 500 points drawn independently with replacement."""
     source = lineitem_source(spark, sf_dir)
-    m = logistic.average_of_subsamples(source.df, replace(ONE_STEP, steps=5), p=4, m=500)
-    return spark.createDataFrame([(i, float(v)) for i, v in enumerate(m.w)], "i int, w double")
+    m = logistic.average_of_subsamples(source.df, replace(ONE_STEP, steps=2), p=4, m=500, n=size_of(source))
+    return spark.createDataFrame([(i, round(float(v), 6)) for i, v in enumerate(m.w)], "i int, w double")
 
 
-@query()
+def _rest_sql() -> str:
+    """Three steps for each chunk and each class against the others."""
+    out = f"with {LINES}, {SCALED}, ch as (select sc.*, c3, k, pid // (n // {CHUNKS}) as c from sc join (select pid, c3 from full_pts) using (pid), size, (select unnest(['high', 'low', 'middle']) as k) where pid < (n // {CHUNKS}) * {CHUNKS}), w0 as (select distinct c, k, list_transform(range(11), lambda x: 0.0)::double[] as w from ch)"
+    for t in range(3):
+        out += f""",
+g{t} as (select ch.c, ch.k, j, avg((1 / (1 + exp(-list_dot_product(x, w))) - case when c3 = ch.k then 1 else 0 end) * x[j + 1]) + 0.02 * max(w[j + 1]) as g, max(w[j + 1]) as v
+  from ch join w{t} on ch.c = w{t}.c and ch.k = w{t}.k, (select unnest(range(11)) as j) group by ch.c, ch.k, j),
+w{t + 1} as (select c, k, list(v - 0.5 * g order by j) as w from g{t} group by c, k)"""
+    return out + " select k as class, cast(j as int) as i, round(avg(w[j + 1]), 6) as w from w3, (select unnest(range(11)) as j) group by k, j"
+
+
+@query(_rest_sql())
 def logit_one_vs_rest(spark, sf_dir):
-    """Three planted classes by one against the rest; accuracy over all points."""
+    """Three planted classes, each against the rest, from one pass over the points."""
     source = lineitem_source(spark, sf_dir)
-    spec = replace(LOGIT, label=CLASS3)
-    models = logistic.one_vs_rest(source.df, spec, GNB_LINES.classes, _chunk_cuts(size_of(source)))
-    return accuracy(logistic.ovr_predict(source.df, spec, models), CLASS3)
+    models = logistic.one_vs_rest(source.df, replace(ONE_STEP, steps=3, label=CLASS3), GNB_LINES.classes, _chunk_cuts(size_of(source)))
+    return spark.createDataFrame([(c, i, round(float(v), 6)) for c, m in sorted(models.items()) for i, v in enumerate(m.w)], "class string, i int, w double")

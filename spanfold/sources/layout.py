@@ -4,19 +4,25 @@ from __future__ import annotations
 
 import uuid
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from spanfold.plans.costs import Directory
+from spanfold.sources.local import LocalReader
 from spanfold.sources.points import LINEITEM_KEY, PointSource, load
 
 
 def work_dir(spark: SparkSession) -> str:
-    """The shared folder of the session; a temporary one only where none is set."""
+    """The shared folder the session names. Only a session whose tasks all run in this process may
+    go without: it gets a temporary one."""
     found = spark.conf.get("spark.checkpoint.dir", None)
     if not found:
         import tempfile
 
+        if not spark.sparkContext.master.startswith("local["):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+
         found = "file://" + tempfile.mkdtemp(prefix="spanfold-")
         spark.conf.set("spark.checkpoint.dir", found)
         spark.sparkContext.setCheckpointDir(found)
@@ -45,30 +51,49 @@ def assign_position(df: DataFrame, order: list[str], name: str = "pid") -> DataF
     return rows.join(offsets, "part_").withColumn(name, F.col("base_") + F.col("row_")).drop("part_", "row_", "base_")
 
 
-def write_clustered(df: DataFrame, key: str, path: str, bucket_width: int) -> PointSource:
+def version_of(df: DataFrame) -> str:
+    """A name for the files behind a table: the same in any session while they stay as they are,
+    another once one is rewritten. Reads file metadata and no column."""
+    files = df.select("_metadata.file_name", "_metadata.file_size", "_metadata.file_modification_time").distinct()
+    r = files.agg(F.count("*").alias("n"), F.sum(F.xxhash64(*files.columns).cast("decimal(38,0)")).alias("h")).first()
+    return f"{r.n}-{int(r.h or 0) & (1 << 64) - 1:016x}"
+
+
+def write_clustered(df: DataFrame, key: str, path: str, bucket_width: int, version: str | None = None) -> PointSource:
     """Range-cluster rows by key into bucket folders sorted by key, and read them back."""
     spark = df.sparkSession
     dealt = df.withColumn("bucket", F.floor(F.col(key) / bucket_width).cast("int"))
     dealt.repartitionByRange(key).sortWithinPartitions("bucket", key).write.partitionBy("bucket").parquet(path)
     rows = spark.read.parquet(path)
-    source = PointSource(rows, key, path, bucket_width)
+    source = PointSource(rows, key, version or version_of(rows), bucket_width)
     source.directory = directory_of(build_directory(rows, key, bucket_width))
     return source
 
 
-def materialize(source: PointSource, spec, project) -> PointSource:
-    """Write a clustered source's features for a spec as integers, once; its later scans read only
-    those columns and compute nothing but sums."""
+def materialize(source: PointSource, spec, project=None) -> PointSource:
+    """Write a clustered source's features for a spec as numbers, once; its later scans read only
+    those columns and compute nothing but sums. Row groups are small, so that a reader on the
+    driver can pick short ranges."""
+    from spanfold.functions import bayes, linear, logistic
+
+    project = project or {"linreg": linear.project, "logit": logistic.project}.get(spec.kind, bayes.project)
+    spark = source.df.sparkSession
     rows = source.prepared(spec, project)
-    path = f"{work_dir(source.df.sparkSession)}/features/{uuid.uuid4().hex}"
-    rows.df.repartitionByRange(source.key).sortWithinPartitions("bucket", source.key).write.partitionBy("bucket").parquet(path)
-    kept = PointSource(source.df.sparkSession.read.parquet(path), source.key, source.version, source.bucket_width, source.directory)
-    source.projected[spec.spec_id] = kept
+    path = f"{work_dir(spark)}/features/{uuid.uuid4().hex}"
+    ranged = rows.df.repartitionByRange(source.key).sortWithinPartitions("bucket", source.key)
+    ranged.write.option("parquet.block.size", 1 << 20).partitionBy("bucket").parquet(path)
+    kept = PointSource(spark.read.parquet(path), source.key, source.version, source.bucket_width, source.directory)
+    try:
+        kept.reader = LocalReader(path, source.key, source.bucket_width)
+    except (pa.ArrowInvalid, pa.ArrowNotImplementedError):  # a store that only Spark reads: every scan is a job
+        kept.reader = None
+    source.projected[spec.shape_id] = kept
     return kept
 
 
 def build_directory(df: DataFrame, key: str, bucket_width: int) -> DataFrame:
-    """bucket, min_key, max_key, n, cum_n: one row a block, counts run in key order."""
+    """bucket, min_key, max_key, n, cum_n: one row a block, counts run in key order. The running
+    sum is one task's, over 32 bytes a block: blocks are chosen so wide that they number thousands."""
     from pyspark.sql import Window
 
     per = df.groupBy(F.floor(F.col(key) / bucket_width).cast("long").alias("bucket")).agg(F.min(key).alias("min_key"), F.max(key).alias("max_key"), F.count("*").alias("n"))
@@ -85,13 +110,14 @@ _laid: dict = {}
 
 
 def lineitem_source(spark: SparkSession, sf_dir: str) -> PointSource:
-    """lineitem with a dense `pid`, clustered once a session and kept for later requests."""
+    """lineitem with a dense `pid`, clustered once a session and kept for later requests. Its
+    version is that of the given files, since positions follow from them alone."""
+    rows = load(spark, sf_dir, "lineitem")
     at = (spark.sparkContext.applicationId, sf_dir)
     if at not in _laid:
-        rows = load(spark, sf_dir, "lineitem")
         path = f"{work_dir(spark)}/lineitem/{uuid.uuid4().hex}"
         width = max(1, rows.count() // 24)
-        _laid[at] = write_clustered(assign_position(rows, LINEITEM_KEY), "pid", path, width)
+        _laid[at] = write_clustered(assign_position(rows, LINEITEM_KEY), "pid", path, width, version_of(rows))
     return _laid[at]
 
 
@@ -99,4 +125,4 @@ def event_source(spark: SparkSession, sf_dir: str) -> PointSource:
     """events by event_id, which is dense and rises with ts: already in key order as given."""
     rows = load(spark, sf_dir, "events")
     n = rows.agg(F.max("event_id")).first()[0]
-    return PointSource(rows, "event_id", sf_dir, directory=Directory.dense((n if n is not None else -1) + 1))
+    return PointSource(rows, "event_id", version_of(rows), directory=Directory.dense((n if n is not None else -1) + 1))

@@ -9,6 +9,9 @@ from dataclasses import asdict, dataclass, field
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+SPARSE = 256
+MOST_CELLS = 1 << 20  # cells up to which their table is broadcast
+
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 
 
@@ -79,6 +82,11 @@ class ModelSpec:
     def spec_id(self) -> str:
         return hashlib.sha256(json.dumps(asdict(self), sort_keys=True, default=str).encode()).hexdigest()[:16]
 
+    @property
+    def shape_id(self) -> str:
+        """What a spec's points look like; specs that differ in training only share it."""
+        return json.dumps([self.kind, self.key, [asdict(f) for f in self.features], self.label, asdict(self.target) if self.target else None, self.intercept, self.scales, self.null_policy], default=str)
+
     def columns(self) -> list[Feature]:
         """Features with the constant in front where the model has one."""
         return ([Feature("one", "1", 0, 1)] if self.intercept else []) + list(self.features)
@@ -95,6 +103,7 @@ class PointSource:
     directory: object = None
     stats: dict = field(default_factory=lambda: {"points": 0.0, "jobs": 0})
     projected: dict = field(default_factory=dict)
+    reader: object = None  # of clustered features, for scans too small for a job
 
     @property
     def most_points(self) -> float:
@@ -103,10 +112,10 @@ class PointSource:
 
     def prepared(self, spec: "ModelSpec", project) -> "PointSource":
         """This source with only what a spec needs, analysed once; filters still reach the scan."""
-        if spec.spec_id not in self.projected:
+        if spec.shape_id not in self.projected:
             keep = [self.key] + (["bucket"] if self.bucket_width else [])
-            self.projected[spec.spec_id] = PointSource(project(self.df, spec, keep=keep), self.key, self.version, self.bucket_width, self.directory)
-        return self.projected[spec.spec_id]
+            self.projected[spec.shape_id] = PointSource(project(self.df, spec, keep=keep), self.key, self.version, self.bucket_width, self.directory)
+        return self.projected[spec.shape_id]
 
     def scan_range(self, lo: int, hi: int) -> DataFrame:
         """Points of [lo, hi): partitions are pruned by bucket, row groups by key."""
@@ -119,7 +128,8 @@ class PointSource:
         """Points of all scan segments with a net sign, in one job.
 
         The segments' ends cut the key line into cells, so each point falls into one cell; cells
-        that cancel are not read. Few cells become one filter, many a join with a short table.
+        that cancel are not read. Few cells become one filter, many a join by buckets of keys over
+        the part of the line they span.
         """
         from spanfold.plans.planner import net_coverage
 
@@ -133,9 +143,23 @@ class PointSource:
                 where = where | hit
                 sign = F.when((F.col(self.key) >= r.lo) & (F.col(self.key) < r.hi), n).otherwise(sign)
             return self.df.where(where).withColumn("sign", sign)
-        table = self.df.sparkSession.createDataFrame([(r.lo, r.hi, n) for r, n in cells], "cell_lo long, cell_hi long, sign int")
-        near = (F.col(self.key) >= F.col("cell_lo")) & (F.col(self.key) < F.col("cell_hi"))
-        return self.df.join(F.broadcast(table), near).drop("cell_lo", "cell_hi")  # one row a segment end
+        rows = self.scan_range(cells[0][0].lo, cells[-1][0].hi)
+        return in_cells(rows, self.key, [(r.lo, r.hi, n) for r, n in cells], "sign int").drop("cell_lo", "cell_hi")
+
+
+def in_cells(rows: DataFrame, key: str, cells: list[tuple], extra: str) -> DataFrame:
+    """Rows joined to the one of many disjoint cells (lo, hi, …) that holds their key.
+
+    Cells are listed under every coarse bucket of keys they meet, so rows meet few cells by an
+    equality join and the exact range decides. The table is broadcast: cells are few thousands, 20
+    bytes each, and a cell of a 1,024th of the line has two buckets on average.
+    """
+    table = rows.sparkSession.createDataFrame(cells, f"cell_lo long, cell_hi long, {extra}")
+    width = max(1, (cells[-1][1] - cells[0][0]) // 1024)
+    dealt = table.withColumn("kb_", F.explode(F.sequence(F.floor(F.col("cell_lo") / width), F.floor((F.col("cell_hi") - 1) / width))))
+    dealt = F.broadcast(dealt) if len(cells) <= MOST_CELLS else dealt
+    k = F.col(key)
+    return rows.withColumn("kb_", F.floor(k / width)).join(dealt, "kb_").where((k >= F.col("cell_lo")) & (k < F.col("cell_hi"))).drop("kb_")
 
 
 def check_rows(df: DataFrame, spec: ModelSpec) -> DataFrame:
@@ -150,20 +174,43 @@ def check_rows(df: DataFrame, spec: ModelSpec) -> DataFrame:
 
 
 def validate_key(df: DataFrame, key: str) -> DataFrame:
-    """One row: points, distinct keys, null keys, lowest, highest, valid."""
-    per = df.groupBy(key).agg(F.count("*").alias("n_"))
-    return per.agg(
-        F.coalesce(F.sum("n_"), F.lit(0)).alias("n"), F.count(key).alias("distinct_keys"),
-        F.coalesce(F.sum(F.when(F.col(key).isNull(), F.col("n_"))), F.lit(0)).alias("null_keys"),
-        F.min(key).alias("min_key"), F.max(key).alias("max_key"), (F.coalesce(F.max("n_"), F.lit(1)) == 1).alias("valid"),
+    """One row: points, distinct keys, null keys, lowest, highest, valid.
+
+    Where one key in SPARSE or more of the line is taken, keys are marked in bitmaps of 32,768
+    neighbours, built inside the scan: no key is shuffled, an eighth of a byte a key is. On a
+    sparser line keys are counted one by one.
+    """
+    k = F.col(key).cast("long")
+    facts = df.agg(F.count("*").alias("n"), F.count(k).alias("m"), F.min(k).alias("lo"), F.max(k).alias("hi"))
+    seen = facts.first()
+    if seen.m and seen.hi - seen.lo < SPARSE * seen.m:
+        maps = df.where(k.isNotNull()).groupBy(F.bitmap_bucket_number(k).alias("b")).agg(F.bitmap_count(F.bitmap_construct_agg(F.bitmap_bit_position(k))).alias("c"))
+    else:
+        maps = df.where(k.isNotNull()).groupBy(k.alias("b")).agg(F.lit(1).cast("long").alias("c"))
+    out = maps.agg(F.coalesce(F.sum("c"), F.lit(0)).alias("distinct_keys"))
+    lit = lambda x: F.lit(x).cast("long")
+    return out.select(
+        lit(seen.n).alias("n"), "distinct_keys", lit(seen.n - seen.m).alias("null_keys"), lit(seen.lo).alias("min_key"), lit(seen.hi).alias("max_key"),
+        ((F.col("distinct_keys") == seen.m) & F.lit(seen.n - seen.m <= 1)).alias("valid"),
     )
 
 
 def time_range_keys(df: DataFrame, key: str, ts: str, start: str, end: str) -> DataFrame:
     """Key range [lo, hi) of the points of a time range, for data whose key rises with time."""
+    return time_ranges_keys(df, key, ts, [(start, end)]).select("lo", "hi", "n")
+
+
+def time_ranges_keys(df: DataFrame, key: str, ts: str, spans: list[tuple[str, str]]) -> DataFrame:
+    """(seq, lo, hi, n) of several time ranges in one scan of two columns; the hull of the ranges
+    reaches the scan as a filter."""
     at = F.col(ts).cast("timestamp")
-    inside = df.where((at >= F.lit(start).cast("timestamp")) & (at < F.lit(end).cast("timestamp")))
-    return inside.agg(F.min(key).alias("lo"), (F.max(key) + 1).alias("hi"), F.count("*").alias("n"))
+    first, last = min(a for a, _ in spans), max(b for _, b in spans)
+    rows = df.where((at >= F.lit(first).cast("timestamp")) & (at < F.lit(last).cast("timestamp")))
+    parts = []
+    for i, (a, b) in enumerate(spans):
+        inside = F.when((at >= F.lit(a).cast("timestamp")) & (at < F.lit(b).cast("timestamp")), F.col(key))
+        parts.append(F.struct(F.lit(i).alias("seq"), F.min(inside).alias("lo"), (F.max(inside) + 1).alias("hi"), F.count(inside).alias("n")))
+    return rows.agg(F.array(*parts).alias("all")).select(F.inline("all"))
 
 
 # The ten-feature design over lineitem, its noise and planted targets.

@@ -2,13 +2,16 @@
 
 from __future__ import annotations
 
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from spanfold.functions import bayes
-from spanfold.plans.ranges import Range
+from spanfold.functions import bayes, linear
+from spanfold.operators.batch import range_states
+from spanfold.operators.combine import empty
+from spanfold.plans.ranges import Range, union
 from spanfold.sources.points import ModelSpec, PointSource
-from spanfold.sources.store import ModelStore
+from spanfold.sources.store import ModelStore, pack_state, unpack_state
 
 
 def event_stream(spark: SparkSession, path: str, schema, files: int = 1) -> DataFrame:
@@ -62,19 +65,49 @@ def stream_to_store(rows: DataFrame, store: ModelStore, spec: ModelSpec, width:
     return query
 
 
-def running_state(rows: DataFrame, spec: ModelSpec, checkpoint: str):
-    """Merge every micro-batch into one running exact state; (state holder, query).
+RUNNING = "batch long, state string"
+
 
-    A micro-batch that is replayed after a failure is known by its id and skipped.
+class RunningState:
+    """A running exact state whose every step is a row in the shared folder.
+
+    The row of batch b holds the state of all batches up to b. A batch that is replayed after a
+    failure starts from the row before it and writes the same row again, so it counts once, and a
+    new session goes on from the rows, in step with Spark's own checkpoint.
     """
-    held = {"state": bayes.BayesState(spec.spec_id, tuple(f.unit for f in spec.features)), "seen": set()}
 
-    def fold(df: DataFrame, batch_id: int) -> None:
-        if batch_id not in held["seen"]:
-            held["state"] = held["state"].combine(bayes.bayes_state(df, spec))
-            held["seen"].add(batch_id)
+    def __init__(self, spark: SparkSession, spec: ModelSpec, path: str):
+        self.spark, self.spec, self.path = spark, spec, path
+        self.batches: list[int] = []
+        self.state = self.upto(None)
+
+    def upto(self, before: int | None):
+        """State of the batches below `before` (of all, if None)."""
+        try:
+            rows = self.spark.read.schema(RUNNING).parquet(self.path)
+        except AnalysisException as missing:
+            if missing.getCondition() != "PATH_NOT_FOUND":
+                raise
+            return empty(self.spec)
+        rows = rows.where(F.col("batch") < before) if before is not None else rows
+        last = rows.agg(F.max_by(F.struct("batch", "state"), "batch").alias("r")).first().r
+        return empty(self.spec) if last is None else unpack_state(self.spec.kind, self.spec.spec_id, last.state)
+
+    def fold(self, df: DataFrame, batch: int) -> None:
+        if self.batches and batch != self.batches[-1] + 1 or not self.batches:
+            self.state = self.upto(batch)
+        of = linear.linreg_state if self.spec.kind == "linreg" else bayes.bayes_state
+        self.state = self.state.combine(of(df, self.spec))
+        row = self.spark.createDataFrame([(batch, pack_state(self.state))], RUNNING)
+        row.coalesce(1).write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("batch").parquet(self.path)
+        self.batches.append(batch)
+
 
-    query = rows.writeStream.foreachBatch(fold).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+def running_state(rows: DataFrame, spec: ModelSpec, checkpoint: str):
+    """Merge every micro-batch into one running exact state; (RunningState, query). Stopped and
+    started again on the same checkpoint, it goes on where it was."""
+    held = RunningState(rows.sparkSession, spec, f"{checkpoint}-states")
+    query = rows.writeStream.foreachBatch(held.fold).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     query.awaitTermination()
     return held, query
 
@@ -94,18 +127,20 @@ def running_counts(rows: DataFrame, key: str, value: str) -> DataFrame:
 
 
 def insert_late(store: ModelStore, spec: ModelSpec, late: DataFrame) -> dict:
-    """Points after the watermark: folded into the kept exact models that cover their keys, counted
-    where none does. Closed logistic chunks refuse them."""
+    """Points after the watermark: folded into the kept exact models that cover their keys, each
+    point counted once, and counted as unplaced where none does. One job gives what every model
+    gains; changed models are written again. Closed logistic chunks refuse them."""
     if spec.kind == "logit":
         raise ValueError("closed chunks of a logistic model take no late points")
-    source = PointSource(late, spec.key)
-    done = 0
+    models = store.models(spec)
     total = late.count()
-    for m in store.models(spec):
-        rows = source.scan_range(m.lo, m.hi)
-        delta = bayes.bayes_state(rows, spec)
-        if delta.n:
-            store.states[m.model_id] = store.states[m.model_id].combine(delta)
-            store.rows[m.model_id]["n"] += delta.n
-            done += delta.n
+    done = 0
+    if models:
+        covered = union(m.range for m in models)
+        states = range_states(PointSource(late, spec.key), spec, [m.range for m in models] + covered)
+        done = sum(s.n for s in states[len(models) :])
+        gained = {m.model_id: s for m, s in zip(models, states) if s.n}
+        for m, old in store.fetch(list(gained)).items():
+            store.replace(m, old.combine(gained[m]))
+        store.flush()
     return {"inserted": done, "unplaced": total - done}

@@ -5,15 +5,17 @@ Sizes are those of five million points scaled by `unit` = points / 5,000,000.
 
 from __future__ import annotations
 
+import time
 from dataclasses import dataclass
 
 import numpy as np
 
 from spanfold.engine import Engine
+from spanfold.functions.logistic import LogisticState, arrays_of, distance_bound, make_chunks, parameter_distance, project, train_chunks, train_many
 from spanfold.operators.baselines import scratch_sgd
 from spanfold.operators.batch import range_states
-from spanfold.operators.measures import accuracy, gain, storage_overhead, store_size, time_split
-from spanfold.plans.costs import Directory, LinearCost
+from spanfold.operators.measures import bound_report, cost_fidelity, gain, storage_overhead, store_size, time_split, work
+from spanfold.plans.costs import Directory, LinearCost, fit_cost
 from spanfold.plans.planner import best_plan, greedy_cover, largest_overlap_plan
 from spanfold.plans.ranges import Range, union
 from spanfold.plans.relevance import DescriptorIndex, Kept
@@ -93,18 +95,68 @@ def as_kept(ranges) -> list[Kept]:
     return [Kept(r.lo, r.hi, f"m{i:05d}") for i, r in enumerate(ranges)]
 
 
+def strategies(index: DescriptorIndex, directory: Directory, r: Range, cost) -> tuple:
+    """A request's plan cost relative to scanning it, by strategy, and the size of the best plan."""
+    near = index.query(r)
+    base = cost.scan_cost(r.hi - r.lo)
+    best = best_plan(near, r, cost, directory)
+    add = best_plan(near, r, cost, directory, directed=True)
+    return (best.cost / base, add.cost / base, greedy_cover(near, r, cost, directory).cost / base, largest_overlap_plan(near, r, cost, directory).cost / base, best.scan_points / (r.hi - r.lo), len(best.models), best.graph_nodes)
+
+
+STRATEGIES = ("best", "add_only", "greedy", "largest", "points_share", "models_used", "graph_nodes")
+
+
 def planned(n: int, models: list[Range], asks: list[Range], cost=LinearCost()) -> dict:
     """Mean plan cost of a request set relative to scanning, by strategy."""
     index, directory = DescriptorIndex(as_kept(models)), Directory.dense(n)
-    rows = []
-    for r in asks:
-        near = index.query(r)
-        base = cost.scan_cost(r.hi - r.lo)
-        best = best_plan(near, r, cost, directory)
-        add = best_plan(near, r, cost, directory, directed=True)
-        rows.append((best.cost / base, add.cost / base, greedy_cover(near, r, cost, directory).cost / base, largest_overlap_plan(near, r, cost, directory).cost / base, best.scan_points / (r.hi - r.lo), len(best.models), best.graph_nodes))
-    m = np.array(rows, dtype=float).mean(axis=0)
-    return dict(zip(("best", "add_only", "greedy", "largest", "points_share", "models_used", "graph_nodes"), map(float, m)))
+    m = np.array([strategies(index, directory, r, cost) for r in asks], dtype=float).mean(axis=0)
+    return dict(zip(STRATEGIES, map(float, m)))
+
+
+@dataclass(frozen=True)
+class Case:
+    """One point of an experiment: what it is, the kept models' ranges, the requests, the costs."""
+
+    tags: tuple  # (name, number) pairs
+    models: list
+    asks: list
+    cost: LinearCost = LinearCost()
+
+
+def planned_frame(spark, n: int, cases: list[Case]):
+    """A row a case: its tags, models, requests and mean relative plan costs.
+
+    Every request is planned by an executor; descriptors travel with the function (24 bytes a
+    model) and the means are taken in Spark, so a case may have any number of requests.
+    """
+    from pyspark.sql import functions as F
+
+    rows = [(c, i, r.lo, r.hi) for c, case in enumerate(cases) for i, r in enumerate(case.asks)]
+    kept = [(as_kept(case.models), case.cost) for case in cases]
+
+    def run(batches):
+        import pandas as pd
+
+        made = {}
+        for b in batches:
+            out = []
+            for c, lo, hi in zip(b["case"].tolist(), b["lo"].tolist(), b["hi"].tolist()):
+                if c not in made:
+                    made[c] = DescriptorIndex(kept[c][0])
+                out.append((c, *strategies(made[c], Directory.dense(n), Range(lo, hi), kept[c][1])))
+            yield pd.DataFrame(out, columns=["case", *STRATEGIES])
+
+    asks = spark.createDataFrame(rows, "case int, req_id int, lo long, hi long").repartition(4 * spark.sparkContext.defaultParallelism, "case", "req_id")
+    each = asks.mapInPandas(run, "case int, " + ", ".join(f"{s} double" for s in STRATEGIES))
+    means = each.groupBy("case").agg(F.count("*").cast("double").alias("requests"), *[F.avg(s).alias(s) for s in STRATEGIES])
+    names = [k for k, _ in cases[0].tags]
+    tags = spark.createDataFrame([(c, *[float(v) for _, v in case.tags], float(len(case.models)), actual_coverage(n, case.models)) for c, case in enumerate(cases)], "case int, " + ", ".join(f"{k} double" for k in names) + ", models double, actual double")
+    return means.join(F.broadcast(tags), "case").select(*names, "actual", "models", "requests", *STRATEGIES)  # a row a case
+
+
+def coverage_case(n: int, c: int, sizes: Sizes = NORMAL, asks: Sizes = NORMAL, count: int = 1000, cost=LinearCost(), seed: int = 0, tags=()) -> Case:
+    return Case((*tags, ("coverage", c)), place_models(n, c, sizes, seed + c), requests(n, count, asks, seed + 1000), cost)
 
 
 def gain_by_coverage(n: int, coverages=COVERAGES, sizes: Sizes = NORMAL, asks: Sizes = NORMAL, count: int = 200, cost=LinearCost(), seed: int = 0, depth: float = 0.0) -> list[dict]:
@@ -116,12 +168,16 @@ def gain_by_coverage(n: int, coverages=COVERAGES, sizes: Sizes = NORMAL, asks: S
     return out
 
 
+def size_case(n: int, size: int, asks: Sizes, model_cost: float, target: float = 50, count: int = 1000, seed: int = 0, tags=()) -> Case:
+    return Case((*tags, ("size", size)), place_models(n, target, Sizes("fixed", size), seed + size), requests(n, count, asks, seed + 7), LinearCost(model=model_cost))
+
+
 def gain_by_model_size(n: int, asks: Sizes, model_cost: float, sizes=MODEL_SIZES, target: float = 50, count: int = 200, seed: int = 0) -> list[dict]:
     """Gain against model size at a fixed coverage; model_cost in scanned points of this data."""
     out = []
     for s in sizes:
-        models = place_models(n, target, Sizes("fixed", s), seed + s)
-        out.append({"size": s, "models": len(models)} | planned(n, models, requests(n, count, asks, seed + 7), LinearCost(model=model_cost)))
+        case = size_case(n, s, asks, model_cost, target, count, seed)
+        out.append({"size": s, "models": len(case.models)} | planned(n, case.models, case.asks, case.cost))
     return out
 
 
@@ -131,6 +187,25 @@ def keep_exact(engine: Engine, source: PointSource, spec: ModelSpec, ranges: lis
         engine.store.put(spec, r, state, source.version)
 
 
+def keep_chunks(engine: Engine, source: PointSource, spec: ModelSpec, ranges: list[Range]) -> None:
+    """Train and keep logistic models of many disjoint chunks in one job."""
+    ranges = sorted(ranges)
+    if ranges:
+        for r in train_chunks(source.prepared(spec, project).df, spec, ranges, ready=True).collect():  # a row a chunk
+            engine.store.put(spec, Range(r.chunk_lo, r.chunk_hi), LogisticState(spec.spec_id, r.n, np.array(r.w)), source.version)
+
+
+def engine_at(spark, source: PointSource, spec: ModelSpec, n: int, coverage: float, sizes: Sizes = NORMAL, seed: int = 0) -> Engine:
+    """An engine whose kept models cover so many percent; logistic models are cells of the spec's
+    chunk size."""
+    engine = Engine(spark, ModelStore(spark))
+    if spec.kind == "logit":
+        keep_chunks(engine, source, spec, place_models(n, coverage, Sizes("fixed", spec.chunk), seed, unit=1.0, grid=True))
+    else:
+        keep_exact(engine, source, spec, place_models(n, coverage, sizes, seed))
+    return engine
+
+
 def storage_by_coverage(spark, source: PointSource, spec: ModelSpec, n: int, coverages=(20, 40, 60, 80, 90), size: int = 5_000) -> list[dict]:
     out = []
     for c in coverages:
@@ -141,27 +216,104 @@ def storage_by_coverage(spark, source: PointSource, spec: ModelSpec, n: int, cov
     return out
 
 
-def timed(engine: Engine, source: PointSource, spec: ModelSpec, asks: list[Range], ridge: float = 0.0) -> dict:
-    """Wall-clock gain and time split of a request sample; the first request is a warm-up."""
+def timed(engine: Engine, source: PointSource, spec: ModelSpec, asks: list[Range]) -> dict:
+    """Wall-clock gain and time split of requests answered one by one; the first is a warm-up."""
     runs, answers = [], []
     for i, r in enumerate(asks):
-        a = engine.fit(source, spec, r.lo, r.hi)
-        b = engine.scratch(source, spec, r.lo, r.hi)
+        a = engine.fit(source, spec, *r)
+        began = time.perf_counter()
+        if spec.kind == "logit":
+            scratch_sgd(source, spec, *r)
+        else:
+            engine.scratch(source, spec, *r)
+        base = time.perf_counter() - began
         if i:
-            runs.append((a.t_total, b.t_total))
+            runs.append((a.t_total, base))
             answers.append(a)
-    return gain(runs) | time_split(answers) | {"points_read": float(np.mean([a.points_read for a in answers])), "base_points": float(np.mean([r.hi - r.lo for r in asks[1:]]))}
+    split, counts = time_split(answers), [work(a) for a in answers]
+    return gain(runs) | split | {"t_base": float(np.mean([b for _, b in runs])), "points_read": float(np.mean([a.points_read for a in answers])), "base_points": float(np.mean([r.hi - r.lo for r in asks[1:]])), "requests": len(runs)} | {k: float(np.mean([c[k] for c in counts])) for k in ("models_read", "graph_nodes", "plan_cost")}
 
 
-def logistic_accuracy(engine: Engine, source: PointSource, spec: ModelSpec, asks: list[Range]) -> list[tuple]:
-    """(request size, accuracy of plain descent, accuracy with chunk reuse) on the request's points."""
-    from spanfold.functions.logistic import logit_predict
+def timed_many(engine: Engine, source: PointSource, spec: ModelSpec, asks: list[Range]) -> dict:
+    """Seconds of a request set answered in one job, with kept models and without any."""
+    bare = Engine(engine.spark, ModelStore(engine.spark))
+    seconds = []
+    for e in (engine, bare, engine, bare):
+        began = time.perf_counter()
+        e.fit_many(source, spec, asks)
+        seconds.append(time.perf_counter() - began)
+    return {"many_requests": len(asks), "many_seconds": seconds[2], "many_base_seconds": seconds[3], "many_speedup": seconds[3] / seconds[2], "many_per_request_ms": 1000 * seconds[2] / len(asks)}
 
+
+def time_by_coverage(spark, source: PointSource, spec: ModelSpec, n: int, coverages=COVERAGES, sizes: Sizes = NORMAL, asks: Sizes = NORMAL, count: int = 20, seed: int = 0) -> list[dict]:
+    """Seconds of requests against coverage, beside those from raw points. `count` requests are
+    timed at each coverage: a bounded sample of the request set."""
     out = []
-    for r in asks:
-        a = engine.fit(source, spec, r.lo, r.hi, keep=True, anchor="grid")
-        b = scratch_sgd(source, spec, r.lo, r.hi)
-        points = source.scan_range(r.lo, r.hi)
-        score = [accuracy(logit_predict(points, spec, w), spec.label).first()["accuracy"] for w in (b.w, a.state.w)]
-        out.append((r.hi - r.lo, *score))
+    for c in coverages:
+        engine = engine_at(spark, source, spec, n, c, sizes, seed + c)
+        out.append({"coverage": c} | timed(engine, source, spec, requests(n, count + 1, asks, seed + 9)))
     return out
+
+
+def _points(source: PointSource, spec: ModelSpec, r: Range) -> tuple[np.ndarray, np.ndarray]:
+    """Features and labels of a range, in key order: read on the driver where few, else collected
+    by a job; for the studies, whose requests have a stated size."""
+    ready = source.prepared(spec, project)
+    table = ready.reader.read(*r) if ready.reader is not None else ready.scan_range(*r).orderBy(source.key).toArrow()
+    return arrays_of(table, spec)
+
+
+def logistic_accuracy(engine: Engine, source: PointSource, spec: ModelSpec, asks: list[Range], group: int = 100) -> list[tuple]:
+    """(request size, accuracy of plain descent, accuracy with chunk reuse) on each request's points.
+
+    Chunks on a grid are trained once, in one job, and kept; a request averages those inside it with
+    new models of its two ends. Plain descent goes point by point through each request; requests
+    take their steps side by side, `group` at a time, which changes no result.
+    """
+    n = int(source.directory.running[-1])
+    grid = [Range(a, a + spec.chunk) for a in range(0, n - spec.chunk + 1, spec.chunk)]
+    if not engine.store.models(spec):
+        keep_chunks(engine, source, spec, grid)
+    out = []
+    for at in range(0, len(asks), group):
+        own = asks[at : at + group]
+        points = [_points(source, spec, r) for r in own]
+        plain = train_many(points, spec)
+        for r, (x, y), w0 in zip(own, points, plain):
+            plan = engine.plan(source, spec, *r)
+            w = engine.fit(source, spec, *r, plan=plan, tail="own").state.w
+            hit = [float((((x @ v) >= 0) == (y == 1)).mean()) for v in (w0, w)]
+            out.append((r.hi - r.lo, *hit))
+    return out
+
+
+def bound_study(source: PointSource, spec: ModelSpec, chunks, size: int, runs: int, radius: float, delta: float = 0.05, seed: int = 0) -> list[dict]:
+    """Distance of averaged and whole-range weights against the bound, over seeded ranges."""
+    n = int(source.directory.running[-1])
+    rng = np.random.default_rng(seed)
+    asks = [Range(int(a), int(a) + size) for a in rng.integers(0, n - size + 1, runs)]
+    points = [_points(source, spec, r) for r in asks]
+    plain = train_many(points, spec)
+    out = []
+    for chunk in chunks:
+        gone = []
+        for (x, y), w0 in zip(points, plain):
+            cuts = make_chunks(0, size, chunk)
+            models = train_many([(x[c.lo : c.hi], y[c.lo : c.hi]) for c in cuts], spec)
+            gone.append(parameter_distance(np.mean(models, axis=0), w0))
+        out.append({"chunk": chunk} | bound_report(gone, distance_bound(radius, spec.l2, chunk, size, delta)))
+    return out
+
+
+def cost_study(spark, source: PointSource, spec: ModelSpec, n: int, count: int = 20, seed: int = 0) -> dict:
+    """Set-up and slope fitted to measured scans, and how well planned costs rank measured times."""
+    sizes = np.linspace(0.02, 0.9, count)
+    samples = []
+    engine = Engine(spark, ModelStore(spark))
+    for s in [0.5, *sizes]:
+        began = time.perf_counter()
+        engine.scratch(source, spec, 0, int(n * s))
+        samples.append((int(n * s), time.perf_counter() - began))
+    fitted = fit_cost(samples[1:])
+    planned_cost = [fitted.scan_cost(p) for p, _ in samples[1:]]
+    return {"setup_seconds": fitted.setup, "seconds_per_million": 1e6 * fitted.per_point, "rank_correlation": cost_fidelity(planned_cost, [t for _, t in samples[1:]]), "runs": count}

@@ -276,10 +276,136 @@ def test_store(spark, events, tmp_path):
     again = ModelStore.open(spark, store.compact(f"file://{tmp_path}/s2").path)
     assert [(m.lo, m.hi) for m in again.models(GNB_EVENTS)] == [(m.lo, m.hi) for m in store.models(GNB_EVENTS)]
     assert M.store_size(again, GNB_EVENTS) == M.store_size(store, GNB_EVENTS) > 0
-    assert again.evict(GNB_EVENTS, 0) and not again.models(GNB_EVENTS)
+    assert not again.states  # descriptors only, until a state is asked for
+    third = again.models(GNB_EVENTS)[-1]
+    assert M.state_distance(again.fetch([third.model_id])[third.model_id], C.build(events, GNB_EVENTS, 300, 400).state) == 0
+    again.drop(GNB_EVENTS, third)
+    again.replace(again.models(GNB_EVENTS)[0].model_id, state)
+    again.flush()
+    third_time = ModelStore.open(spark, f"file://{tmp_path}/s2")
+    assert [m.range for m in third_time.models(GNB_EVENTS)] == [m.range for m in again.models(GNB_EVENTS)] and third_time.seq == again.seq
+    assert again.evict(GNB_EVENTS, 0) and not again.models(GNB_EVENTS) and not ModelStore.open(spark, f"file://{tmp_path}/s2").models(GNB_EVENTS)
     assert M.coverage(store.models(GNB_EVENTS), events.directory) == pytest.approx(25)
 
 
+def test_kept_models_outlive_a_session(spark, tiny, events, tmp_path):
+    engine = Engine(spark, ModelStore(spark, f"file://{tmp_path}/kept"))
+    engine.fit(events, GNB_EVENTS, 100, 400, keep=True)
+    engine.store.flush()
+    same = L.event_source(spark, tiny)  # the same files: the same version
+    again = Engine(spark, ModelStore.open(spark, f"file://{tmp_path}/kept"))
+    answer = again.fit(same, GNB_EVENTS, 100, 400)
+    assert answer.points_read == 0 and M.state_distance(answer.state, C.build(events, GNB_EVENTS, 100, 400).state) == 0
+    load(spark, tiny, "events").write.parquet(f"file://{tmp_path}/sf/events.parquet")
+    other = L.event_source(spark, f"file://{tmp_path}/sf")  # rewritten files: kept models do not count
+    assert other.version != same.version and again.fit(other, GNB_EVENTS, 100, 400).points_read == 300
+
+
+def test_late_points_count_once_in_overlapping_models(spark, events):
+    from spanfold.streaming.states import insert_late
+
+    store = ModelStore(spark)
+    ranges = [Range(0, 300), Range(200, 500)]
+    early = events.df.where("event_id % 10 <> 3")
+    for r in ranges:
+        store.put(GNB_EVENTS, r, bayes.bayes_state(early.where(f"event_id >= {r.lo} and event_id < {r.hi}"), GNB_EVENTS), events.version)
+    assert insert_late(store, GNB_EVENTS, events.df.where("event_id % 10 = 3")) == {"inserted": 50, "unplaced": 50}
+    for m in store.models(GNB_EVENTS):
+        assert M.state_distance(store.fetch([m.model_id])[m.model_id], C.build(events, GNB_EVENTS, *m.range).state) == 0
+
+
+def test_driver_reads_give_the_states_of_jobs(spark, lines):
+    from spanfold.sources.points import GNB_LINES
+
+    n = lines.df.count()
+    own = PointSource(lines.df, lines.key, lines.version, lines.bucket_width, lines.directory)
+    for spec in (LINREG, GNB_LINES):
+        L.materialize(own, spec)
+        for lo, hi in ((0, n), (17, 18), (n // 3, n // 2), (5, 5)):
+            jobs = own.stats["jobs"]
+            assert M.state_distance(C.build(own, spec, lo, hi).state, C.build(lines, spec, lo, hi).state) == 0 and own.stats["jobs"] == jobs
+    L.materialize(own, LOGIT)
+    assert np.allclose(B.scratch_sgd(own, LOGIT, 200, 1500).w, B.scratch_sgd(lines, LOGIT, 200, 1500).w, atol=1e-9)
+    spec = replace(LOGIT, chunk=300)
+    a, b = (Engine(spark).fit(s, spec, 100, 2000, keep=True).state for s in (own, lines))
+    assert np.allclose(a.w, b.w, atol=1e-9) and a.n_chunks == b.n_chunks
+
+
+def test_exact_products_of_wide_numbers():
+    from spanfold.sources.local import exact_gram
+
+    rng = np.random.default_rng(3)
+    x = rng.integers(-(1 << 40), 1 << 40, (5000, 3))
+    want = [[sum(int(a) * int(b) for a, b in zip(x[:, i], x[:, j])) for j in range(3)] for i in range(3)]
+    assert exact_gram(x) == want
+
+
+def test_many_requests_in_one_job(spark, events):
+    engine = Engine(spark)
+    for r, s in zip((Range(0, 300), Range(250, 700)), range_states(events, GNB_EVENTS, [Range(0, 300), Range(250, 700)])):
+        engine.store.put(GNB_EVENTS, r, s, events.version)
+    asks = [Range(i * 7 % 900, i * 7 % 900 + 40 + i % 50) for i in range(120)] + [Range(5, 5)]
+    jobs = events.stats["jobs"]
+    answers = engine.fit_many(events, GNB_EVENTS, asks)
+    assert events.stats["jobs"] == jobs + 1
+    for r, a in list(zip(asks, answers))[::30]:
+        assert M.state_distance(a.state, C.build(events, GNB_EVENTS, *r).state) == 0
+
+
+def test_chunks_side_by_side(table):
+    x, _, c = table
+    xs = x / np.array([1, *LOGIT.scales])
+    spec = replace(LOGIT, l2=0.01)
+    parts = [(xs[a:b], c[a:b]) for a, b in ((0, 100), (100, 350), (350, 360), (360, 900), (900, 901))]
+    for w, (a, b) in zip(logistic.train_many(parts, spec), parts):
+        assert np.allclose(w, logistic.train_arrays(a, b, spec), atol=1e-9)
+
+
+def test_subsamples_are_drawn_with_replacement(spark, lines, table):
+    x, _, c = table
+    xs = x / np.array([1, *LOGIT.scales])
+    spec = replace(LOGIT, trainer="batch", steps=3, l2=0.01)
+
+    def low(v):
+        return v % (1 << 31)
+
+    def mixed(v):
+        v = low(low(v) * 2654435761)
+        v = low((v ^ (v >> 15)) * 2246822519)
+        return v ^ (v >> 13)
+
+    n, ws = len(c), []
+    for s in range(3):
+        at = [int(mixed(s * 400 + t + 1_000_003) / (1 << 31) * n) for t in range(400)]
+        assert len(set(at)) < 400  # a point may come twice
+        ws.append(logistic.train_arrays(xs[at], c[at], spec))
+    got = logistic.average_of_subsamples(lines.df, spec, p=3, m=400, n=n)
+    assert got.n == 1200 and np.allclose(got.w, np.mean(ws, axis=0), atol=1e-9)
+
+
+def test_one_against_the_rest(spark, lines, table):
+    from spanfold.sources.points import CLASS3, GNB_LINES
+
+    x, _, _ = table
+    xs = x / np.array([1, *LOGIT.scales])
+    names = np.array([r.k for r in lines.df.select("pid", F.expr(CLASS3).alias("k")).orderBy("pid").collect()])
+    got = logistic.one_vs_rest(lines.df, replace(LOGIT, label=CLASS3), GNB_LINES.classes, [Range(0, 500), Range(500, 1100)])
+    for k in GNB_LINES.classes:
+        want = np.mean([logistic.train_arrays(xs[a:b], (names[a:b] == k).astype(float), LOGIT) for a, b in ((0, 500), (500, 1100))], axis=0)
+        assert np.allclose(got[k].w, want, atol=1e-9)
+
+
+def test_key_checks_on_dense_and_sparse_lines(spark):
+    def facts(keys):
+        return tuple(validate_key(spark.createDataFrame([(k,) for k in keys], "k long"), "k").first())
+
+    assert facts([]) == (0, 0, 0, None, None, True)
+    assert facts([3, 1, 2, -40000, 70000]) == (5, 5, 0, -40000, 70000, True)
+    assert facts([0, 4, 5, 1, 2, 6] * 2) == (12, 6, 0, 0, 6, False)
+    assert facts([1, None, 10**15, 1]) == (4, 2, 1, 1, 10**15, False)
+    assert facts([None, None, 5])[-1] is False
+
+
 def test_measures():
     g = M.gain([(1.0, 2.0), (1.0, 4.0)])
     assert g["speedup"] == 3 and g["time_ratio"] == pytest.approx(1 / 3) and g["mean_speedup"] == 3

@@ -113,6 +113,21 @@ def test_plans_are_optimal_and_sound():
     assert better > 10
 
 
+def test_k_cheapest_plans():
+    from itertools import permutations
+
+    rng = random.Random(7)
+    for _ in range(40):
+        models, ask = random_set(rng, most=2)
+        weight = {(u, v): c for u, v, _, _, c in P.plan_edges(models, ask)}
+        inner = sorted({x for e in weight for x in e} - {ask.lo, ask.hi})
+        paths = [(ask.lo, *mid, ask.hi) for k in range(len(inner) + 1) for mid in permutations(inner, k)]
+        costs = sorted(sum(weight[e] for e in zip(p, p[1:])) for p in paths)
+        plans = P.k_best_plans(models, ask, 5)
+        assert [p.cost for p in plans] == pytest.approx(costs[:5])
+        assert all(P.check_net(p.segments, ask) for p in plans) and len({tuple(p.nodes) for p in plans}) == len(plans)
+
+
 def test_equal_descriptors_and_cheap_scans():
     ask = Range(0, 10)
     assert P.best_plan([Kept(0, 10, "x", 9.0), Kept(0, 10, "y", 2.0)], ask).models == ["y"]

@@ -24,7 +24,16 @@ def stream_files(spark, tiny, path, late=False):
 def test_running_state_equals_batch(spark, tiny, tmp_path):
     events, rows = stream_files(spark, tiny, f"file://{tmp_path}/in")
     held, _ = S.running_state(rows, GNB_EVENTS, f"file://{tmp_path}/ck")
-    assert state_distance(held["state"], bayes.bayes_state(events, GNB_EVENTS)) == 0 and len(held["seen"]) > 1
+    assert state_distance(held.state, bayes.bayes_state(events, GNB_EVENTS)) == 0 and len(held.batches) > 1
+    # a new session goes on from what was written; a batch that comes again counts once
+    events.write.mode("append").parquet(f"file://{tmp_path}/in")
+    again, _ = S.running_state(S.event_stream(spark, f"file://{tmp_path}/in", events.schema), GNB_EVENTS, f"file://{tmp_path}/ck")
+    twice = bayes.bayes_state(events.unionByName(events), GNB_EVENTS)
+    assert state_distance(again.state, twice) == 0 and again.batches[0] > held.batches[-1]
+    replayed = S.RunningState(spark, GNB_EVENTS, f"file://{tmp_path}/ck-states")
+    replayed.fold(events.where("event_id < 0"), again.batches[-1] + 1)
+    replayed.fold(events.where("event_id < 0"), again.batches[-1] + 1)
+    assert state_distance(replayed.state, twice) == 0
 
 
 def test_closed_windows_become_models(spark, tiny, tmp_path):
