@@ -31,8 +31,9 @@ def requests_bench(spark, sf_dir: str) -> dict:
     out: dict = {}
     for kind, spec in (("linreg", LINREG), ("gnb", GNB_LINES), ("logit", _logit(5_000_000, 10_000))):
         source = _written(spark, sf_dir, spec)
+        cost = W.calibrated(source, spec)
         for c in (0, 90):
-            engine = W.Engine(spark)
+            engine = W.Engine(spark, cost=cost)
             if spec.kind == "logit":
                 W.keep_chunks(engine, source, spec, W.place_models(n, c, W.Sizes("fixed", spec.chunk), 1, unit=1.0, grid=True))
             else:

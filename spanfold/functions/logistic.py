@@ -164,7 +164,7 @@ def train_chunks(points: DataFrame, spec: ModelSpec, chunks: list[Range], key: s
     key = key or spec.key
     rows = points if ready else project(points, spec, keep=[key])
     lows = [c.lo for c in chunks]
-    if len(lows) <= 256:
+    if len(lows) <= 16:
         table = F.array(*[F.lit(x).cast("long") for x in lows])
         at = F.size(F.filter(table, lambda x: x <= F.col(key))) - 1
         rows = rows.where((F.col(key) >= lows[0]) & (F.col(key) < chunks[-1].hi)).withColumn("chunk_lo", F.element_at(table, (at + 1).cast("int")))

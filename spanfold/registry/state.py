@@ -242,12 +242,12 @@ sco as (select doc_id, counts.lang as truth, th.lang as c, max(lp) + sum(counts.
 top as (select *, row_number() over (partition by doc_id order by s desc, c) as rk from sco)
 select count(*) as n, count_if(truth = c) as correct from top where rk = 1""")
 def mnb_predict_lang(spark, sf_dir):
-    """Train on the first half of the texts, tell the language of the rest, by letters: a score a
-    class inside the scan, nothing is shuffled but the counts."""
+    """Train on the first half of the texts, tell the language of the rest, by letters."""
     source = letters_source(spark, sf_dir)
     n = source.df.count()
-    params = bayes.mnb_params(bayes.bayes_state(source.scan_range(0, n // 2), LETTER_SPEC))
-    return accuracy(bayes.predict(bayes.featured(source.scan_range(n // 2, n), LETTER_SPEC), bayes.mnb_scores(LETTER_SPEC, params)), "lang").select("n", "correct")
+    letters = F.split("low", "")
+    params = bayes.mnb_params(bayes.mnb_state_sparse(source.scan_range(0, n // 2), LETTER_SPEC, letters))
+    return accuracy(bayes.mnb_predict_sparse(source.scan_range(n // 2, n), LETTER_SPEC, letters, params, "doc_id"), "class").select("n", "correct")
 
 
 @query(f"""
@@ -257,13 +257,14 @@ th as (select lang, l, ln((c + 1) * 1.0 / (sum(c) over (partition by lang) + 45)
 sco as (select doc_id, th.lang as c, max(lp) + sum(counts.c * lt) as s from counts join th using (l) where doc_id >= (select n // 2 from size) group by doc_id, th.lang),
 top as (select *, row_number() over (partition by doc_id order by s desc, c) as rk from sco)
 select c as prediction, count(*) as n from top where rk = 1 group by c""")
-def mnb_predict_tokens(spark, sf_dir):
-    """The same from a table of tokens, the form for vocabularies too wide for columns."""
+def mnb_predict_dense(spark, sf_dir):
+    """The same by a score a class inside the scan, from counts as columns: nothing is shuffled, but
+    every feature is counted by a pass over the text; for few features."""
     source = letters_source(spark, sf_dir)
     n = source.df.count()
-    letters = F.split("low", "")
-    params = bayes.mnb_params(bayes.mnb_state_sparse(source.scan_range(0, n // 2), LETTER_SPEC, letters))
-    return bayes.mnb_predict_sparse(source.scan_range(n // 2, n), LETTER_SPEC, letters, params, "doc_id").groupBy("prediction").agg(F.count("*").alias("n"))
+    params = bayes.mnb_params(bayes.mnb_state_sparse(source.scan_range(0, n // 2), LETTER_SPEC, F.split("low", "")))
+    scored = bayes.predict(bayes.featured(source.scan_range(n // 2, n), LETTER_SPEC), bayes.mnb_scores(LETTER_SPEC, params))
+    return scored.groupBy("prediction").agg(F.count("*").alias("n"))
 
 
 @query(f"with {LETTERS_SQL} select lang as class, l as feature, count(*) as n, cast(sum(c) as double) as s from counts group by lang, l")

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import hashlib
+import json
 import uuid
 
 import pyarrow as pa
@@ -53,7 +55,15 @@ def assign_position(df: DataFrame, order: list[str], name: str = "pid") -> DataF
 
 def version_of(df: DataFrame) -> str:
     """A name for the files behind a table: the same in any session while they stay as they are,
-    another once one is rewritten. Reads file metadata and no column."""
+    another once one is rewritten. Few files are asked of the file system; of many, their metadata
+    is gathered by a job that reads no column."""
+    spark = df.sparkSession
+    names = df.inputFiles()
+    if len(names) <= 64:
+        conf, path = spark._jsc.hadoopConfiguration(), spark._jvm.org.apache.hadoop.fs.Path
+        found = [(p := path(n)).getFileSystem(conf).getFileStatus(p) for n in sorted(names)]
+        text = json.dumps([(f.getPath().getName(), f.getLen(), f.getModificationTime()) for f in found])
+        return f"{len(names)}-{hashlib.sha256(text.encode()).hexdigest()[:16]}"
     files = df.select("_metadata.file_name", "_metadata.file_size", "_metadata.file_modification_time").distinct()
     r = files.agg(F.count("*").alias("n"), F.sum(F.xxhash64(*files.columns).cast("decimal(38,0)")).alias("h")).first()
     return f"{r.n}-{int(r.h or 0) & (1 << 64) - 1:016x}"
@@ -81,7 +91,7 @@ def materialize(source: PointSource, spec, project=None) -> PointSource:
     rows = source.prepared(spec, project)
     path = f"{work_dir(spark)}/features/{uuid.uuid4().hex}"
     ranged = rows.df.repartitionByRange(source.key).sortWithinPartitions("bucket", source.key)
-    ranged.write.option("parquet.block.size", 1 << 20).partitionBy("bucket").parquet(path)
+    ranged.write.option("parquet.block.size", 1 << 19).partitionBy("bucket").parquet(path)
     kept = PointSource(spark.read.parquet(path), source.key, source.version, source.bucket_width, source.directory)
     try:
         kept.reader = LocalReader(path, source.key, source.bucket_width)

@@ -11,12 +11,13 @@ from dataclasses import dataclass
 import numpy as np
 
 from spanfold.engine import Engine
+from spanfold.functions import bayes, linear
 from spanfold.functions.logistic import LogisticState, arrays_of, distance_bound, make_chunks, parameter_distance, project, train_chunks, train_many
 from spanfold.operators.baselines import scratch_sgd
 from spanfold.operators.batch import range_states
 from spanfold.operators.measures import bound_report, cost_fidelity, gain, storage_overhead, store_size, time_split, work
-from spanfold.plans.costs import Directory, LinearCost, fit_cost
-from spanfold.plans.planner import best_plan, greedy_cover, largest_overlap_plan
+from spanfold.plans.costs import AffineCost, Directory, LinearCost, fit_cost
+from spanfold.plans.planner import Segment, best_plan, greedy_cover, largest_overlap_plan
 from spanfold.plans.ranges import Range, union
 from spanfold.plans.relevance import DescriptorIndex, Kept
 from spanfold.sources.points import ModelSpec, PointSource
@@ -195,10 +196,14 @@ def keep_chunks(engine: Engine, source: PointSource, spec: ModelSpec, ranges: li
             engine.store.put(spec, Range(r.chunk_lo, r.chunk_hi), LogisticState(spec.spec_id, r.n, np.array(r.w)), source.version)
 
 
+def _projection(spec: ModelSpec):
+    return {"linreg": linear.project, "logit": project}.get(spec.kind, bayes.project)
+
+
 def engine_at(spark, source: PointSource, spec: ModelSpec, n: int, coverage: float, sizes: Sizes = NORMAL, seed: int = 0) -> Engine:
     """An engine whose kept models cover so many percent; logistic models are cells of the spec's
-    chunk size."""
-    engine = Engine(spark, ModelStore(spark))
+    chunk size. Its costs are calibrated where scans are read on the driver."""
+    engine = Engine(spark, ModelStore(spark), LinearCost() if source.prepared(spec, _projection(spec)).reader is None else calibrated(source, spec))
     if spec.kind == "logit":
         keep_chunks(engine, source, spec, place_models(n, coverage, Sizes("fixed", spec.chunk), seed, unit=1.0, grid=True))
     else:
@@ -206,6 +211,27 @@ def engine_at(spark, source: PointSource, spec: ModelSpec, n: int, coverage: flo
     return engine
 
 
+def calibrated(source: PointSource, spec: ModelSpec, model: float = 3e-4) -> AffineCost:
+    """Costs in seconds, fitted to scans measured on this source: a set-up and a slope; `model` is
+    what fetching and merging a kept state takes."""
+    from spanfold.operators.combine import scan_state
+
+    n = int(source.directory.running[-1])
+    samples = []
+    for size in (64, 1000, 4000, 16_000, 60_000):
+        size = min(size, n)
+        for turn in range(4):
+            lo = (n - size) * turn // 4
+            began = time.perf_counter()
+            if spec.kind == "logit":
+                scratch_sgd(source, spec, lo, lo + size)
+            else:
+                scan_state(source, spec, [Segment(1, "scan", lo, lo + size)])
+            if turn:
+                samples.append((size, time.perf_counter() - began))
+    return fit_cost(samples, model=model)
+
+
 def storage_by_coverage(spark, source: PointSource, spec: ModelSpec, n: int, coverages=(20, 40, 60, 80, 90), size: int = 5_000) -> list[dict]:
     out = []
     for c in coverages:
