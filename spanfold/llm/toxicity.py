@@ -194,13 +194,16 @@ def calibrate(net: Network, docs, texts, labels, langs, least: int = 30) -> Netw
 def fit(docs: DataFrame, labels: DataFrame, train_rows, sample: int = SAMPLE) -> Network | None:
     """Train on at most `sample` labelled rows of each class, those of smallest hashed doc_id.
 
-    `train_rows` is a condition on doc_id. Without labelled rows of both classes: None.
+    `train_rows` is a condition on doc_id. A document labelled both ways counts as toxic; repeated
+    labels count once. Of rows that share a doc_id the smallest text (then language) is learned from.
+    Without labelled rows of both classes: None. Whole texts are read, however long.
     """
-    good = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("toxic")).where(train_rows).where("toxic in (0, 1)").dropDuplicates(["doc_id"])
+    good = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("toxic")).where(train_rows).where("toxic in (0, 1)").groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
     picks = [good.where(F.col("toxic") == c).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample) for c in (0, 1)]
     picked = picks[0].unionByName(picks[1])
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", F.col("lang").cast("string").alias("lang") if "lang" in docs.columns else F.lit(None).cast("string").alias("lang"))
-    rows = texts.join(F.broadcast(picked), "doc_id").collect()  # two classes of `sample` rows at most
+    texts = texts.join(F.broadcast(picked), "doc_id").groupBy("doc_id", "toxic").agg(F.min(F.struct("text", "lang")).alias("r"))
+    rows = texts.select("doc_id", "toxic", "r.*").collect()  # two classes of `sample` rows at most
     rows.sort(key=lambda r: (r.doc_id, r.text or ""))
     y = np.array([r.toxic for r in rows], dtype=np.float32)
     if not len(y) or y.min() == y.max():

@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import base64
-import bisect
 import gzip
 import hashlib
 import json
@@ -11,6 +10,7 @@ import math
 import uuid
 import zlib
 
+import numpy as np
 import pyarrow as pa
 import pyarrow.fs as pafs
 from pyspark.sql import DataFrame
@@ -19,8 +19,10 @@ from pyspark.sql import functions as F
 from spanfold.llm.common import lean, shared_dir, ship, written
 
 ROLL_BYTES = 16 << 20  # compressed size at which a file is closed
-SHARD_BYTES = 24 << 20  # payload bytes of a shard, about
-SAMPLE = 65_536  # ids read by the driver to cut the key range, at most about
+SHARD_BYTES = 24 << 20  # payload bytes of a shard, about, for as many shards as SAMPLE allows
+PER_SHARD = 4  # ids sampled for each shard
+SAMPLE = 1 << 22  # ids read by the driver to cut the key range, 8 bytes each, at most about
+HOT_COPIES = 1 << 16  # pages that share a payload beyond which its row is broadcast
 DATE = "2024-01-01T00:00:00Z"
 PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
 
@@ -67,6 +69,18 @@ def members(stream):
             unzip, held = zlib.decompressobj(31), []
 
 
+class Summed:
+    """A stream whose bytes are hashed as they are read."""
+
+    def __init__(self, stream):
+        self.stream, self.sha = stream, hashlib.sha256()
+
+    def read(self, n: int) -> bytes:
+        data = self.stream.read(n)
+        self.sha.update(data)
+        return data
+
+
 def parse_record(raw: bytes) -> tuple[dict, bytes]:
     head, _, rest = raw.partition(b"\r\n\r\n")
     headers = dict(line.split(": ", 1) for line in head.decode().split("\r\n")[1:])
@@ -81,35 +95,45 @@ def write_archives(pages: DataFrame, target: str | None = None, least_bytes: int
     that repeat the largest page_id are responses each; a null page_id is never the largest unless
     all are null. Other columns are ignored. The archives depend on the rows alone: shards are cut
     at ids of a hash sample, records go in id order, files roll at a compressed size, and digests,
-    record ids and dates are regenerated. A task writes under a name of its own and renames when a
-    file is whole, so a task that runs twice leaves the same files; the manifest comes last.
+    record ids and dates are regenerated. A task writes one shard, under a name of its own, and
+    renames when a file is whole, so a task that runs twice leaves the same files; names of attempts
+    that failed are removed at the end. The manifest, a line a file (name, records, bytes, SHA-256),
+    comes before `manifest.json`, which has the totals and says that the archive is whole.
+
+    Shards have SHARD_BYTES of payload up to 2^20 of them (25 TB) and grow with the input from there
+    (100 MB at 100 TB); a shard is streamed, never held.
     """
     spark = pages.sparkSession
     target = (target or f"{shared_dir(spark)}/warc-{uuid.uuid4().hex}").rstrip("/")
     rows = pages.select(F.col("page_id").cast("long").alias("id"), F.col("url").cast("string").alias("url"), F.coalesce(F.col("html").cast("string"), F.lit("")).cast("binary").alias("payload"))
     facts = rows.agg(F.count("*").alias("n"), F.sum(F.octet_length("payload")).alias("size")).first()
-    shards = max(1, min(SAMPLE // 8, math.ceil((facts["size"] or 0) / SHARD_BYTES)))
-    every = max(1, facts["n"] // SAMPLE)
-    sample = [r.id for r in rows.where(F.col("id").isNotNull() & (F.pmod(F.xxhash64("id"), F.lit(every)) == 0)).select("id").distinct().orderBy("id").collect()]
-    cuts = sorted({sample[len(sample) * i // shards] for i in range(1, shards)}) if sample else []
+    shards = max(1, min(SAMPLE // PER_SHARD, math.ceil((facts["size"] or 0) / SHARD_BYTES)))
+    every = max(1, facts["n"] // min(SAMPLE, max(1024, PER_SHARD * shards)))
+    sampled = rows.where(F.col("id").isNotNull() & (F.pmod(F.xxhash64("id"), F.lit(every)) == 0)).select("id").toArrow()
+    sample = np.unique(sampled.column("id").to_numpy())
+    cuts = np.unique(sample[len(sample) * np.arange(1, shards) // shards]) if len(sample) else sample
 
     light = rows.select("id", F.sha1("payload").alias("sha"), F.octet_length("payload").alias("size"))
-    last = light.where(F.col("size") >= least_bytes).groupBy("sha", "size").agg(F.max("id").alias("last"), F.count("*").alias("copies")).where("copies > 1 and last is not null").drop("copies")
+    last = light.where(F.col("size") >= least_bytes).groupBy("sha", "size").agg(F.max("id").alias("last"), F.count("*").alias("copies")).where("copies > 1 and last is not null")
     last = written(last, "payload-copies")
-    roles = light.join(last, ["sha", "size"]).where("id is null or id < last").select("id", "sha", "last").distinct()
+    # a payload of many pages would send them all to one task: such payloads are few (one in HOT_COPIES pages at most) and broadcast
+    crowded = F.broadcast(last.where(F.col("copies") > HOT_COPIES).drop("copies"))
+    met = light.join(crowded, ["sha", "size"]).unionByName(light.join(crowded, ["sha", "size"], "left_anti").join(last.drop("copies"), ["sha", "size"]))
+    roles = met.where("id is null or id < last").select("id", "sha", "last").distinct()
+
+    def shards_of(ids):
+        return pa.array(np.where(ids.is_null().to_numpy(zero_copy_only=False), 0, np.searchsorted(cuts, ids.fill_null(0).to_numpy(), side="right")).astype(np.int32))
 
     def deal(batches):
         for batch in batches:
-            shard = [0 if i is None else bisect.bisect_right(cuts, i) for i in batch.column(0).to_pylist()]
             sha = [hashlib.sha1(b.as_buffer()).hexdigest() for b in batch.column(2)]
-            n = len(shard)
-            yield pa.record_batch([pa.array(shard, pa.int32()), batch.column(0), pa.array(sha), pa.nulls(n, pa.int64()), batch.column(1), batch.column(2)], names=["shard", "id", "sha", "last", "url", "payload"])
+            n = len(sha)
+            yield pa.record_batch([shards_of(batch.column(0)), batch.column(0), pa.array(sha), pa.nulls(n, pa.int64()), batch.column(1), batch.column(2)], names=["shard", "id", "sha", "last", "url", "payload"])
 
     def deal_roles(batches):
         for batch in batches:
-            shard = [0 if i is None else bisect.bisect_right(cuts, i) for i in batch.column(0).to_pylist()]
-            n = len(shard)
-            yield pa.record_batch([pa.array(shard, pa.int32()), batch.column(0), batch.column(1), batch.column(2), pa.nulls(n, pa.string()), pa.nulls(n, pa.binary())], names=["shard", "id", "sha", "last", "url", "payload"])
+            n = batch.num_rows
+            yield pa.record_batch([shards_of(batch.column(0)), batch.column(0), batch.column(1), batch.column(2), pa.nulls(n, pa.string()), pa.nulls(n, pa.binary())], names=["shard", "id", "sha", "last", "url", "payload"])
 
     shape = "shard int, id long, sha string, last long, url string, payload binary"
 
@@ -158,20 +182,29 @@ def write_archives(pages: DataFrame, target: str | None = None, least_bytes: int
             yield pa.record_batch([pa.array(x) for x in zip(*done)], names=["file", "records", "bytes", "sha256"])
 
     every_row = rows.mapInArrow(deal, shape).unionByName(roles.mapInArrow(deal_roles, shape))
-    dealt = every_row.repartition(max(2, len(cuts) + 1), "shard").sortWithinPartitions("shard", "id", "sha", F.col("last").desc_nulls_last(), "url")
+    dealt = every_row.repartitionById(len(cuts) + 1, "shard").sortWithinPartitions("shard", "id", "sha", F.col("last").desc_nulls_last(), "url")
     manifest = written(dealt.mapInArrow(lean(write), "file string, records long, bytes long, sha256 string"), "warc-manifest")
-    total = manifest.agg(F.count("*").alias("files"), F.sum("records").alias("records"), F.sum("bytes").alias("bytes")).first()
     store, root = pafs.FileSystem.from_uri(target)
     store.create_dir(root, recursive=True)
+    for name in (f for f in store.get_file_info(pafs.FileSelector(root)) if f.base_name.startswith(".pages-")):
+        store.delete_file(name.path)
+    manifest.write.mode("overwrite").json(f"{target}/manifest")
+    total = manifest.agg(F.count("*").alias("files"), F.sum("records").alias("records"), F.sum("bytes").alias("bytes")).first()
     with store.open_output_stream(f"{root}/.manifest.json.tmp") as out:
-        out.write(json.dumps({"files": total.files, "records": total.records or 0, "bytes": total.bytes or 0}).encode())
+        out.write(json.dumps({"files": total.files, "records": total.records or 0, "bytes": total.bytes or 0, "list": "manifest"}).encode())
     store.move(f"{root}/.manifest.json.tmp", f"{root}/manifest.json")
     return target, manifest
 
 
+def listed(spark, target: str) -> DataFrame:
+    """The manifest of a finished archive, as written beside its files."""
+    return spark.read.schema("file string, records long, bytes long, sha256 string").json(f"{target}/manifest")
+
+
 def read_archives(target: str, manifest: DataFrame) -> DataFrame:
     """Records of the files a manifest lists: page_id, url, payload_bytes, payload_digest,
-    record_type, refers_to, payload (null in revisits). Digests of responses are checked."""
+    record_type, refers_to, payload (null in revisits). A file's bytes and SHA-256 are checked
+    against the manifest, digests of responses against their payloads."""
 
     def read(batches):
         store, root = pafs.FileSystem.from_uri(target)
@@ -182,9 +215,10 @@ def read_archives(target: str, manifest: DataFrame) -> DataFrame:
             return pa.record_batch([pa.array(x, t) for x, t in zip(zip(*out), types)], names=names)
 
         for batch in batches:
-            for name in batch.column(0).to_pylist():
+            for name, whole in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 out, room = [], 0
-                with store.open_input_stream(f"{root}/{name}", compression=None) as stream:
+                with store.open_input_stream(f"{root}/{name}", compression=None) as source:
+                    stream = Summed(source)
                     for raw in members(stream):
                         headers, block = parse_record(raw)
                         kind = headers["WARC-Type"]
@@ -201,12 +235,14 @@ def read_archives(target: str, manifest: DataFrame) -> DataFrame:
                         if room > 8 << 20:
                             yield batch_of(out)
                             out, room = [], 0
+                if stream.sha.hexdigest() != whole:
+                    raise ValueError(f"{name}: the file is not the one the manifest lists")
                 if out:
                     yield batch_of(out)
 
     shape = "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long, payload binary"
     files = manifest.count()  # names are short: without a number they would all be merged into one task
-    return manifest.select("file").repartition(max(1, min(files, 100_000)), "file").mapInArrow(lean(read), shape)
+    return manifest.select("file", "sha256").repartition(max(1, min(files, 100_000)), "file").mapInArrow(lean(read), shape)
 
 
 ship(__name__)
