@@ -94,10 +94,10 @@ kept as (select doc_id, coalesce(string_agg({unit} order by x) filter (where x <
 cuts as (select doc_id, sum(b - a) as n_removed, count(*) as n_spans from runs group by doc_id)"""
 
 
-# bytes as pairs of hexadecimal digits; the first document of each string of 50 bytes
+# bytes as pairs of hexadecimal digits; strings are told apart by 128-bit digests
 _OP2 = f"""
 with seqs as (select doc_id, octet_length(encode(coalesce(text, ''))) as n, hex(coalesce(text, '')) as body from documents),
-grams as (select doc_id, s, substr(body, cast(2 * s + 1 as int), 100) as g from (select doc_id, body, unnest(range(n - 49)) as s from seqs where n >= 50)),
+grams as (select doc_id, s, md5_number(substr(body, cast(2 * s + 1 as int), 100)) as g from (select doc_id, body, unnest(range(n - 49)) as s from seqs where n >= 50)),
 hits as (select doc_id, s from (select doc_id, s, min(doc_id) over (partition by g) as least from grams) where least < doc_id), {_cut_sql("substr(body, cast(2 * x + 1 as int), cast(2 * (y - x) as int)), ''")}
 select doc_id, cast(n as bigint) as n_bytes, cast(coalesce(n_removed, 0) as bigint) as n_removed, cast(coalesce(n_spans, 0) as bigint) as n_spans, sha256(unhex(joined)) as kept_sha256
 from seqs join kept using (doc_id) left join cuts using (doc_id)"""
@@ -111,7 +111,7 @@ select page_id, cast(octet_length(encode(body)) as bigint) as payload_bytes,
 
 _OP9 = f"""
 with seqs as (select doc_id, len(words) as n, words from (select doc_id, regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+') as words from documents)),
-grams as (select doc_id, s, array_to_string(words[s + 1 : s + 50], ' ') as g from (select doc_id, words, unnest(range(n - 49)) as s from seqs where n >= 50)),
+grams as (select doc_id, s, md5_number(array_to_string(words[s + 1 : s + 50], ' ')) as g from (select doc_id, words, unnest(range(n - 49)) as s from seqs where n >= 50)),
 hits as (select doc_id, s from (select doc_id, s, min(doc_id) over (partition by g) as least from grams) where least < doc_id), {_cut_sql("array_to_string(words[x + 1 : y], ' '), ' '")}
 select doc_id, cast(n as bigint) as n_words, cast(coalesce(n_removed, 0) as bigint) as n_removed, sha256(joined) as kept_sha256, cast(coalesce(n_spans, 0) as bigint) as n_spans
 from seqs join kept using (doc_id) left join cuts using (doc_id)"""
