@@ -18,7 +18,8 @@ OPENERS = "a after all also an and are as at before but by can did do does each
 NUM, UNIT, NAME = "\u0001", "\u0002", "\u0003"
 # Repeats of groups are possessive: what follows cannot match within them, and giving back, they
 # would take a frame of the stack each, which long runs of names or numbers overflow.
-_NUMBER = r"(?<![\p{L}\p{N}])[-+]?\p{Sc}?\p{N}+(?:[.,:/]\p{N}++)*+"
+# A number does not begin inside a list of numbers, or a long list would be read from each of its places.
+_NUMBER = r"(?<![\p{L}\p{N}])(?<!\p{N}[.,:/])[-+]?\p{Sc}?\p{N}++(?:[.,:/]\p{N}++)*+"
 _MEASURE = _NUMBER + r"\s?(?:" + UNITS + r")(?![\p{L}\p{N}])"
 _TOKEN = r"[\p{L}\p{N}]+|[\x01-\x03]"
 
