@@ -21,7 +21,7 @@ _ROOM = 1 << 19  # phrases, and windows, that are combined before a shuffle
 _ASKED, _PLACE, _LEADER = 0, 1, 2
 _MEETINGS = pa.schema([("d", pa.int64()), ("p", pa.int64()), ("a", pa.int64())])
 _PLACES = pa.schema([("d", pa.int64()), ("p", pa.int64())])
-_WINDOWS = pa.schema([("h1", pa.int64()), ("h2", pa.int64()), ("d", pa.int64()), ("p", pa.int64())])
+_WINDOWS = pa.schema([("h1", pa.int64()), ("h2", pa.int32()), ("d", pa.int64()), ("p", pa.int64())])
 
 
 class WordCodes(dict):
@@ -119,7 +119,7 @@ def count_in_batch(held: list) -> pa.RecordBatch:
     d_told, p_told = stretches(d[told], (w[told] << 24) | 1)
     blank = np.zeros(len(d_told), dtype=np.int64)
     no_hash = np.arange(int((~told).sum()) + len(blank)) >= int((~told).sum())
-    hashes = [pa.array(np.concatenate((h[~told], blank)), mask=no_hash) for h in (h1, h2)]
+    hashes = [pa.array(np.concatenate((h[~told], blank.astype(h.dtype))), mask=no_hash) for h in (h1, h2)]
     return pa.record_batch([*hashes, np.concatenate((d[~told], d_told)), np.concatenate(((w[~told] << 24) | 1, p_told))], schema=_WINDOWS)
 
 
@@ -147,7 +147,7 @@ def remove_repeated_windows(docs: DataFrame, width: int = 50, with_text: bool =
     Plan: every window is led by the smallest rolling hash of its ten-word stretches, so equal
     windows have equal leaders, and a window whose leader only one document has is seen once: this
     first count, a row a run of windows, sets those aside. Of all other windows two rolling hashes
-    are counted in Spark, with the smallest document of each; partial counts are made before the
+    (96 bits: among 10^13 windows two differing ones would meet with probability 0.001) are counted in Spark, with the smallest document of each; partial counts are made before the
     shuffle. Windows that a smaller document has too merge into maximal intervals.
     """
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("body"))
@@ -177,7 +177,7 @@ def remove_repeated_windows(docs: DataFrame, width: int = 50, with_text: bool =
                     np.add.at(asked, np.minimum(p >> 24, len(one)), 1)
                     np.add.at(asked, np.minimum((p >> 24) + (p & 0xFFFFFF), len(one)), -1)
                     spots = np.flatnonzero(np.cumsum(asked[:-1]) > 0)
-                    yield one[spots].view(np.int64), two[spots].view(np.int64), np.full(len(spots), doc.as_py()), spots
+                    yield one[spots].view(np.int64), (two[spots] >> np.uint64(32)).astype(np.uint32).view(np.int32), np.full(len(spots), doc.as_py()), spots
 
         yield from in_batches(found(), count_in_batch)
 
@@ -204,7 +204,7 @@ def remove_repeated_windows(docs: DataFrame, width: int = 50, with_text: bool =
     bodies = packed(texts)
     met = texts.mapInArrow(lean(leaders), "d long, p long, a long").repartition("a").sortWithinPartitions("a")
     places = marks_by_document(met.mapInArrow(lean(shared_places), "d long, p long"))
-    asked = bodies.join(places, bodies.doc_id == places.d).select("doc_id", "body", "ps").mapInArrow(lean(windows), "h1 long, h2 long, d long, p long")
+    asked = bodies.join(places, bodies.doc_id == places.d).select("doc_id", "body", "ps").mapInArrow(lean(windows), "h1 long, h2 int, d long, p long")
     asked = written(asked, "windows")
     hashed = asked.where("h1 is not null")
     counts = hashed.groupBy("h1", "h2").agg(F.min("d").alias("first_doc"), F.max("d").alias("last_doc")).where("first_doc < last_doc")
