@@ -147,8 +147,9 @@ def remove_repeated_windows(docs: DataFrame, width: int = 50, with_text: bool =
     Plan: every window is led by the smallest rolling hash of its ten-word stretches, so equal
     windows have equal leaders, and a window whose leader only one document has is seen once: this
     first count, a row a run of windows, sets those aside. Of all other windows two rolling hashes
-    (96 bits: among 10^13 windows two differing ones would meet with probability 0.001) are counted in Spark, with the smallest document of each; partial counts are made before the
-    shuffle. Windows that a smaller document has too merge into maximal intervals.
+    (96 bits: among 10^13 windows two differing ones would meet with probability 0.001) are counted
+    in Spark, with the smallest document of each; partial counts are made before the shuffle.
+    Windows that a smaller document has too merge into maximal intervals.
     """
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("body"))
 
