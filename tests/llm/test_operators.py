@@ -87,6 +87,32 @@ def test_window_dedup(docs, empty):
     assert remove_repeated_windows(empty).count() == 0
 
 
+def test_windows_meet_across_batches(spark, monkeypatch):
+    """Counts combined in batches of one document, of a few, and of all say the same: passages that
+    many documents share, that one repeats in itself, and that stand a word apart."""
+    from spanfold.llm import window_dedup
+
+    rng = np.random.default_rng(5)
+    passage = [f"p{i}" for i in rng.integers(0, 400, 120)]
+    parts = []
+    for i in rng.permutation(60):
+        own = [f"w{x}" for x in rng.integers(0, 5000, int(rng.integers(0, 90)))]
+        cut = int(rng.integers(0, 60))
+        again = passage[cut:] if i % 3 else ["la"] * int(rng.integers(40, 120))
+        parts.append((int(i), own + again + (own + again if i % 5 == 0 else [])))
+    parts.append((7, list(passage)))  # a second row of one doc_id, judged apart below
+    docs = spark.createDataFrame([(i, " ".join(w)) for i, w in parts if i != 7], "doc_id long, text string").repartition(3)
+    alone = [(i, w) for i, w in parts if i != 7]
+    want = {i: int(g.sum()) for (i, _), g in zip(alone, windows_removed(alone, 50))}
+    for room in (1, 60, 1 << 19):
+        monkeypatch.setattr(window_dedup, "_ROOM", room)
+        assert {r.doc_id: r.n_removed for r in window_dedup.remove_repeated_windows(docs).collect()} == want
+    assert sum(want.values()) > 1000
+    both = spark.createDataFrame([(i, " ".join(w)) for i, w in parts if i == 7] + [(9, " ".join(passage))], "doc_id long, text string")
+    got = sorted((r.doc_id, r.n_words, r.n_removed) for r in window_dedup.remove_repeated_windows(both).collect())
+    assert [x for x in got if x[0] == 9] == [(9, 120, 120)] and sum(x[2] for x in got if x[0] == 7) == 0
+
+
 def test_suffix_dedup(docs, empty):
     from spanfold.llm.suffix_dedup import remove_repeated_bytes
 
