@@ -506,6 +506,37 @@ def test_pipeline_near_copies(spark, tiny, monkeypatch, part_rows):
     assert sorted((tuple(x) for x in got.collect()), key=repr) == want and 65 < len(want) < 200
 
 
+@pytest.mark.parametrize("part_rows", [16_384, 64])
+def test_simhash_tiles_find_all_near_copies(spark, monkeypatch, part_rows):
+    """Candidates are all pairs whose fingerprints and sizes allow the similarity, whatever else of
+    the texts agrees: fingerprints alone are given here, sizes on both sides of the bands' borders."""
+    from spanfold.llm import resemblance as R
+
+    monkeypatch.setattr(R, "PART_ROWS", part_rows)
+    r = random.Random(12)
+    rows = []
+    for i in range(120):
+        f1, f2, size = r.getrandbits(64), r.getrandbits(64), r.choice([1, 3, 4, 5, 6, 20, 21, 25, 26, 500, 900, 20_000])
+        rows.append((f1, f2, size))
+        for _ in range(4):
+            bits = [r.sample(range(64), r.randint(4, 21)) for _ in range(2)]
+            f, g = (f ^ sum(1 << b for b in own) for f, own in zip((f1, f2), bits))
+            rows.append((f, g, max(1, round(size * r.choice([0.78, 0.8, 0.82, 0.9, 1, 1.1, 1.24, 1.25, 1.27])))))
+    root = list(range(len(rows)))
+    for x in range(len(rows)):
+        for y in range(x):
+            (a1, a2, m), (b1, b2, n) = rows[x], rows[y]
+            first, second = (a1 ^ b1).bit_count(), (a2 ^ b2).bit_count()
+            if min(m, n) >= 4 and first <= R.FIRST and first + second <= R.BOTH and min(m, n) >= 0.8 * max(m, n):
+                a, b = root[x], root[y]
+                root = [min(a, b) if v in (a, b) else v for v in root]
+    signed = lambda v: v - (1 << 64) if v >> 63 else v
+    nodes = spark.createDataFrame([(i, n, signed(f), signed(g)) for i, (f, g, n) in enumerate(rows)], "sig long, size long, f1 long, f2 long")
+    assert {x.node: x.root for x in R.components(R._candidate_links(nodes)).collect()} == {x: v for x, v in enumerate(root) if x != v}
+    assert 60 < len(set(root)) < len(rows) - 60
+    assert R._candidate_links(nodes.where("size < 4")).count() == 0
+
+
 def test_pipeline_keeps_rows_of_null_and_repeated_ids(spark, tiny):
     import corpus_pipeline
 
