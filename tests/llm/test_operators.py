@@ -2,7 +2,9 @@
 
 import base64
 import hashlib
+import os
 import random
+from pathlib import Path
 
 import numpy as np
 import pytest
@@ -551,6 +553,50 @@ def test_pipeline_keeps_rows_of_null_and_repeated_ids(spark, tiny):
     assert left == sorted(rows, key=repr)
 
 
+def test_pipeline_copies_no_plain_files(spark, tiny, tmp_path):
+    """Rows of Parquet files are told apart by file and place: same rows left as by a copy, none made."""
+    import corpus_pipeline
+
+    item = spark.read.parquet(f"{tiny}/benchmark.parquet").orderBy("item_id").first().text
+    texts = [passage(80, 300 + i) for i in range(6)]
+    rows = [(None, texts[0]), (None, texts[1]), (None, texts[1]), (7, texts[2]), (7, texts[3]), (8, texts[3]), (9, texts[4]), (9, texts[4]), (3, texts[5]), (7, item), (None, item)]
+    df = spark.createDataFrame([(*r, n) for n, r in enumerate(rows)], "doc_id long, text string, row_ int")
+    df.repartition(4, "row_").write.parquet(f"file://{tmp_path}/docs")
+    docs = spark.read.parquet(f"file://{tmp_path}/docs")
+    tables = Path(spark.conf.get("spark.checkpoint.dir").removeprefix("file://"), "tables")
+    copies = lambda: sorted(x.name for x in tables.glob("rows-*"))
+    before = copies()
+    keyed, row = corpus_pipeline._with_rows(docs)
+    assert keyed.columns == [*docs.columns, row] and keyed.select(row).distinct().count() == len(rows)
+    near = corpus_pipeline.near_dedup(spark, docs, tiny)
+    assert near.columns == docs.columns
+    assert sorted((tuple(r)[:2] for r in near.collect()), key=repr) == sorted([*rows[:5], rows[6], *rows[8:]], key=repr)
+    assert sorted(r.row_ for r in corpus_pipeline.decontamination(spark, docs, tiny).collect()) == list(range(9))
+    assert copies() == before
+    corpus_pipeline._with_rows(docs.where("row_ > 0"))
+    assert len(copies()) == len(before) + 1  # other rows than those of plain files still need one
+
+
+def test_toxicity_learns_in_a_task(spark, monkeypatch):
+    from spanfold.llm import toxicity as T
+
+    driver, train = os.getpid(), T.train
+
+    def elsewhere(docs, labels):
+        assert os.getpid() != driver
+        return train(docs, labels)
+
+    monkeypatch.setattr(T, "train", elsewhere)
+    monkeypatch.setattr(T, "STEP", 7)
+    rows = [(i, passage(30, i) + (" swinish" if i % 3 == 0 else "")) for i in range(240)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(2)
+    labels = spark.createDataFrame([(i, int(i % 3 == 0)) for i in range(0, 240, 2)], "doc_id long, toxic int")
+    net = T.fit(docs, labels, F.lit(True))
+    below = sorted(r.doc_id for r in T.score(docs, net).collect() if r.score < 0.5)
+    assert sorted(r.doc_id for r in T.drop_toxic(docs, net).collect()) == below and 0 < len(below) < 240
+    assert T.fit(docs, labels.where("toxic = 1"), F.lit(True)) is None
+
+
 def test_decontamination_of_short_items(spark):
     from spanfold.llm.decontam import contaminated
 
