@@ -1,4 +1,5 @@
-"""Small scans without a job: clustered files read by the driver, up to a stated number of points."""
+"""Key ranges of clustered files without a scan: read by the driver up to a stated number of points, and
+piece by piece by tasks that go through points in key order."""
 
 from __future__ import annotations
 
@@ -22,7 +23,7 @@ class LocalReader:
 
     def __init__(self, path: str, key: str, bucket_width: int):
         self.store, self.root = pafs.FileSystem.from_uri(path)
-        self.key, self.width = key, bucket_width
+        self.path, self.key, self.width = path, key, bucket_width
         self.files: OrderedDict[int, list] = OrderedDict()
 
     def _bucket(self, bucket: int) -> list:
